@@ -5,13 +5,22 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import decontaminate, packing, pfor, simhash
+from . import decontaminate, mtree, packing, pfor, shard, simhash, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op3_toxicity_nearest_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op4_exact_top_k_mtree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mtree.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % mtree.QUERY_EVERY == 0)
+
+
 def op5_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.scan(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -28,8 +37,12 @@ def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(simhash.clusters(table(spark, sf_dir, "documents")))
 
 
+def op10_sampled_splitter_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shard.assign(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Query]:
-    every = (op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op9_simhash_near_dedup)
+    every = (op3_toxicity_nearest_examples, op4_exact_top_k_mtree, op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op9_simhash_near_dedup, op10_sampled_splitter_sharding)
     return {f.__name__: f for f in every}
 
 
