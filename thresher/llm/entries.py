@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, maxent, mtree, packing, pfor, shard, simhash, toxicity
+from . import decontaminate, licenses, maxent, mtree, packing, pfor, shard, simhash, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -17,6 +17,10 @@ def op1_maxent_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return maxent.digest(table(spark, sf_dir, "documents"))
 
 
+def op2_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op3_toxicity_nearest_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -46,7 +50,7 @@ def op10_sampled_splitter_sharding(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 def queries() -> dict[str, Query]:
-    every = (op1_maxent_scoring, op3_toxicity_nearest_examples, op4_exact_top_k_mtree, op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op9_simhash_near_dedup, op10_sampled_splitter_sharding)
+    every = (op1_maxent_scoring, op2_license_rules, op3_toxicity_nearest_examples, op4_exact_top_k_mtree, op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op9_simhash_near_dedup, op10_sampled_splitter_sharding)
     return {f.__name__: f for f in every}
 
 
