@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, licenses, maxent, mtree, packing, pfor, shard, simhash, toxicity
+from . import chat, decontaminate, licenses, maxent, mtree, packing, pfor, shard, simhash, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -41,6 +41,10 @@ def op7_packing_concat_cut(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.digest(packing.pack(table(spark, sf_dir, "documents")))
 
 
+def op8_chat_roles_hmm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.digest(table(spark, sf_dir, "conversations"))
+
+
 def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.digest(simhash.clusters(table(spark, sf_dir, "documents")))
 
@@ -50,7 +54,7 @@ def op10_sampled_splitter_sharding(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 def queries() -> dict[str, Query]:
-    every = (op1_maxent_scoring, op2_license_rules, op3_toxicity_nearest_examples, op4_exact_top_k_mtree, op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op9_simhash_near_dedup, op10_sampled_splitter_sharding)
+    every = (op1_maxent_scoring, op2_license_rules, op3_toxicity_nearest_examples, op4_exact_top_k_mtree, op5_benchmark_decontamination, op6_token_ids_pfor, op7_packing_concat_cut, op8_chat_roles_hmm, op9_simhash_near_dedup, op10_sampled_splitter_sharding)
     return {f.__name__: f for f in every}
 
 

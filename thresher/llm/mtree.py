@@ -122,12 +122,12 @@ def search(root: Node, center: np.ndarray, query: np.ndarray, own_id: int, k: in
     return [(int(s), -i) for s, i in sorted(best, reverse=True)], computed
 
 
-def usable(vectors: DataFrame, scale: int = SCALE) -> DataFrame:
-    """vec_id and floor(scale * x) of the vectors that take part, as 8-byte floats."""
+def usable(vectors: DataFrame, is_query: Column, scale: int = SCALE) -> DataFrame:
+    """vec_id, floor(scale * x) as 8-byte floats, and whether it is a query, of the vectors that take part."""
     finite = lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))
     x = F.transform("embedding", lambda v: v.cast("double"))
     ok = F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & F.forall(x, finite)
-    return vectors.where(F.coalesce(ok, F.lit(False))).select(F.col("vec_id").cast("long").alias("vec_id"), F.transform(x, lambda v: F.floor(v * scale).cast("double")).alias("v"))
+    return vectors.where(F.coalesce(ok, F.lit(False))).select(F.col("vec_id").cast("long").alias("vec_id"), F.transform(x, lambda v: F.floor(v * scale).cast("double")).alias("v"), F.coalesce(is_query, F.lit(False)).alias("asks"))
 
 
 def _lots(rows: DataFrame, lot: Column) -> DataFrame:
@@ -156,11 +156,11 @@ def _lots(rows: DataFrame, lot: Column) -> DataFrame:
 def top_k(vectors: DataFrame, is_query: Column, k: int = K, shard_rows: int = SHARD_ROWS, block_rows: int = BLOCK_ROWS, scale: int = SCALE) -> DataFrame:
     """query_id, rank, vec_id and score of each query's best k among all other rows."""
     prepare(vectors.sparkSession)
-    rows = usable(vectors, scale)
-    n, asked = rows.agg(F.count("*"), F.count_if(is_query)).first()
+    rows = usable(vectors, is_query, scale)
+    n, asked = rows.agg(F.count("*"), F.count_if("asks")).first()
     shards, blocks = max(1, -(-n // shard_rows)), max(1, -(-asked // block_rows))
     trees = SharedTable(_lots(rows, F.pmod(F.xxhash64("vec_id"), F.lit(shards))), "mtree-shards").read()
-    asks = _lots(rows.where(is_query), F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)))
+    asks = _lots(rows.where("asks"), F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)))
     asks = asks.select(F.col("lot").alias("block"), "dim", F.col("ids").alias("q_ids"), F.col("data").alias("q_data"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("lot"))
     # The pairs of one shard follow each other in a task, so its tree is built once there.
     met = trees.join(asks, ["lot", "dim"]).repartition("lot", "dim").sortWithinPartitions("lot", "dim", "block")

@@ -46,7 +46,7 @@ BUCKET = 4096
 #: Mean rows of a bucket from which on more stripes are used.
 MEAN_BUCKET = 512
 KEYS = 4
-_GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+_GOLDEN = 0x9E3779B97F4A7C15
 
 
 def shingle_hashes(text: str | None, size: int = SHINGLE) -> np.ndarray:
@@ -59,7 +59,7 @@ def shingle_hashes(text: str | None, size: int = SHINGLE) -> np.ndarray:
 
 def _mixed(h: np.ndarray, k: int) -> np.ndarray:
     """Further 64 bits of a hash (a splitmix step)."""
-    z = h + _GOLDEN * np.uint64(k)
+    z = h + np.uint64(_GOLDEN * k % (1 << 64))
     z = (z ^ z >> np.uint64(30)) * np.uint64(0xBF58476D1CE4E5B9)
     z = (z ^ z >> np.uint64(27)) * np.uint64(0x94D049BB133111EB)
     return z ^ z >> np.uint64(31)
@@ -80,21 +80,20 @@ def fingerprint(hashes: np.ndarray, words: int = 1) -> bytes:
 
 
 def fingerprints(docs: DataFrame, shingle: int = SHINGLE, words: int = 1, keys: int = 0) -> DataFrame:
-    """doc_id, fp, and the text's ``keys`` smallest distinct shingle hashes (as signed longs)."""
+    """doc_id, mark (a hash of the text), fp, and the ``keys`` smallest distinct shingle hashes (as signed longs)."""
     prepare(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType
-    schema = pa.schema([("doc_id", _arrow(kind)), ("fp", pa.binary()), ("keys", pa.list_(pa.int64()))])
+    schema = pa.schema([("doc_id", _arrow(kind)), ("mark", pa.int64()), ("fp", pa.binary()), ("keys", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def rows() -> Iterator[tuple]:
-            for doc_id, text in rows_of(batches, "doc_id", "text"):
+            for doc_id, mark, text in rows_of(batches, "doc_id", "mark", "text"):
                 h = shingle_hashes(text, shingle)
-                least = np.unique(np.partition(h, min(len(h) - 1, 64 * keys))[: 64 * keys] if len(h) > 64 * keys else h)[:keys] if keys and len(h) else h[:0]
-                yield doc_id, fingerprint(h, words), least.astype(np.uint64).view(np.int64).tolist()
+                yield doc_id, mark, fingerprint(h, words), np.unique(h)[:keys].view(np.int64).tolist() if keys else []
 
         return batched(rows(), schema)
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind.simpleString()}, fp binary, keys array<long>")
+    return docs.select("doc_id", F.xxhash64("text").alias("mark"), "text").mapInArrow(run, f"doc_id {kind.simpleString()}, mark long, fp binary, keys array<long>")
 
 
 def stripes_for(n: int, bits: int, radius: int) -> int:
@@ -304,7 +303,7 @@ def clusters(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> D
 def _labelled(prints: DataFrame, nodes: DataFrame, roots: DataFrame) -> DataFrame:
     rooted = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    names = rooted.join(least, "root").select("fp", "component_id")
+    names = rooted.join(least, "root").select("fp", "root", "component_id")
     # A fingerprint that a third of the documents have is dealt out by AQE's skew join.
     return prints.join(names, "fp")
 
@@ -318,7 +317,7 @@ def radius_for(similarity: float, words: int) -> int:
 
 
 def similar_clusters(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, words: int = 4, keys: int = KEYS) -> DataFrame:
-    """doc_id, fp and component_id for texts whose shingles reach a similarity, well beyond a few bits.
+    """doc_id, mark, fp, root and component_id for texts whose shingles reach a similarity, well beyond a few bits.
 
     Texts of fewer words than a shingle are one shingle: only equal ones are linked.
     """
@@ -327,7 +326,21 @@ def similar_clusters(docs: DataFrame, shingle: int = 5, similarity: float = 0.8,
     keyed = prints.dropDuplicates(["fp"]).select("fp", "keys")
     every = F.transform("keys", lambda k: F.struct(F.lit(0).alias("table"), k.alias("key")))
     roots = components(link(keyed, every, words, radius_for(similarity, words)))
-    return _labelled(prints.select("doc_id", "fp"), nodes, roots)
+    return _labelled(prints.select("doc_id", "mark", "fp"), nodes, roots)
+
+
+def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """The documents with one row of each group of near copies: the one with the smallest doc_id.
+
+    Every row of a group but one goes, repeated rows too. Texts without words and rows without an
+    id stay, all of them.
+    """
+    apart = F.col("doc_id").isNull() | ~F.rlike(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]"))
+    found = similar_clusters(docs.where(~apart).select("doc_id", "text"), shingle, similarity)
+    kept = found.groupBy("root").agg(F.min(F.struct("doc_id", "mark")).alias("kept")).select(F.col("kept.doc_id").alias("_id"), F.col("kept.mark").alias("_mark"))
+    met = (F.col("doc_id") == F.col("_id")) & (F.xxhash64("text") == F.col("_mark"))
+    first = docs.where(~apart).join(kept, met).dropDuplicates(["_id", "_mark"]).drop("_id", "_mark")
+    return docs.where(apart).unionByName(first)
 
 
 def digest(found: DataFrame) -> DataFrame:
