@@ -20,6 +20,7 @@ from pyspark.sql.window import Window
 from ..functions import losses as L
 from .curves import curve_of, with_losses
 from .histogram import histogram, sums
+from .workers import importable
 
 #: Splits up to which each physical form is taken.
 BSEARCH_MAX, ARROW_MAX = 20_000, 1_000_000
@@ -43,6 +44,7 @@ def _arrow_sums(obs: DataFrame, splits: Sequence[int], criterion: str) -> DataFr
     import numpy as np
     import pyarrow as pa
 
+    importable(obs.sparkSession)
     held = obs.sparkSession.sparkContext.broadcast(np.array(splits, np.int64))
     names = L.sum_columns(criterion)
 
