@@ -36,3 +36,52 @@ def test_every_query_returns_every_row(spark):
     assert [x.split("_")[0] for x in found] == [f"op{k}" for k in range(1, 11)]
     for name in ("op2_license_rules", "op3_toxicity_nearest_examples"):
         assert found[name](spark, SF).count() == n
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="needs the test tables")
+def test_pipeline_equals_a_plain_version(spark):
+    """Dense cosines, all pairs of fingerprints, sets of windows, and the plain tokenizer."""
+    import numpy as np
+
+    from thresher.llm import packing, simhash, tokens, toxicity
+
+    from .test_scans import plain_scan
+
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").collect()]
+    docs, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
+    index = toxicity.fit(docs, labels)
+    finder = toxicity.TermFinder(index.terms)
+
+    def dense(vector):
+        q = dict(index.weights(vector))
+        cosines = [(sum(w * q.get(t, 0.0) for t, w in index.weights(x[0])), n) for n, x in enumerate(index.examples)]
+        return sorted((c for c in cosines if c[0] > 0), key=lambda x: (-round(x[0], 12), x[1]))[: toxicity.K]
+
+    index.nearest = dense
+    rows = [(i, t) for i, t in rows if index.score(finder.of(t))[0] < 0.5]
+    prints = {}
+    for i, t in rows:
+        h = simhash.shingle_hashes(t, 5)
+        prints[i] = (int.from_bytes(simhash.fingerprint(h, 4), "big"), set(np.unique(h)[: simhash.KEYS].tolist()))
+    radius, ids = simhash.radius_for(0.8, 4), sorted(prints)
+    root = {i: i for i in ids}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for k, a in enumerate(ids):
+        for b in ids[:k]:
+            if prints[a][1] & prints[b][1] and (prints[a][0] ^ prints[b][0]).bit_count() <= radius:
+                x, y = sorted((find(a), find(b)))
+                root[y] = x
+    rows = [(i, t) for i, t in rows if find(i) == i]
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
+    hit = {x[0] for x in plain_scan(rows, items) if x[-1]}
+    rows = [(i, t) for i, t in rows if i not in hit]
+    full = tokens.load(packing.TOKENIZER).full
+    want = {i: len(full.encode(t, add_special_tokens=False).ids) + 1 for i, t in rows}
+    got = corpus_pipeline.run(spark, SF).collect()
+    assert {r.doc_id: r.doc_tokens for r in got} == want
+    assert sum(r.length for r in got) == sum(want.values())
