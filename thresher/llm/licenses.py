@@ -26,7 +26,8 @@ from .common import LOWER, UPPER, SharedTable, prepare
 #: Phrases and labels that every scan reports.
 BASE = {"gnu general public license": "gpl", "apache license": "apache", "cc by": "cc-by", "mit license": "mit"}
 _NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+#: Normalised texts hold no control characters.
+_MARK = "\x01"
 
 
 @dataclass(frozen=True)
@@ -140,21 +141,16 @@ def normalised(text: Column) -> Column:
 
 
 def _spans(norm: Column, pattern: Column) -> Column:
-    """Word intervals [first, last] of a pattern's places. Patterns begin with the blank before a word."""
-    between, found = F.split(norm, pattern), F.regexp_extract_all(norm, pattern, F.lit(0))
+    """Word intervals [first, last] of a pattern's places, in one walk. Patterns begin with the blank before a word.
 
-    def words(x: Column) -> Column:
-        return F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit("")))
-
-    # Blanks before a place are the words before it: each match holds as many blanks as words.
-    steps = F.zip_with(F.slice(between, 1, F.size(found)), found, lambda gap, hit: F.struct(words(gap).alias("gap"), words(hit).alias("hit")))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<first:int,last:int>>").alias("spans"))
-
-    def move(state: Column, step: Column) -> Column:
-        first = state["at"] + step["gap"]
-        return F.struct((first + step["hit"]).alias("at"), F.concat(state["spans"], F.array(F.struct(first.alias("first"), (first + step["hit"] - 1).alias("last")))).alias("spans"))
-
-    return F.aggregate(steps, start, move)["spans"]
+    Every place is marked at the end of the word before it: the marks' places in the list of words are the starts.
+    """
+    found = F.regexp_extract_all(norm, pattern, F.lit(0))
+    pieces = F.split(F.regexp_replace(norm, pattern, F.lit(_MARK + "$0")), " ")
+    starts = F.filter(F.transform(pieces, lambda w, k: F.when(F.endswith(w, F.lit(_MARK)), k)), lambda k: k.isNotNull())
+    # A match holds a blank for each of its words.
+    words = lambda x: F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit("")))
+    return F.zip_with(starts, found, lambda first, hit: F.struct(first.alias("first"), (first + words(hit) - 1).alias("last")))
 
 
 def gate(signature: list[Rule]) -> Column:
