@@ -166,6 +166,23 @@ def test_exact_top_k(spark):
     assert len(got) == 40 and mtree.top_k(df.where("false"), df["vec_id"] % 50 == 0).count() == 0
 
 
+def test_tree_search_is_exact_in_small_pages(monkeypatch):
+    """Many levels: bounds and parent distances must not lose a tie."""
+    monkeypatch.setattr(mtree, "PAGE", 8)
+    monkeypatch.setattr(mtree, "FANOUT", 4)
+    rng = np.random.default_rng(2)
+    x = np.floor(rng.normal(size=(600, 3)) * 6)
+    ids = rng.permutation(600)
+    tree, center = mtree.build(x, ids)
+    computed = 0
+    for k in range(60):
+        best, n = mtree.search(tree, center, x[k], int(ids[k]), 5)
+        want = sorted((-int(x[k] @ v), int(i)) for v, i in zip(x, ids, strict=True) if i != ids[k])[:5]
+        assert [(-s, i) for s, i in best] == want
+        computed += n
+    assert computed < 60 * 600 / 2
+
+
 def test_language_model(spark, hard, empty):
     rng = random.Random(3)
     a, b = [f"{x}ing" for x in "abcdefgh"], [f"{x}eau" for x in "stuvwxyz"]

@@ -31,7 +31,8 @@ from pyspark.sql.window import Window
 from .common import SharedTable, batched, prepare, rows_of
 
 K, SCALE, QUERY_EVERY = 5, 256, 50
-PAGE, FANOUT = 64, 16
+#: A page is one matrix product, so it is large.
+PAGE, FANOUT = 2048, 16
 SHARD_ROWS, BLOCK_ROWS = 16_384, 512
 
 
