@@ -51,6 +51,8 @@ def test_spans_and_documents_go(spark, hard):
     benchmark = spark.createDataFrame([(1, "two three four five six seven eight nine ten eleven")], "item_id long, text string")
     kept = decontaminate.clean(hard, benchmark, "documents")
     assert kept.columns == hard.columns and {r.doc_id for r in kept.collect()} == {i for i, _ in HARD} - {4, 5}
+    more = benchmark.unionByName(spark.createDataFrame([(2, "naïve")], "item_id long, text string"))
+    assert {r.doc_id for r in decontaminate.clean(hard, more, block_words=3).collect()} == {i for i, _ in HARD} - {4, 5, 7}
     cut = {r.doc_id: r.text for r in decontaminate.clean(hard, benchmark, "spans").collect()}
     assert cut[4] == "One  twelve." and cut[1] is None and cut[6] == HARD[6][1]
 

@@ -207,17 +207,25 @@ def _scan_in_passes(docs: DataFrame, found: Iterator[WindowSet], columns: str) -
     )
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", width: int = WIDTH) -> DataFrame:
+def clean(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", width: int = WIDTH, block_words: int = BLOCK_WORDS) -> DataFrame:
     """The documents without hits (``documents``), or all with the hit words cut out (``spans``).
 
-    Keeps every column; for ``spans`` the item windows must fit one block.
+    Keeps every column. A benchmark beyond one block is worked off block by block, over a stored
+    copy of what the block before has left.
     """
-    spark = docs.sparkSession
-    prepare(spark)
-    some = list(_at_most_two(blocks(benchmark, width)))
-    if len(some) > 1:
-        raise ValueError("clean() takes one block of items at a time; call it for each part of the benchmark")
-    held = spark.sparkContext.broadcast(some[0])
+    if mode not in ("documents", "spans"):
+        raise ValueError(f"no such mode: {mode}")
+    prepare(docs.sparkSession)
+    first = True
+    for windows in blocks(benchmark, width, block_words):
+        if not first:
+            docs = SharedTable(docs, "decontaminate-clean").read()
+        docs, first = _cleaned(docs, windows, mode), False
+    return docs
+
+
+def _cleaned(docs: DataFrame, windows: WindowSet, mode: str) -> DataFrame:
+    held = docs.sparkSession.sparkContext.broadcast(windows)
 
     @F.pandas_udf("boolean")
     def is_hit(text):
@@ -229,6 +237,4 @@ def clean(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", width:
 
     if mode == "documents":
         return docs.where(~is_hit(F.coalesce("text", F.lit(""))))
-    if mode == "spans":
-        return docs.withColumn("text", cut("text"))
-    raise ValueError(f"no such mode: {mode}")
+    return docs.withColumn("text", cut("text"))
