@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import encode
-from .operators import baseline, candidates, categorical, classification, curves, gini, metrics, mpc, regression, sampling, tree
+from .operators import baseline, candidates, categorical, classification, curves, gini, metrics, mpc, regression, relations, sampling, tree
 from .operators.domain import Domain, resolve
 from .operators.ledger import Ledger
 from .sources import workloads as W
@@ -171,7 +171,7 @@ def stream_window_split(spark: SparkSession, sf_dir: str) -> DataFrame:
     obs = events.select(F.col("ts").cast("timestamp").alias("ts"), encode.fixed_point("value").alias("x"), encode.to_pm1(F.col("event_type") == "purchase").alias("y"))
     name = f"stream_hist_{abs(hash(sf_dir)) % 10**8}"
     hist = stream_splits.run_to_table(stream_splits.windowed_histogram(obs, "ts", "1 day", "misclassification"), name)
-    return stream_splits.window_splits(hist, "misclassification").select(F.col("start").cast("date").alias("day"), "j", "loss", "n")
+    return stream_splits.window_splits(hist, "misclassification").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "j", "loss", "n")
 
 
 def costs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -206,6 +206,47 @@ def _losses(method: str) -> Query:
     return lambda spark, sf: _curve(candidates.losses(W.planted(spark, sf), FIXED_SPLITS, method=method))
 
 
+def _loss_only(workload, criterion: str = "mse", scale: int = 1, digits: int = 6, **options) -> Query:
+    """Workloads whose attribute says nothing: many splits tie, so only the least loss is compared."""
+    return lambda spark, sf: curves.exact_split(workload(spark, sf, **options), criterion, scale, digits).select("loss", (F.col("n_left") + F.col("n_right")).alias("n"))
+
+
+def unsampled_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    obs = W.price_qty(spark, sf_dir)
+    return relations.without(obs, sampling.bernoulli(obs, KEYS, 0.5, SEED, "lcg"), "x")
+
+
+def price_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each order with the last step of a price list at or below its total: an as-of join."""
+    orders = table(spark, sf_dir, "orders").select("o_orderkey", encode.fixed_point("o_totalprice").alias("cents"))
+    steps = spark.range(0, 200).select((F.col("id") * 500_000).alias("cents"), F.col("id").alias("step"))
+    return relations.as_of(orders, steps, "cents", "step").groupBy("step").agg(F.count("*").alias("n"))
+
+
+def segment_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Squared error of one leaf of balances, which may be negative, by segment and nation: mergeable sums under cube."""
+    from .functions import losses
+    from .operators.histogram import moment_sums
+
+    rows = table(spark, sf_dir, "customer").join(table(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    cubed = rows.cube("c_mktsegment", "n_regionkey").agg(*moment_sums(encode.shift(encode.fixed_point("c_acctbal"), -100_000)))
+    name = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("all")).alias(c)
+    return cubed.select(name("c_mktsegment"), name("n_regionkey"), "n", F.round(losses.sse(F.col("n"), F.col("s"), F.col("q")) / F.col("n") / 10000.0, 2).alias("loss"))
+
+
+def split_by_region(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The best split of supplier balances by key, for each region."""
+    rows = table(spark, sf_dir, "supplier").join(table(spark, sf_dir, "nation"), F.col("s_nationkey") == F.col("n_nationkey")).join(table(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    df = rows.select("r_name", F.col("s_suppkey").alias("key"), encode.fixed_point("s_acctbal").alias("y"))
+    return tree.best_split(df, ["key"], "y", "mse", 100, ["r_name"], 2).select("r_name", "j", "loss")
+
+
+def page_lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Length of a page against whether its address is long: one more attribute source."""
+    pages = table(spark, sf_dir, "pages").select(F.length("html").cast("long").alias("x"), encode.to_pm1(F.length("url") > 30).alias("y"))
+    return curves.exact_split(pages, "gini").select("loss", (F.col("n_left") + F.col("n_right")).alias("n"))
+
+
 def queries() -> dict[str, Query]:
     return {
         "reg_exact_planted": _exact(W.planted),
@@ -265,6 +306,22 @@ def queries() -> dict[str, Query]:
         "encode_quantile": lambda spark, sf: encode.quantile(table(spark, sf, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", 16).groupBy("x").agg(F.count("*").alias("n")),
         "stream_window_split": stream_window_split,
         "search_costs": costs,
+        "reg_loss_ship": _loss_only(W.ship_discount, "mse", 100, 6),
+        "reg_loss_orders": _loss_only(W.order_total, "mse", 100, 0),
+        "reg_loss_events": _loss_only(W.event_value, "mse", 100, 3),
+        "cls_loss_price": _loss_only(W.price_class, "misclassification"),
+        "cls_loss_ship": _loss_only(W.ship_class, "misclassification"),
+        "cls_loss_events": _loss_only(W.event_class, "misclassification"),
+        "cls_loss_quality": _loss_only(W.doc_label, "misclassification"),
+        "gini_loss_toxic": _loss_only(W.doc_label, "gini", label="toxic"),
+        "labelled_docs": lambda spark, sf: relations.labelled(table(spark, sf, "documents").select("doc_id", "n_chars"), table(spark, sf, "labels"), "doc_id"),
+        "unlabelled_docs": lambda spark, sf: relations.unlabelled(table(spark, sf, "documents").select("doc_id", "n_chars"), table(spark, sf, "labels"), "doc_id"),
+        "disj_shared_users": lambda spark, sf: relations.shared(*W.user_sets(spark, sf, False), "user_id"),
+        "unsampled_values": unsampled_values,
+        "as_of_price_steps": price_steps,
+        "no_split_cube": segment_cube,
+        "split_by_region": split_by_region,
+        "page_lengths": page_lengths,
     }
 
 
@@ -426,7 +483,7 @@ def oracle_sql() -> dict[str, str]:
     docs = "SELECT source AS category, CASE WHEN quality = 1 THEN 1 ELSE -1 END AS y FROM documents JOIN labels USING (doc_id)"
     loss = "round(CAST(sum(least(pos, neg)) AS DOUBLE) / sum(pos + neg), 6)"
     planted, part, conv = OBS["planted"], OBS["part"], OBS["conversation"]
-    days = "SELECT CAST(date_trunc('day', ts) AS DATE) AS day, CAST(round(value * 100) AS BIGINT) AS x, CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END AS y FROM events"
+    days = "SELECT strftime(ts, '%Y-%m-%d') AS day, CAST(round(value * 100) AS BIGINT) AS x, CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END AS y FROM events"
     dims = "SELECT CAST(p AS BIGINT) AS attr, CAST(floor((CAST(embedding[p] AS DOUBLE) + 2) * 1000) AS BIGINT) AS x, CASE WHEN label = 0 THEN 1 ELSE -1 END AS y FROM embeddings, range(1, 65) AS r(p)"
     curve = lambda obs, scale, digits: f"WITH {curve_sql(obs, 'mse', scale)} SELECT x AS j, n_left, n_right, round(loss, {digits}) AS loss FROM curve"
     cat_p = "least(1.0, 9.0 * (SELECT count(DISTINCT l_partkey) FROM obs) / ((SELECT count(*) FROM obs) * 0.2))"
@@ -483,6 +540,28 @@ def oracle_sql() -> dict[str, str]:
         "encode_rank": "SELECT o_orderkey, dense_rank() OVER (ORDER BY o_orderdate) AS x FROM orders WHERE o_orderdate IS NOT NULL",
         "stream_window_split": f"WITH {curve_sql(days, 'misclassification', 1, 'day')}, ranked AS (SELECT day, x AS j, round(loss, 6) AS loss, n_left + n_right AS n, row_number() OVER (PARTITION BY day ORDER BY round(loss, 6), x) AS k FROM curve) SELECT day, j, loss, n FROM ranked WHERE k = 1",
     }
+    day = lambda col, first: f"CAST(date_diff('day', DATE '{first}', CAST({col} AS DATE)) + 1 AS BIGINT)"
+    least = lambda obs, criterion="mse", scale=1, digits=6: f"WITH {curve_sql(obs, criterion, scale)} SELECT min(round(loss, {digits})) AS loss, CAST(max(n_left) AS BIGINT) AS n FROM curve"
+    doc = "SELECT n_chars AS x, CASE WHEN {} = 1 THEN 1 ELSE -1 END AS y FROM documents JOIN labels USING (doc_id)"
+    region = "SELECT r_name, s_suppkey AS x, CAST(round(s_acctbal * 100) AS BIGINT) AS y FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
+    found |= {
+        "reg_loss_ship": least(f"SELECT {day('l_shipdate', '1995-01-01')} AS x, CAST(round(l_discount * 100) AS BIGINT) AS y FROM lineitem", "mse", 100),
+        "reg_loss_orders": least(f"SELECT {day('o_orderdate', '1995-01-01')} AS x, CAST(round(o_totalprice * 100) AS BIGINT) AS y FROM orders", "mse", 100, 0),
+        "reg_loss_events": least("SELECT CAST(floor(epoch(ts)) AS BIGINT) AS x, CAST(round(value * 100) AS BIGINT) AS y FROM events", "mse", 100, 3),
+        "cls_loss_price": least(OBS["price_class"], "misclassification"),
+        "cls_loss_ship": least(f"SELECT {day('l_shipdate', '1995-01-01')} AS x, CASE WHEN l_linestatus = 'O' THEN 1 ELSE -1 END AS y FROM lineitem", "misclassification"),
+        "cls_loss_events": least("SELECT CAST(round(value * 100) AS BIGINT) AS x, CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END AS y FROM events", "misclassification"),
+        "cls_loss_quality": least(doc.format("quality"), "misclassification"),
+        "gini_loss_toxic": least(doc.format("toxic"), "gini"),
+        "labelled_docs": "SELECT doc_id, n_chars FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)",
+        "unlabelled_docs": "SELECT doc_id, n_chars FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)",
+        "disj_shared_users": "SELECT DISTINCT user_id FROM events WHERE event_type = 'click' AND user_id IN (SELECT user_id FROM events WHERE event_type = 'error')",
+        "unsampled_values": f"WITH obs AS ({OBS['price_qty']}) SELECT DISTINCT x FROM obs WHERE x NOT IN (SELECT x FROM obs WHERE {_kept_sql('0.5')})",
+        "as_of_price_steps": "WITH o AS (SELECT CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders) SELECT least(cents // 500000, 199) AS step, count(*) AS n FROM o GROUP BY 1",
+        "no_split_cube": f"WITH m AS (SELECT c_mktsegment, n_regionkey, count(*) AS n, sum(CAST(y AS HUGEINT)) AS s, sum(CAST(y AS HUGEINT) * y) AS q FROM (SELECT c_mktsegment, n_regionkey, CAST(round(c_acctbal * 100) AS BIGINT) + 100000 AS y FROM customer JOIN nation ON c_nationkey = n_nationkey) GROUP BY CUBE (c_mktsegment, n_regionkey)) SELECT coalesce(c_mktsegment, 'all') AS c_mktsegment, coalesce(CAST(n_regionkey AS VARCHAR), 'all') AS n_regionkey, n, round(({_SSE.format(n='n', s='s', q='q')}) / n / 10000.0, 2) AS loss FROM m",
+        "split_by_region": f"WITH {curve_sql(region, 'mse', 100, 'r_name')}, ranked AS (SELECT r_name, x AS j, round(loss, 2) AS loss, row_number() OVER (PARTITION BY r_name ORDER BY round(loss, 2), x) AS k FROM curve WHERE n_right > 0) SELECT r_name, j, loss FROM ranked WHERE k = 1",
+        "page_lengths": least("SELECT CAST(length(html) AS BIGINT) AS x, CASE WHEN length(url) > 30 THEN 1 ELSE -1 END AS y FROM pages", "gini"),
+    }
     return found
 
 
