@@ -65,7 +65,11 @@ def doc_terms(words: list[bytes]) -> Counter:
 def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """doc_id, text and toxic of the sample."""
     usable = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & is_trained_on(F.col("doc_id"), DIVISOR, HELD_OUT))
-    some = usable.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
+    h = F.xxhash64("doc_id")
+    # Twice the sample is expected below this hash, so the last sort sees few rows of any number.
+    below = int(min(1.0, 2 * sample / max(1, usable.count())) * (1 << 64)) - (1 << 63)
+    near = usable.where(h < below) if below < (1 << 63) - 1 else usable
+    some = near.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic")).orderBy(h, "doc_id").limit(sample)
     # Bounded by ``sample`` rows of an id and a label.
     return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").dropDuplicates(["text"])
 
