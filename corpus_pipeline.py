@@ -8,7 +8,6 @@ Parquet and read again as the next stage's documents.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from thresher.llm import decontaminate, packing, simhash, toxicity
 from thresher.llm.common import SharedTable, table
