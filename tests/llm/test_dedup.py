@@ -97,3 +97,56 @@ def test_similar_texts_are_found_and_others_stay(spark):
     gone = {i for i, _ in rows} - set(kept)
     assert gone - {2001} <= set(copy_of) and 2001 in gone
     assert len(gone - {2001}) >= 0.97 * len(copy_of)
+
+
+def near_pairs(rng):
+    """Pairs at Jaccard 0.8 to 0.86 over 5-word shingles, short and long, plain and repetitive; and pairs just under."""
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(6))
+    for _ in range(60):
+        yield (w := [word() for _ in range(8)]), [*w, word()]
+        yield (w := [word() for _ in range(10)]), [*w, word()]
+        w = [word() for _ in range(49)]
+        yield w, [*w[:24], word(), *w[25:]]
+        w = [word() for _ in range(49)]
+        yield w, [*w[:20], word(), *w[21:30], word(), *w[31:]]
+        w = [word() for _ in range(454)]
+        yield w, [word() if k % 45 == 20 else x for k, x in enumerate(w)]
+        line = [word() for _ in range(20)]
+        w = [word() for _ in range(300)]
+        yield w + line, w + line * 20
+        yield (w := [word() for _ in range(7)]), [*w, word()]
+
+
+def test_similar_pairs_are_those_of_brute_force(spark):
+    rng = random.Random(31)
+    pairs = list(near_pairs(rng))
+    rows = [(2 * k + side, " ".join(w)) for k, p in enumerate(pairs) for side, w in enumerate(p)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r.doc_id for r in simhash.keep_one(docs).collect()}
+    want = set()
+    for k, (a, b) in enumerate(pairs):
+        x, y = ({tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in (a, b))
+        want |= {2 * k} if len(x & y) / len(x | y) >= 0.8 else {2 * k, 2 * k + 1}
+    assert 60 < len(pairs) * 2 - len(want) < len(pairs)
+    assert kept == want
+
+
+def test_large_groups_of_near_texts_in_chunks(spark):
+    """A chain in one bucket cut into chunks: neighbours are alike, the ends are not."""
+    rng = random.Random(4)
+    words = [f"w{k}" for k in range(400)]
+    rows = []
+    for k in range(30):
+        rows.append((k, " ".join(words)))
+        at = rng.randrange(400)
+        words[at : at + 1] = [f"n{k}"]
+    rows.append((99, " ".join(f"w{k}" for k in range(200))))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    prints = simhash.fingerprints(docs, 5, 4, 6)
+    texts = docs.selectExpr("xxhash64(text) as mark", "text")
+    keys = simhash.F.array(simhash.F.struct(simhash.F.lit(0).alias("table"), simhash.F.lit(1).alias("key")))
+    links = simhash.link(prints.select("fp"), keys, 4, 256, 4, texts, 5, 0.8)
+    roots = {bytes(r.node): bytes(r.root) for r in simhash.components(links).collect()}
+    names = {r.doc_id: bytes(r.fp) for r in prints.select("doc_id", "fp").collect()}
+    at = {k: roots.get(name, name) for k, name in names.items()}
+    assert len({at[k] for k in range(30)}) == 1 and at[99] != at[0]

@@ -11,9 +11,10 @@ Which fingerprints are compared:
   ``blocks - radius`` of ``blocks`` stripes, so a row goes to one bucket for each such choice of
   stripes (pigeonhole). The number of stripes follows the number of fingerprints, which keeps
   buckets small at every size. No link is lost.
-* ``similar`` links: fingerprints of several words whose texts share one of their smallest shingle
-  hashes. Two texts whose shingle sets have Jaccard similarity 0.8 share one of four such keys
-  with probability over 0.99; the radius is where the fingerprints' cosine reaches the threshold.
+* ``similar`` links: fingerprints over distinct shingles, of several words, whose texts share one of
+  their smallest shingle hashes. Two texts whose shingle sets have Jaccard similarity 0.8 share
+  none of six such keys with probability under 0.2 ** 6. The radius only leaves out what is four
+  deviations beyond the threshold; what is within it is decided by the shingle sets themselves.
 
 A bucket over ``BUCKET`` rows is cut into chunks and every pair of chunks is a task of its own,
 so that no bucket lands in one task. A task emits for each fingerprint at most one link, to the
@@ -28,7 +29,7 @@ table gives no rows; further columns are ignored.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations, repeat
 
 import numpy as np
@@ -45,7 +46,9 @@ SHINGLE, RADIUS, SEED = 4, 4, 42
 BUCKET = 4096
 #: Mean rows of a bucket from which on more stripes are used.
 MEAN_BUCKET = 512
-KEYS = 4
+KEYS = 6
+#: Deviations beyond the mean distance at the threshold up to which shingle sets are compared.
+DEVIATIONS = 4
 _GOLDEN = 0x9E3779B97F4A7C15
 
 
@@ -80,7 +83,10 @@ def fingerprint(hashes: np.ndarray, words: int = 1) -> bytes:
 
 
 def fingerprints(docs: DataFrame, shingle: int = SHINGLE, words: int = 1, keys: int = 0) -> DataFrame:
-    """doc_id, mark (a hash of the text), fp, and the ``keys`` smallest distinct shingle hashes (as signed longs)."""
+    """doc_id, mark (a hash of the text), fp, and the ``keys`` smallest distinct shingle hashes (as signed longs).
+
+    With keys, fingerprints are of distinct shingles and end with the mark: different texts stay apart.
+    """
     prepare(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType
     schema = pa.schema([("doc_id", _arrow(kind)), ("mark", pa.int64()), ("fp", pa.binary()), ("keys", pa.list_(pa.int64()))])
@@ -89,7 +95,11 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE, words: int = 1, keys:
         def rows() -> Iterator[tuple]:
             for doc_id, mark, text in rows_of(batches, "doc_id", "mark", "text"):
                 h = shingle_hashes(text, shingle)
-                yield doc_id, mark, fingerprint(h, words), np.unique(h)[:keys].view(np.int64).tolist() if keys else []
+                if keys:
+                    h = np.unique(h)
+                    yield doc_id, mark, fingerprint(h, words) + mark.to_bytes(8, "big", signed=True), h[:keys].view(np.int64).tolist()
+                else:
+                    yield doc_id, mark, fingerprint(h, words), []
 
         return batched(rows(), schema)
 
@@ -204,10 +214,10 @@ def _over(counters: list[np.ndarray], radius: int) -> np.ndarray:
     return over
 
 
-def smallest_linked(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
-    """For each index the smallest index that it reaches by pairs."""
+def smallest_linked(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]], alike: Callable[[int, int], bool] | None = None) -> np.ndarray:
+    """For each index the smallest index that it reaches by pairs; with ``alike``, by those that pass it."""
     label = np.arange(n)
-    for i, j in pairs:
+    for i, j in pairs if alike is None else _passing(pairs, label, alike):
         while True:
             low = np.minimum(label[i], label[j])
             if (label[i] == low).all() and (label[j] == low).all():
@@ -215,12 +225,54 @@ def smallest_linked(n: int, pairs: Iterator[tuple[np.ndarray, np.ndarray]]) -> n
             np.minimum.at(label, label[i], low)
             np.minimum.at(label, label[j], low)
             while (label[label] != label).any():
-                label = label[label]
+                label[:] = label[label]
     return label
 
 
-def link(nodes: DataFrame, keys: Column, words: int, radius: int, bucket: int = BUCKET) -> DataFrame:
-    """Links (a, b) between different fingerprints that share a key and lie within the radius."""
+def _passing(pairs: Iterator[tuple[np.ndarray, np.ndarray]], label: np.ndarray, alike: Callable[[int, int], bool], lot: int = 4096) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The pairs that pass; those that ``label``, which the caller keeps up to date, has joined already are not tried."""
+    for i, j in pairs:
+        # A pair of each index first: that joins most of a large group.
+        first = np.zeros(len(i), bool)
+        first[np.unique(i, return_index=True)[1]] = True
+        order = np.argsort(~first, kind="stable")
+        i, j, low, high = i[order], j[order], 0, int(first.sum())
+        while low < len(i):
+            a, b = i[low:high], j[low:high]
+            apart = label[a] != label[b]
+            a, b = a[apart], b[apart]
+            passed = np.fromiter(map(alike, a.tolist(), b.tolist()), bool, len(a))
+            if passed.any():
+                yield a[passed], b[passed]
+            low, high = high, high + lot
+
+
+class ShingleSets:
+    """Whether two texts' sets of shingles reach a Jaccard similarity; sets are kept by name."""
+
+    def __init__(self, size: int, similarity: float):
+        self.size, self.similarity = size, similarity
+        self.kept: dict[bytes, np.ndarray] = {}
+
+    def of(self, name: bytes, text: str) -> np.ndarray:
+        if (found := self.kept.get(name)) is None:
+            found = self.kept[name] = np.unique(shingle_hashes(text, self.size))
+        return found
+
+    def alike(self, a: np.ndarray, b: np.ndarray) -> bool:
+        if min(len(a), len(b)) < self.similarity * max(len(a), len(b)) - 1e-6:
+            return False
+        both = np.concatenate((a, b))
+        both.sort()
+        common = int(np.count_nonzero(both[1:] == both[:-1]))
+        return common / (len(both) - common) >= self.similarity if len(both) else True
+
+
+def link(nodes: DataFrame, keys: Column, words: int, radius: int, bucket: int = BUCKET, texts: DataFrame | None = None, size: int = 0, similarity: float = 0.0) -> DataFrame:
+    """Links (a, b) between different fingerprints that share a key and lie within the radius.
+
+    With ``texts`` (mark, text), only where the sets of shingles of ``size`` words reach the similarity.
+    """
     rows = nodes.select("fp", F.explode(keys).alias("k")).select("fp", "k.table", "k.key")
     full = rows.groupBy("table", "key").count()
     hot = full.where(F.col("count") > bucket).select("table", "key", F.ceil(F.col("count") / (bucket // 2)).cast("int").alias("chunks"))
@@ -228,19 +280,26 @@ def link(nodes: DataFrame, keys: Column, words: int, radius: int, bucket: int =
     rows = rows.join(met, ["table", "key"], "left_semi").join(hot, ["table", "key"], "left").withColumn("chunk", F.pmod(F.xxhash64("fp", F.lit(7)), F.coalesce("chunks", F.lit(1))).cast("int"))
     others = F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)
     rows = rows.withColumn("other", F.explode(others)).select("fp", "table", "key", "chunk", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"))
+    rows = rows.withColumn("text", F.lit(None).cast("string")) if texts is None else rows.withColumn("mark", F.conv(F.hex(F.substring("fp", 8 * words + 1, 8)), 16, -10).cast("long")).join(texts, "mark").drop("mark")
     schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out() -> Iterator[tuple]:
             for part in _whole_groups(batches):
-                fps, group, chunk, low, high = part
-                bits = np.frombuffer(b"".join(fps), ">u8").reshape(-1, words).astype(np.uint64)
+                fps, held, group, chunk, low, high = part
+                bits = np.frombuffer(b"".join(fps), ">u8").reshape(len(fps), -1)[:, :words].astype(np.uint64)
+                sets = ShingleSets(size, similarity)
                 for cross in (False, True):
                     mine = np.flatnonzero((low != high) == cross)
                     if len(mine) < 2:
                         continue
                     side = chunk[mine] == high[mine] if cross else None
-                    label = smallest_linked(len(mine), close_pairs(bits[mine], group[mine], radius, side))
+
+                    def alike(i: int, j: int, mine: np.ndarray = mine, fps: list = fps, held: list = held, sets: ShingleSets = sets) -> bool:
+                        x, y = mine[i], mine[j]
+                        return sets.alike(sets.of(fps[x], held[x]), sets.of(fps[y], held[y]))
+
+                    label = smallest_linked(len(mine), close_pairs(bits[mine], group[mine], radius, side), alike if similarity else None)
                     for k in np.flatnonzero(label != np.arange(len(mine))).tolist():
                         yield fps[mine[k]], fps[mine[label[k]]]
 
@@ -249,24 +308,25 @@ def link(nodes: DataFrame, keys: Column, words: int, radius: int, bucket: int =
     return rows.repartition("table", "key", "low", "high").sortWithinPartitions("table", "key", "low", "high").mapInArrow(run, "a binary, b binary")
 
 
-def _whole_groups(batches: Iterator[pa.RecordBatch], least: int = 1 << 15) -> Iterator[tuple]:
-    """Rows of sorted batches in lots of whole groups: fingerprints, group numbers, chunk, low, high."""
+def _whole_groups(batches: Iterator[pa.RecordBatch], least: int = 1 << 15, least_chars: int = 1 << 24) -> Iterator[tuple]:
+    """Rows of sorted batches in lots of whole groups: fingerprints, texts, group numbers, chunk, low, high."""
     held: list[tuple] = []
-    number, last = 0, None
-    for fp, table, key, chunk, low, high in rows_of(batches, "fp", "table", "key", "chunk", "low", "high"):
+    number, last, chars = 0, None, 0
+    for fp, text, table, key, chunk, low, high in rows_of(batches, "fp", "text", "table", "key", "chunk", "low", "high"):
         if (me := (table, key, low, high)) != last:
-            if len(held) >= least:
+            if len(held) >= least or chars >= least_chars:
                 yield _columns(held)
-                held = []
+                held, chars = [], 0
             number, last = number + 1, me
-        held.append((fp, number, chunk, low, high))
+        held.append((fp, text, number, chunk, low, high))
+        chars += len(text or "")
     if held:
         yield _columns(held)
 
 
 def _columns(held: list[tuple]) -> tuple:
-    fps, *rest = zip(*held, strict=True)
-    return (list(fps), *(np.array(x) for x in rest))
+    fps, texts, *rest = zip(*held, strict=True)
+    return (list(fps), list(texts), *(np.array(x) for x in rest))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -309,15 +369,20 @@ def _labelled(prints: DataFrame, nodes: DataFrame, roots: DataFrame) -> DataFram
 
 
 def radius_for(similarity: float, words: int) -> int:
-    """Bits by which fingerprints differ where sets of one size have that Jaccard similarity, and one deviation."""
+    """Bits by which fingerprints of sets with that Jaccard similarity hardly ever differ: the mean and ``DEVIATIONS``.
+
+    The mean is the larger one of big sets of one size and of the smallest set that the threshold
+    lets differ, with one more shingle: a bit of it flips where the common shingles are at the border.
+    """
     cosine = 2 * similarity / (1 + similarity)
-    share = math.acos(cosine) / math.pi
+    common = math.ceil(round(similarity / (1 - similarity), 9))
+    share = max(math.acos(cosine) / math.pi, math.comb(common, (common + 1) // 2) / 2 ** (common + 1))
     bits = 64 * words
-    return round(bits * share + math.sqrt(bits * share * (1 - share)))
+    return round(bits * share + DEVIATIONS * math.sqrt(bits * share * (1 - share)))
 
 
 def similar_clusters(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, words: int = 4, keys: int = KEYS) -> DataFrame:
-    """doc_id, mark, fp, root and component_id for texts whose shingles reach a similarity, well beyond a few bits.
+    """doc_id, mark, fp, root and component_id for texts whose sets of shingles reach a Jaccard similarity.
 
     Texts of fewer words than a shingle are one shingle: only equal ones are linked.
     """
@@ -325,7 +390,8 @@ def similar_clusters(docs: DataFrame, shingle: int = 5, similarity: float = 0.8,
     nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"))
     keyed = prints.dropDuplicates(["fp"]).select("fp", "keys")
     every = F.transform("keys", lambda k: F.struct(F.lit(0).alias("table"), k.alias("key")))
-    roots = components(link(keyed, every, words, radius_for(similarity, words)))
+    texts = docs.select(F.xxhash64("text").alias("mark"), "text").groupBy("mark").agg(F.first("text").alias("text"))
+    roots = components(link(keyed, every, words, radius_for(similarity, words), BUCKET, texts, shingle, similarity))
     return _labelled(prints.select("doc_id", "mark", "fp"), nodes, roots)
 
 
