@@ -24,6 +24,20 @@ def test_ids_equal_the_library(name, text):
     assert np.frombuffer(t.encode(text), "<u4").tolist() == t.full.encode(text, add_special_tokens=False).ids
 
 
+MARKED = ["hi <|endoftext|> you", "<|endoftext|>", "a<|startoftext|>b  c", "x <|ENDOFTEXT|> y", "<|endoftext|><|endoftext|>\n\nq", "almost <|endoftext|"]
+
+
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_added_tokens_are_those_of_a_fresh_library(name):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    fresh, t = Tokenizer.from_file(public_tokenizers.path(name)), tokens.WordTokenizer(name)
+    for text in [*ODD, *MARKED, *(x for _, x in HARD if x)]:
+        assert np.frombuffer(t.encode(text), "<u4").tolist() == fresh.encode(text, add_special_tokens=False).ids
+    assert fresh.token_to_id("<|endoftext|>") in np.frombuffer(t.encode(MARKED[0]), "<u4")
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.one_of(st.integers(0, 60_000), st.integers(0, 2**32 - 1)), max_size=700))
 def test_blocks_round_trip(ids):

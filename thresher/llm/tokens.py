@@ -3,7 +3,8 @@
 Neither vocabulary merges across the word borders that its pre-tokenizer draws, so a text's
 ids are the concatenation of its words' ids. A worker keeps the ids of the words it has seen
 (bounded, emptied when full); what it has not seen goes through the library's own BPE model,
-and anything but plain Latin-1 letters through the whole library pipeline.
+and anything but plain Latin-1 letters through the whole library pipeline. So does a text that
+holds one of the vocabulary's added tokens, which the library takes out before it draws words.
 """
 
 from __future__ import annotations
@@ -67,9 +68,12 @@ class WordTokenizer:
 
             path = public_tokenizers.path(path)
         self.full = Tokenizer.from_file(path)
-        self.full.encode_special_tokens = True
         self.model = self.full.model
         self.letters = _byte_letters()
+        added = self.full.get_added_tokens_decoder().values()
+        #: The library looks for added tokens before it draws words, for some of them in the normalized text.
+        self.added = [t.content for t in added]
+        self.added_normalized = any(t.normalized for t in added) and self.full.normalizer is not None
         #: A normalizer here means: lower case, white space dropped. None: spaces belong to the words.
         self.spaced = self.full.normalizer is None
         self.known = _Known(self._ids)
@@ -78,6 +82,8 @@ class WordTokenizer:
         """The text's ids as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
+        if self._holds_added(text):
+            return self._whole(text)
         if self.spaced:
             if any(x in text for x in _RUNS):
                 return self._whole(text)
@@ -91,6 +97,14 @@ class WordTokenizer:
         except _OddBorder:
             return self._whole(text)
 
+    def _holds_added(self, text: str) -> bool:
+        if any(x in text for x in self.added):
+            return True
+        if not self.added_normalized:
+            return False
+        plain = self.full.normalizer.normalize_str(text)
+        return any(self.full.normalizer.normalize_str(x) in plain for x in self.added)
+
     def _whole(self, text: str) -> bytes:
         ids = self.full.encode(text, add_special_tokens=False).ids
         return struct.pack(f"<{len(ids)}I", *ids)
