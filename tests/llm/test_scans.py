@@ -219,3 +219,11 @@ def test_word_probabilities_add_up():
     before = np.full(len(words), 3)
     p = model.class_scores(numbers, before, before) + vocabulary.inside[numbers] + np.array([0.0] * len(head) + [math.log10(c + 1) for c in tails.values()])
     assert 0.5 < (10**p).sum() < 1 + 1e-6
+
+
+def test_frequent_words_and_endings_have_classes_of_their_own():
+    head = [(maxent.END, 90), *((f"w{k}aa".encode(), 80 - k) for k in range(40))]
+    endings = [(b"aa", sum(c for _, c in head[1:]), 40), (maxent.END, 90, 1), *((bytes([97 + k // 26, 97 + k % 26]), 5, 5) for k in range(1, 60))]
+    v = maxent.Vocabulary(head, endings, sum(c for _, c, _ in endings), 336)
+    assert len(set(v.classes[:24].tolist())) == 24 and (v.inside[:24] == 0).all()
+    assert len(v.class_of_ending) == 39
