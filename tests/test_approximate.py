@@ -145,3 +145,52 @@ def test_heavy_and_light_ranges(spark):
 
 def test_candidates_hold_sampled_values_and_what_is_before(spark):
     assert candidates.from_sample(frame(spark, [(1, 0), (5, 0)]), 9) == [0, 1, 4, 5, 9]
+
+
+def test_machines_keep_to_their_share_and_messages(step):
+    """Sorted machines hold equal shares, whatever value is common, and send one row more for each border only."""
+    obs, d, best = step
+    hot = obs.withColumn("x", mpc.F.when(mpc.F.col("id") % 3 == 0, 40).otherwise(mpc.F.col("x")))
+    led = Ledger()
+    cluster = mpc.Cluster(hot, ["id"], 0.5, d, led)
+    loads = [r["count"] for r in cluster.sort().groupBy("_machine").count().collect()]
+    assert len(loads) <= cluster.count + 1 and max(loads) < 2.5 * cluster.share
+    splits = list(range(0, 3000, 50))
+    got = {j: (a, b) for j, a, b in cluster.sides(splits, "mse")}
+    want = {j: (a, b) for j, a, b in candidates.sides(candidates.parts_of(hot, "mse"), splits, "mse")}
+    assert got == want
+    assert led.messages <= len(splits) + 1 + 2 * len(loads) and led.rounds == mpc.SORT_ROUNDS + 2
+    assert led.machine_words >= 2 * max(loads) and led.centre_words == 3 * led.messages
+
+
+def test_a_sample_is_never_shortened(step):
+    obs, d, _ = step
+    with pytest.raises(ValueError):
+        gini.paired_terms(obs, ["id"], 1e-4, d)
+    assert gini.sample_size(1000, 1e-4, 3.0) > gini.PAIRED_MAX
+
+
+def test_candidates_as_a_table_give_the_same(step, monkeypatch):
+    obs, d, _ = step
+    want = regression.additive_split(obs, ["id"], 0.1, d, seed=3).first()
+    monkeypatch.setattr(candidates, "ARROW_MAX", 10)
+    led = Ledger()
+    assert regression.additive_split(obs, ["id"], 0.1, d, seed=3, ledger=led).first() == want
+    assert led.sample_rows > 10
+
+
+def test_searches_on_sums_by_value_equal_searches_on_rows(step):
+    obs, d, _ = step
+    few = obs.withColumn("x", mpc.F.col("x") % 50 + 1)
+    by_value = candidates.compact(few, "mse", d.m)
+    assert by_value.count() == 50
+    splits = [3, 10, 49]
+    assert candidates.errors(by_value, splits, "mse") == candidates.errors(candidates.parts_of(few, "mse"), splits, "mse")
+
+
+def test_success_over_seeds(step):
+    obs, d, best = step
+    rows = metrics.success_over_seeds(obs, ["id"], 0.1, [1, 2, 3], 0.625 * 0.1 * d.spread**2, d).collect()
+    assert len(rows) == 3 and metrics.success_rate([r.excess for r in rows], 0.625 * 0.1 * d.spread**2) == 1.0
+    alone = regression.additive_split(obs, ["id"], 0.1, d, seed=2, digits=9).first().loss - best.loss
+    assert abs(next(r.excess for r in rows if r.seed == 2) - alone) < 1e-6

@@ -10,7 +10,7 @@ import __spark_entry__ as entry
 from thresher import queries
 
 SF = "/root/testdata/sf0.001"
-SAME = ["reg_exact_planted", "reg_multi_losses", "cls_exact_conv", "gini_exact_conv", "cat_exact_source", "sample_bottom_k", "disj_no"]
+SAME = ["reg_exact_planted", "reg_multi_losses", "reg_additive_naive_planted", "cls_exact_conv", "gini_exact_conv", "cat_exact_source", "sample_bottom_k", "disj_no", "tree_star_join", "mpc_evaluator", "figure_gini"]
 
 
 def test_every_oracle_has_a_query():

@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from thresher.functions import encode
-from thresher.operators import baseline, candidates, curves, metrics
+from thresher.operators import baseline, candidates, curves, histogram, metrics
 from thresher.operators.prefix import scan
 from thresher.sources import workloads
 
@@ -112,3 +112,23 @@ def test_measures(spark):
     found = metrics.compare(obs, spark.createDataFrame([(5,)], "j long"), "mse")
     assert found["excess"] > 0 and found["ratio"] > 1 and metrics.ratio(0, 0) == 1
     assert metrics.success_rate([0.1, 0.2, 0.9], 0.5) == 2 / 3
+
+
+def test_sums_in_parts_are_exact(spark):
+    rng = random.Random(8)
+    rows = [(rng.randrange(1, 4), rng.choice((-1, 1)) * rng.randrange(2**rng.choice((5, 30, 42)))) for _ in range(3000)]
+    rows += [(1, 2**42 - 1), (2, -(2**42) + 1), (3, 0), (3, -(2**21)), (3, 2**21)]
+    obs = frame(spark, rows)
+    for r in histogram.histogram(obs).collect():
+        ys = [y for x, y in rows if x == r.x]
+        assert (r.n, int(r.s), int(r.q)) == (len(ys), sum(ys), sum(y * y for y in ys))
+    with pytest.raises(Exception, match="2\\*\\*42"):
+        histogram.histogram(frame(spark, [(1, 2**42)])).collect()
+
+
+def test_value_gaps(spark):
+    rng = random.Random(5)
+    xs = sorted(rng.sample(range(100_000), 503))
+    got = sorted(tuple(r) for r in baseline.value_gaps(frame(spark, [(x, 1) for x in xs]).repartition(7)).collect())
+    assert [r[2] for r in got] == [b - a for a, b in zip(xs, xs[1:], strict=False)] + [None]
+    assert [r[3] for r in got] == [1] * 126 + [2] * 126 + [3] * 126 + [4] * 125

@@ -41,4 +41,4 @@ def test_scan_is_pruned_and_sums_are_partial(spark):
     assert "ReadSchema: struct<" in plan and "l_comment" not in plan
     read = plan.split("ReadSchema: struct<")[1].split(">")[0]
     assert {c.split(":")[0] for c in read.split(",")} == {"l_quantity", "l_extendedprice"}
-    assert "partial_count" in plan and "BatchEvalPython" not in plan and "ArrowEval" not in plan
+    assert "partial_sum" in plan and "BatchEvalPython" not in plan and "ArrowEval" not in plan

@@ -60,16 +60,43 @@ def test_streams(spark, tmp_path):
     df = spark.createDataFrame(rows, "d int, x long, y int, id long").withColumn("ts", F.timestamp_seconds(F.col("d") * 86400 + 5))
     df.repartition(3).write.parquet(str(tmp_path / "in"))
     stream = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
-    hist = splits.run_to_table(splits.windowed_histogram(stream, "ts", "1 day", "misclassification"), "windowed")
+    hist = splits.run_to_table(splits.windowed_histogram(stream, "ts", "1 day", "misclassification"), str(tmp_path / "windows"), str(tmp_path / "marks"))
+    shown = splits.run_to_memory(splits.windowed_histogram(stream, "ts", "1 day", "misclassification"), "windowed")
+    assert sorted(map(tuple, shown.collect())) == sorted(map(tuple, hist.collect()))
     got = {r.start.day: (r.j, r.loss, r.n) for r in splits.window_splits(hist, "misclassification").collect()}
     for day in range(3):
         want = curves.exact_split(df.where(F.col("d") == day), "misclassification").first()
         assert got[day + 1] == (want.j, want.loss, 100)
-    sample, merged = splits.StreamingSample(["id"], 60), splits.StreamingHistogram("misclassification")
-    spark.sparkContext.setCheckpointDir(str(tmp_path / "shared"))
+    sample, merged = splits.StreamingSample(spark, str(tmp_path / "sample"), ["id"], 60), splits.StreamingHistogram(spark, str(tmp_path / "hist"), "misclassification")
     for sink in (sample, merged):
         stream.writeStream.foreachBatch(sink).trigger(availableNow=True).start().awaitTermination()
-    assert sample.rows.count() <= 60 and sample.p < 1 and sample.split().count() == 1
+    assert 0 < sample.rows.count() <= 60 and sample.p < 1 and sample.split().count() == 1
     assert merged.split().first() == curves.exact_split(df, "misclassification").first()
     with pytest.raises(ValueError):
         splits.check_one_pass(stream, "additive")
+
+
+def test_replayed_batches_count_once_and_restarts_go_on(spark, tmp_path):
+    path = str(tmp_path / "state")
+    batches = [frame(spark, noisy(k), "int").select("x", F.when(F.col("y") > 20, 1).otherwise(-1).alias("y")) for k in range(3)]
+    sink = splits.StreamingHistogram(spark, path, "misclassification")
+    sink(batches[0], 0)
+    sink(batches[1], 1)
+    sink(batches[1], 1)
+    after = splits.StreamingHistogram(spark, path, "misclassification")
+    after(batches[2], 2)
+    after(batches[2], 2)
+    every = batches[0].unionByName(batches[1]).unionByName(batches[2])
+    assert after.split().first() == curves.exact_split(every, "misclassification").first()
+    assert after.merged.agg(F.sum("pos"), F.sum("neg")).first() == every.agg(F.count_if(F.col("y") > 0), F.count_if(F.col("y") <= 0)).first()
+
+
+def test_min_gain_and_leaves_predict(spark, table):
+    assert tree.grow(table, ["a", "b"], "y", "mse", 2, min_gain=1e9).children == []
+    whole = tree.grow(table, ["a", "b"], "y", "mse", 2)
+    gains = tree.grow(table, ["a", "b"], "y", "mse", 3, min_gain=1.0)
+    assert len(tree.splits_of(gains)) < len(tree.splits_of(tree.grow(table, ["a", "b"], "y", "mse", 3)))
+    assert (gains.attr, gains.split) == (whole.attr, whole.split)
+    flat = spark.createDataFrame([(1, 4), (1, 6)], "x long, y long")
+    root = tree.grow(flat, ["x"], "y")
+    assert root.prediction == 5.0 and [r.prediction for r in tree.predict(flat, root).collect()] == [5.0, 5.0]

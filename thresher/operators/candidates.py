@@ -1,25 +1,29 @@
 """Losses of a given list of splits: the evaluator that all approximate searches share.
 
 ``bsearch``: each row falls into one interval between splits, found by binary search inside the
-JVM; sums per interval are a partial and a final aggregate over at most k + 1 groups.
-``arrow``: the same by numpy, which emits one partial row per interval and batch; for large k.
-``merge``: splits join the histogram as rows without observations and one prefix scan gives
-all; for k beyond a broadcast. ``naive``: every row updates every split. ``two_pass``: means
-first, then squared deviations, from the definition.
+JVM; sums per interval are a partial and a final aggregate over at most k + 1 groups, and the
+driver adds up these few in whole numbers. ``arrow``: the same by numpy, which emits one partial row
+per interval and batch, and a prefix scan; for large k. ``merge``: splits join the histogram as rows
+without observations and one prefix scan gives all; the splits may be a table of any size.
+``naive``: every row updates every split. ``two_pass``: means first, then squared deviations, from
+the definition.
 """
 
 from __future__ import annotations
 
 from collections.abc import Sequence
+from itertools import accumulate
 
+import pyarrow as pa
 from pyspark.ml.feature import Bucketizer
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..functions import losses as L
+from . import histogram as H
 from .curves import curve_of, with_losses
-from .histogram import histogram, sums
+from .held import hold
+from .prefix import scan
 from .workers import importable
 
 #: Splits up to which each physical form is taken.
@@ -31,103 +35,178 @@ def method_for(k: int) -> str:
     return "bsearch" if k <= BSEARCH_MAX else "arrow" if k <= ARROW_MAX else "merge"
 
 
-def interval_sums(obs: DataFrame, splits: Sequence[int], criterion: str, method: str) -> DataFrame:
-    """Sums by ``t``, the number of splits below x."""
+def parts_of(obs: DataFrame, criterion: str) -> DataFrame:
+    """(x, parts): what each row adds to the sums. Nothing is aggregated yet."""
+    return obs.select("x", *[c.alias(name) for name, c in H.part_columns(criterion, F.col("y")).items()])
+
+
+def compact(obs: DataFrame, criterion: str, rows: int) -> DataFrame:
+    """For searches that pass again: held observations, or held sums by value where values are far fewer than rows."""
+    distinct = obs.agg(F.approx_count_distinct("x")).first()[0]
+    if 4 * distinct <= rows:
+        return hold(obs.groupBy("x").agg(*H.part_sums(criterion, F.col("y"))))
+    return parts_of(hold(obs.select("x", "y")), criterion)
+
+
+def interval_sums(parts: DataFrame, splits: Sequence[int], criterion: str, method: str = "bsearch") -> DataFrame:
+    """Summed parts by ``t``, the number of splits below x."""
+    names = H.part_names(criterion)
     if method == "bsearch":
         edges = [float("-inf"), *[float(j + 1) for j in splits], float("inf")]
-        binned = Bucketizer(splits=edges, inputCol="xd", outputCol="td").transform(obs.select(F.col("x").cast("double").alias("xd"), "y"))
-        return binned.groupBy(F.col("td").cast("long").alias("t")).agg(*sums(criterion, F.col("y")))
-    return _arrow_sums(obs, splits, criterion)
+        binned = Bucketizer(splits=edges, inputCol="_xd", outputCol="_td").transform(parts.withColumn("_xd", F.col("x").cast("double")))
+        return binned.groupBy(F.col("_td").cast("long").alias("t")).agg(*[F.sum(c).alias(c) for c in names])
+    return _arrow_sums(parts, splits, names)
 
 
-def _arrow_sums(obs: DataFrame, splits: Sequence[int], criterion: str) -> DataFrame:
+def _arrow_sums(parts: DataFrame, splits: Sequence[int], names: Sequence[str]) -> DataFrame:
     import numpy as np
-    import pyarrow as pa
 
-    importable(obs.sparkSession)
-    held = obs.sparkSession.sparkContext.broadcast(np.array(splits, np.int64))
-    names = L.sum_columns(criterion)
+    importable(parts.sparkSession)
+    held = parts.sparkSession.sparkContext.broadcast(np.array(splits, np.int64))
 
     def run(batches):
         for batch in batches:
-            x, y = batch.column("x").to_numpy(zero_copy_only=False), batch.column("y").to_numpy(zero_copy_only=False)
-            t = np.searchsorted(held.value, x, "left")
+            t = np.searchsorted(held.value, batch.column("x").to_numpy(zero_copy_only=False), "left")
             ids, at = np.unique(t, return_inverse=True)
-            if criterion == "mse":
-                y = y.astype(np.int64)
-                parts = [np.bincount(at, minlength=len(ids)), *[_whole_sums(at, v, len(ids)) for v in (y, y.astype(object) ** 2 if len(y) and abs(y).max() > 1 << 31 else y * y)]]
-            else:
-                parts = [np.bincount(at, weights=w, minlength=len(ids)).astype(np.int64) for w in (y > 0, y <= 0)]
-            kinds = [pa.int64(), pa.decimal128(38, 0), pa.decimal128(38, 0)] if criterion == "mse" else [pa.int64(), pa.int64()]
-            arrays = [pa.array(ids, pa.int64()), *[pa.array([int(v) for v in p], pa.int64()).cast(k) if k == pa.int64() else pa.array([_decimal(v) for v in p], k) for p, k in zip(parts, kinds, strict=True)]]
-            yield pa.RecordBatch.from_arrays(arrays, names=["t", *names])
-
-    kinds = ["long", "decimal(38,0)", "decimal(38,0)"] if criterion == "mse" else ["long", "long"]
-    partial = obs.select("x", "y").mapInArrow(run, "t long, " + ", ".join(f"{c} {k}" for c, k in zip(names, kinds, strict=True)))
-    return partial.groupBy("t").agg(*[F.sum(c).cast(k).alias(c) for c, k in zip(names, kinds, strict=True)])
-
-
-def _whole_sums(at, values, n: int) -> list[int]:
-    out = [0] * n
-    for k, v in zip(at.tolist(), values.tolist(), strict=True):
-        out[k] += v
-    return out
+            own = [_exact_sums(at, batch.column(c).to_numpy(zero_copy_only=False), len(ids)) for c in names]
+            yield pa.RecordBatch.from_arrays([pa.array(v, pa.int64()) for v in (ids, *own)], names=["t", *names])
+
+    partial = parts.mapInArrow(run, "t long, " + ", ".join(f"{c} long" for c in names))
+    return partial.groupBy("t").agg(*[F.sum(c).alias(c) for c in names])
+
+
+def _exact_sums(at, values, n: int):
+    """Whole sums by group: halves of 31 bits add up exactly as floats in any batch of under 2**22 rows."""
+    import numpy as np
+
+    high, low = values >> 31, values & 0x7FFFFFFF
+    return (np.bincount(at, weights=high, minlength=n).astype(np.int64) << 31) + np.bincount(at, weights=low, minlength=n).astype(np.int64)
+
+
+def side_error(criterion: str, *sums: int) -> float:
+    """The same arithmetic as the column expressions."""
+    if criterion == "mse":
+        n, s, q = sums
+        return max(float(q) - float(s) * float(s) / float(n), 0.0) if n else 0.0
+    pos, neg = sums
+    n = float(pos + neg)
+    if criterion == "misclassification":
+        return float(min(pos, neg))
+    return n - (float(pos) * pos + float(neg) * neg) / n if n else 0.0
 
 
-def _decimal(v: int):
-    from decimal import Decimal
+def sides(parts: DataFrame, splits: Sequence[int], criterion: str, method: str = "bsearch") -> list[tuple]:
+    """(j, left sums, right sums) on the driver: k + 1 rows are collected."""
+    return prefix_sides({r[0]: tuple(r[1:]) for r in interval_sums(parts, splits, criterion, method).collect()}, splits, criterion)
 
-    return Decimal(int(v))
+
+def prefix_sides(by_t: dict[int, tuple], splits: Sequence[int], criterion: str) -> list[tuple]:
+    """The same from the summed parts of each interval."""
+    width = len(H.part_names(criterion))
+    upto = list(accumulate((by_t.get(t, (0,) * width) for t in range(len(splits) + 1)), lambda a, b: tuple(x + y for x, y in zip(a, b, strict=True))))
+    every = H.whole_sums(criterion, upto[-1])
+    out = []
+    for j, row in zip(splits, upto, strict=False):
+        left = H.whole_sums(criterion, row)
+        out.append((j, left, tuple(a - b for a, b in zip(every, left, strict=True))))
+    return out
 
 
-def losses(obs: DataFrame, splits: Sequence[int], criterion: str = "mse", scale: int = 1, method: str | None = None) -> DataFrame:
-    """The curve (as ``curves.curve_of`` gives it) at the given splits."""
+def errors(parts: DataFrame, splits: Sequence[int], criterion: str) -> dict[int, tuple[float, float]]:
+    """Both sides' errors of each split, for searches that the driver steers."""
+    splits = sorted(set(splits))
+    return {j: (side_error(criterion, *a), side_error(criterion, *b)) for j, a, b in sides(parts, splits, criterion, "bsearch" if len(splits) <= BSEARCH_MAX else "arrow")}
+
+
+def losses(obs: DataFrame, splits: Sequence[int] | DataFrame, criterion: str = "mse", scale: int = 1, method: str | None = None) -> DataFrame:
+    """The curve (as ``curves.curve_of`` gives it) at the given splits: a list, or a frame with a column ``x``."""
+    if isinstance(splits, DataFrame):
+        return _merged(obs, splits.select("x"), criterion, scale)
     splits = sorted(set(splits))
     method = method or method_for(len(splits))
-    spark = obs.sparkSession
-    cols = L.sum_columns(criterion)
-    listed = spark.createDataFrame([(t, int(j)) for t, j in enumerate(splits)], "t long, x long")
-    if method in ("bsearch", "arrow"):
-        # k + 1 rows at most.
-        by_t = interval_sums(obs, splits, criterion, method)
-        slots = listed.unionByName(spark.createDataFrame([(len(splits), None)], "t long, x long"))
-        filled = slots.join(by_t, "t", "left").select("t", "x", *[F.coalesce(c, F.lit(0)).alias(c) for c in cols])
-        upto, every = Window.orderBy("t").rowsBetween(Window.unboundedPreceding, 0), Window.partitionBy()
-        summed = filled.select("x", *[F.sum(c).over(upto).alias(f"{c}_upto") for c in cols], *[F.sum(c).over(every).alias(f"{c}_all") for c in cols]).where("x is not null")
-        return with_losses(summed, [F.col(f"{c}_upto") for c in cols], [F.col(f"{c}_all") - F.col(f"{c}_upto") for c in cols], criterion, scale, ["x"])
+    if method not in METHODS:
+        raise ValueError(f"no such method: {method}")
     if method == "merge":
-        none = [F.lit(0).cast("decimal(38,0)" if c in "sq" else "long").alias(c) for c in cols]
-        hist = histogram(obs, criterion).select("x", *cols).unionByName(listed.select("x", *none)).groupBy("x").agg(*[F.sum(c).cast("decimal(38,0)" if c in "sq" else "long").alias(c) for c in cols])
-        return curve_of(hist.persist(), criterion, scale).join(F.broadcast(listed.select("x")), "x", "left_semi")
+        return _merged(obs, _frame(obs, splits), criterion, scale)
     if method == "naive":
-        met = obs.crossJoin(F.broadcast(listed.select(F.col("x").alias("j"))))
-        left = F.when(F.col("x") <= F.col("j"), F.col("y"))
-        right = F.when(F.col("x") > F.col("j"), F.col("y"))
-        both = met.groupBy("j").agg(*[c.alias(f"l{k}") for k, c in enumerate(sums(criterion, left))], *[c.alias(f"r{k}") for k, c in enumerate(sums(criterion, right))])
-        side = lambda p: [F.coalesce(F.col(f"{p}{k}"), F.lit(0)) for k in range(len(cols))]
-        return with_losses(both.withColumnRenamed("j", "x"), side("l"), side("r"), criterion, scale, ["x"])
+        return _naive(obs, splits, criterion, scale)
     if method == "two_pass":
         return two_pass(obs, splits, scale)
-    raise ValueError(f"no such method: {method}")
+    cols = L.sum_columns(criterion)
+    if method == "bsearch":
+        return local_curve(obs.sparkSession, sides(parts_of(obs, criterion), splits, criterion), criterion, scale)
+    by_t = interval_sums(parts_of(obs, criterion), splits, criterion, method)
+    slots = obs.sparkSession.createDataFrame(pa.table({"t": pa.array(range(len(splits) + 1), pa.int64()), "x": pa.array([*splits, None], pa.int64())}))
+    filled = slots.join(by_t, "t", "left").select("t", "x", *[F.coalesce(c, F.lit(0)).alias(c) for c in H.part_names(criterion)]).select("t", "x", *H.joined(criterion))
+    filled = hold(filled)
+    every = filled.agg(*[F.sum(c) for c in cols]).first()
+    upto = scan(filled, "t", cols).where("x is not null")
+    right = [H.whole(v, "decimal(38,0)" if c in ("s", "q") else "long") - F.col(f"{c}_upto") for v, c in zip(every, cols, strict=True)]
+    return with_losses(upto, [F.col(f"{c}_upto") for c in cols], right, criterion, scale, ["x"])
+
+
+def local_curve(spark: SparkSession, rows: Sequence[tuple], criterion: str, scale: int) -> DataFrame:
+    """The curve from (j, left sums, right sums) of the driver; whole numbers travel as text, which has no limit."""
+    cols = L.sum_columns(criterion)
+    kind = {c: "long" if c in ("n", "pos", "neg") else "decimal(38,0)" for c in cols}
+    names = ["x", *[f"{c}_l" for c in cols], *[f"{c}_r" for c in cols]]
+    flat = [[str(v) for v in col] for col in zip(*((j, *a, *b) for j, a, b in rows), strict=True)]
+    texts = spark.createDataFrame(pa.table(dict(zip(names, flat or [[] for _ in names], strict=True)), schema=pa.schema([(c, pa.string()) for c in names])))
+    local = texts.select(F.col("x").cast("long").alias("x"), *[F.col(f"{c}_{k}").cast(kind[c]).alias(f"{c}_{k}") for k in "lr" for c in cols])
+    return with_losses(local, [F.col(f"{c}_l") for c in cols], [F.col(f"{c}_r") for c in cols], criterion, scale, ["x"])
+
+
+def _frame(obs: DataFrame, splits: Sequence[int]) -> DataFrame:
+    return obs.sparkSession.createDataFrame(pa.table({"x": pa.array(splits, pa.int64())}))
+
+
+def _merged(obs: DataFrame, splits: DataFrame, criterion: str, scale: int) -> DataFrame:
+    """Splits as tagged rows without observations: no list of them leaves the executors."""
+    names = H.part_names(criterion)
+    rows = parts_of(obs, criterion).withColumn("_asked", F.lit(0)).unionByName(splits.select("x", *[F.lit(0).cast("long").alias(c) for c in names], F.lit(1).alias("_asked")))
+    summed = rows.groupBy("x").agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in names], F.max("_asked").alias("_asked"))
+    hist = hold(summed.select("x", *H.joined(criterion), "_asked"))
+    # Values that were not asked for leave their sums behind, then go.
+    return curve_of(hist, criterion, scale).join(hist.where("_asked = 1").select("x"), "x", "left_semi")
+
+
+def _naive(obs: DataFrame, splits: Sequence[int], criterion: str, scale: int) -> DataFrame:
+    """Every row meets every split: the quadratic baseline."""
+    names = H.part_names(criterion)
+    # The list is the caller's; the method is for few splits.
+    met = parts_of(obs, criterion).crossJoin(F.broadcast(_frame(obs, splits).select(F.col("x").alias("j"))))
+    is_left = F.col("x") <= F.col("j")
+    side = lambda keep, p: [F.coalesce(F.sum(F.when(keep, F.col(c))), F.lit(0)).alias(f"{p}{c}") for c in names]
+    both = met.groupBy("j").agg(*side(is_left, "l_"), *side(~is_left, "r_"))
+    cols = L.sum_columns(criterion)
+    summed = both.select(F.col("j").alias("x"), *H.joined(criterion, "l_"), *H.joined(criterion, "r_"))
+    return with_losses(summed, [F.col(f"l_{c}") for c in cols], [F.col(f"r_{c}") for c in cols], criterion, scale, ["x"])
 
 
 def two_pass(obs: DataFrame, splits: Sequence[int], scale: int = 1) -> DataFrame:
     """Squared errors by their definition: a pass for the means, another for the deviations."""
-    spark = obs.sparkSession
-    listed = F.broadcast(spark.createDataFrame([(int(j),) for j in splits], "j long"))
+    listed = F.broadcast(_frame(obs, sorted(set(splits))).select(F.col("x").alias("j")))
     y = F.col("y").cast("double") / scale
     met = obs.select("x", y.alias("y")).crossJoin(listed)
     is_left = F.col("x") <= F.col("j")
     means = met.groupBy("j").agg(F.avg(F.when(is_left, F.col("y"))).alias("pred_left"), F.avg(F.when(~is_left, F.col("y"))).alias("pred_right"), F.count_if(is_left).alias("n_left"), F.count_if(~is_left).alias("n_right"))
+    # A row for each split of the caller's list.
     off = met.join(F.broadcast(means), "j")
     square = lambda c: (F.col("y") - F.col(c)) * (F.col("y") - F.col(c))
-    errors = off.groupBy("j", "n_left", "n_right", "pred_left", "pred_right").agg(F.coalesce(F.sum(F.when(is_left, square("pred_left"))), F.lit(0.0)).alias("err_left"), F.coalesce(F.sum(F.when(~is_left, square("pred_right"))), F.lit(0.0)).alias("err_right"))
-    return errors.select(F.col("j").alias("x"), "n_left", "n_right", "err_left", "err_right", "pred_left", "pred_right", ((F.col("err_left") + F.col("err_right")) / (F.col("n_left") + F.col("n_right"))).alias("loss"))
+    errors_ = off.groupBy("j", "n_left", "n_right", "pred_left", "pred_right").agg(F.coalesce(F.sum(F.when(is_left, square("pred_left"))), F.lit(0.0)).alias("err_left"), F.coalesce(F.sum(F.when(~is_left, square("pred_right"))), F.lit(0.0)).alias("err_right"))
+    return errors_.select(F.col("j").alias("x"), "n_left", "n_right", "err_left", "err_right", "pred_left", "pred_right", ((F.col("err_left") + F.col("err_right")) / (F.col("n_left") + F.col("n_right"))).alias("loss"))
 
 
 def from_sample(sample: DataFrame, n_domain: int, limit: int = 5_000_000) -> list[int]:
     """Sampled values and their predecessors, with the sentinels 0 and N: the candidates of the additive search."""
-    values = [r.x for r in sample.select("x").distinct().limit(limit + 1).collect()]
+    values = sample.select("x").distinct().limit(limit + 1).toArrow().column("x").to_pylist()
     if len(values) > limit:
-        raise ValueError(f"over {limit} candidates; take a larger eps")
+        raise ValueError(f"over {limit} candidates; take a larger eps, or from_sample_table")
     return sorted({v for x in values for v in (x, x - 1) if 0 <= v <= n_domain} | {0, n_domain})
+
+
+def from_sample_table(sample: DataFrame, n_domain: int) -> DataFrame:
+    """The same as a frame, for samples that should not visit the driver."""
+    both = sample.select(F.explode(F.array(F.col("x"), F.col("x") - 1)).alias("x")).where(F.col("x").between(0, n_domain))
+    ends = sample.sparkSession.range(2).select(F.when(F.col("id") == 0, 0).otherwise(F.lit(n_domain)).cast("long").alias("x"))
+    return both.unionByName(ends).distinct()

@@ -29,7 +29,8 @@ def additive_split(obs: DataFrame, keys: Sequence[str | Column], eps: float, dom
     if criterion == "misclassification":
         curve = curve.withColumn("loss", (F.col("err_left") + F.col("err_right")) / F.lit(p) / F.lit(float(domain.m)))
     if ledger:
-        ledger.scanned()
+        ledger.sampled(round(p * domain.m))
+        ledger.scanned(round(p * domain.m))
     out = best(curve, digits)
     return out.select("j", "loss", "pred_left", "pred_right", F.round(F.col("n_left") / F.lit(p)).cast("long").alias("n_left"), F.round(F.col("n_right") / F.lit(p)).cast("long").alias("n_right"))
 

@@ -8,9 +8,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import losses
-from .histogram import histogram
+from .held import hold
+from .histogram import histogram, whole
 from .prefix import scan
 
+#: Totals below this are scanned as longs: squares bound the sums of labels.
+LONG_LIMIT = 1 << 62
+
 
 def curve_of(hist: DataFrame, criterion: str = "mse", scale: int = 1, by: Sequence[str] = (), x: str = "x") -> DataFrame:
     """(by, x, n_left, n_right, err_left, err_right, loss, pred_left, pred_right) at every x of a histogram.
@@ -19,14 +23,14 @@ def curve_of(hist: DataFrame, criterion: str = "mse", scale: int = 1, by: Sequen
     the right one is the total less the left one.
     """
     cols = losses.sum_columns(criterion)
-    upto = scan(hist, x, cols, by)
     if by:
-        totals = F.broadcast(hist.groupBy(*by).agg(*[F.sum(c).alias(f"{c}_all") for c in cols]))
-        upto = upto.join(totals, list(by))
+        upto = scan(hist, x, cols, by)
+        upto = upto.join(hist.groupBy(*by).agg(*[F.sum(c).alias(f"{c}_all") for c in cols]), list(by))
     else:
-        row = hist.agg(*[F.sum(c) for c in cols]).first()
-        kinds = dict(hist.dtypes)
-        upto = upto.withColumns({f"{c}_all": F.lit(v).cast("decimal(38,0)" if "decimal" in kinds[c] else "long") for c, v in zip(cols, row, strict=True)})
+        row = [int(v or 0) for v in hist.agg(*[F.sum(c) for c in cols]).first()]
+        kind = "long" if max(map(abs, row)) < LONG_LIMIT else "decimal(38,0)"
+        upto = scan(hist.select(*[F.col(c).cast(kind).alias(c) if c in cols else F.col(c) for c in hist.columns]), x, cols)
+        upto = upto.withColumns({f"{c}_all": whole(v, kind) for c, v in zip(cols, row, strict=True)})
     left = [F.col(f"{c}_upto") for c in cols]
     right = [F.col(f"{c}_all") - F.col(f"{c}_upto") for c in cols]
     return with_losses(upto, left, right, criterion, scale, [*by, x])
@@ -49,7 +53,7 @@ def with_losses(df: DataFrame, left: list, right: list, criterion: str, scale: i
 
 def loss_curve(obs: DataFrame, criterion: str = "mse", scale: int = 1) -> DataFrame:
     """The loss of the split at every distinct x."""
-    return curve_of(histogram(obs, criterion).persist(), criterion, scale)
+    return curve_of(hold(histogram(obs, criterion)), criterion, scale)
 
 
 def best(curve: DataFrame, digits: int = losses.DIGITS, x: str = "x") -> DataFrame:

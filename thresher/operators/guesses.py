@@ -78,7 +78,7 @@ def levels_for(n: int, beta: float) -> int:
     return max(1, math.floor(beta * math.log2(max(2, n))))
 
 
-def search(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1) -> tuple[int, float, int]:
+def search(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1, note: Callable[[int], None] | None = None) -> tuple[int, float, int]:
     """The split of the least met bound, that bound, and the number of passes. Smallest split on ties."""
     guesses = [Guess(a, b, 1, n) for a in grid for b in grid]
     passes = 0
@@ -88,6 +88,8 @@ def search(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1) -> tu
         live = [g for g in guesses if g.live() and g.left + g.right <= met]
         if not live:
             break
+        if note:
+            note(len(live))
         probes = sorted({j for a, b in {(g.low, g.high) for g in live} for j in expand(a, b, levels)})
         advance(live, evaluate(probes))
         passes += 1
@@ -95,7 +97,7 @@ def search(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1) -> tu
     return j, bound, passes
 
 
-def frontier(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1) -> tuple[int, float, int]:
+def frontier(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1, note: Callable[[int], None] | None = None) -> tuple[int, float, int]:
     """For each grid value alone: the last split whose left error, and the first whose right error,
     is at most it. A pair is met if the one does not lie before the other; its split is the
     right one's. Two searches for each value in place of one for each pair."""
@@ -106,6 +108,8 @@ def frontier(grid: list[float], n: int, evaluate: Evaluate, levels: int = 1) ->
         ends = [(*r, "l", z) for z, r in last.items() if r[0] < r[1]] + [(*r, "r", z) for z, r in first.items() if r[0] < r[1]]
         if not ends:
             break
+        if note:
+            note(len(ends))
         probes: set[int] = set()
         for a, b, side, _ in ends:
             probes |= _halvings(a, b, side, levels)

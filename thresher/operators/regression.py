@@ -23,21 +23,32 @@ def additive_split(obs: DataFrame, keys: Sequence[str | Column], eps: float, dom
     """
     domain = domain or resolve(obs)
     ledger = ledger or Ledger()
-    splits = candidates.from_sample(bernoulli(obs, keys, rate(domain.m, domain.n, eps, c), seed, kind), domain.n)
-    ledger.scanned(len(splits))
-    curve = candidates.losses(obs, splits, "mse", scale, method)
-    ledger.scanned(len(splits) + 1, len(splits))
+    p = rate(domain.m, domain.n, eps, c)
+    sample = bernoulli(obs, keys, p, seed, kind)
+    if 2 * p * domain.m > candidates.ARROW_MAX and method in (None, "merge"):
+        splits: list[int] | DataFrame = candidates.from_sample_table(sample, domain.n)
+        k = round(2 * p * domain.m)
+    else:
+        with ledger.one_pass(domain.m):
+            splits = candidates.from_sample(sample, domain.n)
+        k = len(splits)
+    ledger.sampled(k // 2)
+    ledger.scanned(k)
+    with ledger.one_pass(domain.m):
+        curve = candidates.losses(obs, splits, "mse", scale, method)
+    ledger.scanned(k + 1, k)
     # The split at 0 leaves all rows on the right, which is the split at N.
     return best(curve.where("x > 0"), digits)
 
 
-def errors_at(obs: DataFrame, criterion: str, scale: int, ledger: Ledger) -> guesses.Evaluate:
-    """A pass over the observations that evaluates a list of splits."""
+def errors_at(parts: DataFrame, criterion: str, ledger: Ledger, rows: int = 0) -> guesses.Evaluate:
+    """A pass over the observations (or their sums by value) that evaluates a list of splits."""
 
     def evaluate(probes: list[int]) -> guesses.Errors:
-        rows = candidates.losses(obs, probes, criterion, scale).select("x", "err_left", "err_right").collect()
+        with ledger.one_pass(rows):
+            found_ = candidates.errors(parts, probes, criterion)
         ledger.scanned(len(probes) + 1, len(probes))
-        return {r.x: (r.err_left, r.err_right) for r in rows}
+        return found_
 
     return evaluate
 
@@ -64,10 +75,10 @@ def multiplicative_split(obs: DataFrame, eps: float, domain: Domain | None = Non
 
 
 def search_split(obs: DataFrame, values: list[float], domain: Domain, criterion: str, mode: str, beta: float, ledger: Ledger) -> int:
-    evaluate = errors_at(obs, criterion, 1, ledger)
+    evaluate = errors_at(candidates.compact(obs, criterion, domain.m), criterion, ledger, domain.m)
     levels = 1 if mode == "sequential" else guesses.levels_for(domain.n, beta)
     run = guesses.frontier if mode == "frontier" else guesses.search
-    return run(values, domain.n, evaluate, levels)[0]
+    return run(values, domain.n, evaluate, levels, ledger.guessing)[0]
 
 
 def found(obs: DataFrame, j: int, criterion: str, scale: int, digits: int) -> DataFrame:

@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .held import hold
+
 
 def labelled(rows: DataFrame, labels: DataFrame, key: str) -> DataFrame:
     return rows.join(labels.select(key), key, "left_semi")
@@ -34,7 +36,7 @@ def as_of(rows: DataFrame, points: DataFrame, on: str, value: str) -> DataFrame:
     tagged = rows.withColumns({"_side": F.lit(1), "_at": F.lit(None).cast(points.schema[on].dataType), "_value": F.lit(None).cast(points.schema[value].dataType)})
     blank = [F.lit(None).cast(f.dataType).alias(f.name) for f in rows.schema if f.name != on]
     named = points.select(F.col(on), *blank, F.lit(0).alias("_side"), F.col(on).alias("_at"), F.col(value).alias("_value"))
-    ranged = tagged.unionByName(named).repartitionByRange(on).withColumn("_range", F.spark_partition_id()).persist()
+    ranged = hold(tagged.unionByName(named).repartitionByRange(on).withColumn("_range", F.spark_partition_id()))
     inside = Window.partitionBy("_range").orderBy(on, "_side").rowsBetween(Window.unboundedPreceding, 0)
     point = F.when(F.col("_side") == 0, F.struct("_at", "_value"))
     ends = ranged.groupBy("_range").agg(F.max(point).alias("_end"))

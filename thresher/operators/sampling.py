@@ -38,10 +38,13 @@ def _hash(keys: Sequence[str | Column], seed: int, kind: str) -> tuple[Column, i
 
 def bernoulli(df: DataFrame, keys: Sequence[str | Column], p: float, seed: int = 0, kind: str = "xxhash64") -> DataFrame:
     """Every row on its own with probability p: a filter, nothing is shuffled."""
-    if p >= 1:
-        return df
+    return df if p >= 1 else df.where(kept(keys, p, seed, kind))
+
+
+def kept(keys: Sequence[str | Column], p: float, seed: int = 0, kind: str = "xxhash64") -> Column:
+    """Whether a row is in the sample."""
     h, size = _hash(keys, seed, kind)
-    return df.where(h < math.floor(p * size))
+    return F.lit(True) if p >= 1 else h < math.floor(p * size)
 
 
 def bottom_k(df: DataFrame, keys: Sequence[str], k: int, seed: int = 0, kind: str = "xxhash64") -> DataFrame:

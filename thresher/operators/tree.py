@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .curves import curve_of
+from .held import hold
 from .histogram import histogram
 
 
@@ -19,11 +20,19 @@ def long_form(df: DataFrame, features: Sequence[str], y: str, keep: Sequence[str
 
 
 def best_split(df: DataFrame, features: Sequence[str], y: str, criterion: str = "mse", scale: int = 1, by: Sequence[str] = (), digits: int = 6) -> DataFrame:
-    """(by, attr, j, loss): the best attribute and split, in each group of ``by``."""
+    """(by, attr, j, loss): the best attribute and split, in each group of ``by`` that can be split."""
+    return split_or_leaf(df, features, y, criterion, scale, by, digits).where("b is not null").select(*by, "b.*")
+
+
+def split_or_leaf(df: DataFrame, features: Sequence[str], y: str, criterion: str = "mse", scale: int = 1, by: Sequence[str] = (), digits: int = 6) -> DataFrame:
+    """(by, b, leaf): the best split of each group (null without one), and the group as a leaf: loss, prediction, rows."""
     curve = attribute_curves(df, features, y, criterion, scale, by)
-    rounded = curve.withColumn("loss", F.round("loss", digits)).where("n_right > 0")
-    chosen = F.min_by(F.struct("attr", F.col("x").alias("j"), "loss", "n_left", "n_right", "pred_left", "pred_right"), F.struct("loss", "attr", "x")).alias("b")
-    return rounded.groupBy(*by).agg(chosen).where("b is not null").select(*by, "b.*")
+    rounded = curve.withColumn("loss", F.round("loss", digits))
+    chosen = F.min_by(F.struct("attr", F.col("x").alias("j"), "loss", "n_left", "n_right", "pred_left", "pred_right"), F.when(F.col("n_right") > 0, F.struct("loss", "attr", "x")))
+    # The split at an attribute's largest value leaves nothing on the right: that is the leaf.
+    leaf = F.min_by(F.struct("loss", F.col("pred_left").alias("prediction"), F.col("n_left").alias("rows")), F.when(F.col("n_right") == 0, F.col("attr")))
+    can = F.count_if(F.col("n_right") > 0) > 0
+    return rounded.groupBy(*by).agg(F.when(can, chosen).alias("b"), leaf.alias("leaf"))
 
 
 def per_attribute(df: DataFrame, features: Sequence[str], y: str, criterion: str = "mse", scale: int = 1, digits: int = 6) -> DataFrame:
@@ -34,7 +43,7 @@ def per_attribute(df: DataFrame, features: Sequence[str], y: str, criterion: str
 
 def attribute_curves(df: DataFrame, features: Sequence[str], y: str, criterion: str, scale: int, by: Sequence[str] = ()) -> DataFrame:
     obs = long_form(df, features, y, by)
-    return curve_of(histogram(obs, criterion, [*by, "attr"]).persist(), criterion, scale, [*by, "attr"])
+    return curve_of(hold(histogram(obs, criterion, [*by, "attr"])), criterion, scale, [*by, "attr"])
 
 
 @dataclass
@@ -49,20 +58,27 @@ class Node:
 
 
 def grow(df: DataFrame, features: Sequence[str], y: str, criterion: str = "mse", max_depth: int = 2, min_rows: int = 1, min_gain: float = 0.0, scale: int = 1, digits: int = 6) -> Node:
-    """Top-down growth; a level is one job over the pruned columns, whatever the number of its nodes."""
+    """Top-down growth; a level is one job over the pruned columns, whatever the number of its nodes.
+
+    A node is split if both sides have ``min_rows`` rows and the loss falls by ``min_gain`` at least. A node that
+    is not split predicts its mean or majority, the root too.
+    """
     root = Node(1)
     level = [root]
     for _ in range(max_depth):
         placed = df.select(*features, y, node_number(root).alias("node"))
         open_ = [n.number for n in level]
-        found = {r.node: r for r in best_split(placed.where(F.col("node").isin(open_)), features, y, criterion, scale, ["node"], digits).collect()}
+        found = {r.node: r for r in split_or_leaf(placed.where(F.col("node").isin(open_)), features, y, criterion, scale, ["node"], digits).collect()}
         after = []
         for node in level:
             r = found.get(node.number)
-            if r is None or r.n_left < min_rows or r.n_right < min_rows or node.loss is not None and node.loss - r.loss < min_gain:
+            if r is None:
+                continue
+            node.prediction, node.rows, node.loss = r.leaf.prediction, r.leaf.rows, r.leaf.loss
+            if r.b is None or r.b.n_left < min_rows or r.b.n_right < min_rows or round(r.leaf.loss - r.b.loss, digits) < min_gain:
                 continue
-            node.attr, node.split, node.loss, node.rows = r.attr, r.j, r.loss, r.n_left + r.n_right
-            node.children = [Node(2 * node.number, r.pred_left, rows=r.n_left), Node(2 * node.number + 1, r.pred_right, rows=r.n_right)]
+            node.attr, node.split, node.loss = r.b.attr, r.b.j, r.b.loss
+            node.children = [Node(2 * node.number, r.b.pred_left, rows=r.b.n_left), Node(2 * node.number + 1, r.b.pred_right, rows=r.b.n_right)]
             after += node.children
         level = after
         if not level:

@@ -15,6 +15,10 @@ from .tables import table
 LINE_KEYS = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "x")
 SCALE = {"qty": 100, "price_qty": 1, "ship_discount": 100, "order_total": 100, "event_value": 100, "part": 100, "doc_words": 1, "planted": 1}
 
+#: The points (x, y) of the two worked examples.
+FIGURE_REGRESSION = [(1, 6), (1, 7), (2, 8), (3, 8), (3, 6), (2, 7), (4, 7), (5, 2), (6, 2), (6, 1), (7, 3), (8, 2), (9, 3), (9, 1)]
+FIGURE_CLASSIFICATION = [(1, 1), (1, -1), (2, 1), (3, 1), (3, 1), (2, -1), (4, 1), (5, -1), (6, -1), (7, -1), (8, -1), (9, -1), (9, 1)]
+
 
 def _noise() -> Column:
     return F.col("l_orderkey") * 7919 + F.col("l_linenumber") * 104729
@@ -96,14 +100,12 @@ def conversation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def figure_regression(spark: SparkSession) -> DataFrame:
     """The worked regression example: its best split is 4."""
-    rows = [(1, 6), (1, 7), (2, 8), (3, 8), (3, 6), (2, 7), (4, 7), (5, 2), (6, 2), (6, 1), (7, 3), (8, 2), (9, 3), (9, 1)]
-    return spark.createDataFrame([(x, y, k) for k, (x, y) in enumerate(rows)], "x long, y long, id long")
+    return spark.createDataFrame([(x, y, k) for k, (x, y) in enumerate(FIGURE_REGRESSION)], "x long, y long, id long")
 
 
 def figure_classification(spark: SparkSession) -> DataFrame:
     """The worked classification example: its best split is 4."""
-    rows = [(1, 1), (1, -1), (2, 1), (3, 1), (3, 1), (2, -1), (4, 1), (5, -1), (6, -1), (7, -1), (8, -1), (9, -1), (9, 1)]
-    return spark.createDataFrame([(x, y, k) for k, (x, y) in enumerate(rows)], "x long, y int, id long")
+    return spark.createDataFrame([(x, y, k) for k, (x, y) in enumerate(FIGURE_CLASSIFICATION)], "x long, y int, id long")
 
 
 def line_features(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -4,17 +4,21 @@ Histograms are streaming aggregates: state is a row for each distinct x and wind
 beyond the watermark are dropped. Bernoulli samples are stateless filters; samples of an
 unknown number of rows keep a cap by halving their rate, which hash samples allow without
 loss because they nest. Searches that scan again (two passes or more) need a table: they raise.
+
+The ``foreachBatch`` sinks keep their state as one table for each batch in a folder that all executors
+see. A batch that is replayed starts from the state before it and writes the same table again, so
+nothing counts twice, and a new process goes on from the last table.
 """
 
 from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators import histogram as H
 from ..operators.curves import best, curve_of
-from ..operators.histogram import sums
 from ..operators.sampling import MODULUS, lcg
 
 ONE_PASS = ("exact", "sampled")
@@ -28,7 +32,8 @@ def check_one_pass(df: DataFrame, method: str) -> None:
 def windowed_histogram(stream: DataFrame, time: str, window: str, criterion: str = "mse", watermark: str = "1 hour", slide: str | None = None, session_gap: str | None = None) -> DataFrame:
     """(start, x, sums): tumbling windows, sliding ones with ``slide``, sessions with ``session_gap``."""
     at = F.session_window(time, session_gap) if session_gap else F.window(time, window, slide) if slide else F.window(time, window)
-    return stream.withWatermark(time, watermark).groupBy(at.alias("w"), "x").agg(*sums(criterion, F.col("y"))).select(F.col("w.start").alias("start"), "x", *(["n", "s", "q"] if criterion == "mse" else ["pos", "neg"]))
+    summed = stream.withWatermark(time, watermark).groupBy(at.alias("w"), "x").agg(*H.part_sums(criterion, F.col("y")))
+    return summed.select(F.col("w.start").alias("start"), "x", *H.joined(criterion))
 
 
 def window_splits(hist: DataFrame, criterion: str = "mse", scale: int = 1, digits: int = 6) -> DataFrame:
@@ -38,8 +43,8 @@ def window_splits(hist: DataFrame, criterion: str = "mse", scale: int = 1, digit
     return curve.groupBy("start").agg(chosen).select("start", "b.j", "b.loss", "b.n")
 
 
-def run_to_table(hist: DataFrame, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
-    """Runs the stream over what there is into a memory table, and gives that table."""
+def run_to_memory(hist: DataFrame, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
+    """Runs the stream over what there is into the driver's memory: for looking at small results."""
     writer = hist.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
     query = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
     query.awaitTermination()
@@ -47,50 +52,111 @@ def run_to_table(hist: DataFrame, name: str, mode: str = "complete", checkpoint:
     return hist.sparkSession.createDataFrame(hist.sparkSession.table(name).toArrow())
 
 
+def run_to_table(hist: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Runs the stream over what there is and gives its last complete result, a Parquet table under ``path``.
+
+    Each trigger writes a table of its own, named by its number: a replayed trigger overwrites its own.
+    """
+    store = States(hist.sparkSession, path)
+    hist.writeStream.foreachBatch(lambda batch, number: store.write(batch, number)).outputMode("complete").option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return store.latest()
+
+
+class States:
+    """Tables by batch number in one folder; a table counts once its success mark is there."""
+
+    def __init__(self, spark: SparkSession, path: str, schema=None):
+        self.spark, self.path, self.schema = spark, path.rstrip("/"), schema
+        jvm = spark._jvm
+        self._root = jvm.org.apache.hadoop.fs.Path(self.path)
+        self._fs = self._root.getFileSystem(spark._jsc.hadoopConfiguration())
+
+    def numbers(self) -> list[int]:
+        if not self._fs.exists(self._root):
+            return []
+        names = [s.getPath().getName() for s in self._fs.listStatus(self._root)]
+        done = lambda n: self._fs.exists(self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{n}/_SUCCESS"))
+        return sorted(int(n) for n in names if n.isdigit() and done(n))
+
+    def write(self, df: DataFrame, number: int, keep: int = 3) -> None:
+        self.schema = df.schema
+        df.write.mode("overwrite").parquet(f"{self.path}/{number}")
+        for old in [n for n in self.numbers() if n <= number - keep]:
+            self._fs.delete(self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{old}"), True)
+
+    def before(self, number: int) -> DataFrame | None:
+        """The state that a batch starts from."""
+        earlier = [n for n in self.numbers() if n < number]
+        return self._read(earlier[-1]) if earlier else None
+
+    def latest(self) -> DataFrame | None:
+        found = self.numbers()
+        return self._read(found[-1]) if found else None
+
+    def _read(self, number: int) -> DataFrame:
+        reader = self.spark.read.schema(self.schema) if self.schema else self.spark.read
+        return reader.parquet(f"{self.path}/{number}")
+
+
 class StreamingHistogram:
     """A ``foreachBatch`` sink that merges sums into a table of at most one row for each distinct x."""
 
-    def __init__(self, criterion: str = "mse", scale: int = 1):
-        self.criterion, self.scale, self.merged = criterion, scale, None
+    def __init__(self, spark: SparkSession, path: str, criterion: str = "mse", scale: int = 1):
+        self.criterion, self.scale, self.states = criterion, scale, States(spark, path)
 
     def __call__(self, batch: DataFrame, number: int) -> None:
-        new = batch.groupBy("x").agg(*sums(self.criterion, F.col("y")))
-        if self.merged is not None:
-            cols = [c for c in new.columns if c != "x"]
-            kinds = dict(new.dtypes)
-            new = self.merged.unionByName(new).groupBy("x").agg(*[F.sum(c).cast(kinds[c]).alias(c) for c in cols])
-        after = new.checkpoint()
-        self.merged = after
+        names = H.part_names(self.criterion)
+        new = batch.groupBy("x").agg(*H.part_sums(self.criterion, F.col("y")))
+        if (have := self.states.before(number)) is not None:
+            new = have.unionByName(new).groupBy("x").agg(*[F.sum(c).alias(c) for c in names])
+        self.states.write(new, number)
+
+    @property
+    def merged(self) -> DataFrame:
+        return self.states.latest().select("x", *H.joined(self.criterion))
 
     def split(self, digits: int = 6) -> DataFrame:
         return best(curve_of(self.merged, self.criterion, self.scale), digits)
 
 
 class StreamingSample:
-    """A ``foreachBatch`` sink that keeps a uniform sample of at most ``cap`` rows of an unknown number."""
+    """A ``foreachBatch`` sink that keeps a uniform sample of at most ``cap`` rows of an unknown number.
 
-    def __init__(self, keys: Sequence[str], cap: int, seed: int = 0):
-        self.keys, self.cap, self.seed, self.halvings, self.rows = list(keys), cap, seed, 0, None
+    Rows are kept with the halving level of their hash; the rate is the largest at which at most ``cap`` are left.
+    """
 
-    @property
-    def p(self) -> float:
-        return 0.5**self.halvings
+    def __init__(self, spark: SparkSession, path: str, keys: Sequence[str], cap: int, seed: int = 0):
+        self.keys, self.cap, self.seed, self.states = list(keys), cap, seed, States(spark, path)
 
     def __call__(self, batch: DataFrame, number: int) -> None:
-        spark = batch.sparkSession
-        new = self._under(batch.withColumn("_h", lcg(self.keys, self.seed)))
-        kept = new if self.rows is None else self.rows.unionByName(new)
-        # Bounded by a batch's share and the cap: the driver holds the sample.
-        found = kept.collect()
-        while len(found) > self.cap:
-            self.halvings += 1
-            found = [r for r in found if r["_h"] < MODULUS * self.p]
-        self.rows = spark.createDataFrame(found, kept.schema)
-
-    def _under(self, rows: DataFrame) -> DataFrame:
-        return rows.where(F.col("_h") < MODULUS * self.p)
+        h = F.greatest(lcg(self.keys, self.seed), F.lit(1).cast("long"))
+        level = F.floor(F.log2(F.lit(float(MODULUS)) / h)).cast("int")
+        kept, done = batch.withColumn("_level", level), 0
+        if (have := self.states.before(number)) is not None:
+            done = have.agg(F.max("_halvings")).first()[0] or 0
+            kept = have.drop("_halvings").unionByName(kept.where(F.col("_level") >= done))
+        now = max(done, halvings(kept, self.cap))
+        self.states.write(kept.where(F.col("_level") >= now).withColumn("_halvings", F.lit(now)), number)
+
+    @property
+    def rows(self) -> DataFrame:
+        return self.states.latest().drop("_level", "_halvings")
+
+    @property
+    def p(self) -> float:
+        """The rate at which the kept rows were taken."""
+        return 0.5 ** int(self.states.latest().agg(F.max("_halvings")).first()[0] or 0)
 
     def split(self, criterion: str = "misclassification", digits: int = 6) -> DataFrame:
         from ..operators.curves import exact_split
 
         return exact_split(self.rows.select("x", "y"), criterion, 1, digits)
+
+
+def halvings(rows: DataFrame, cap: int) -> int:
+    """The least number of halvings that leaves at most ``cap`` rows; 63 levels at most are counted."""
+    counts = {int(r["_level"]): r["count"] for r in rows.groupBy("_level").count().collect()}
+    found = 0
+    while found < 62 and sum(n for lv, n in counts.items() if lv >= found) > cap:
+        found += 1
+    return found
