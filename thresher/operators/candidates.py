@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.ml.feature import Bucketizer
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ..functions import losses as L
 from . import histogram as H
@@ -52,12 +53,29 @@ def interval_sums(parts: DataFrame, splits: Sequence[int], criterion: str, metho
     """Summed parts by ``t``, the number of splits below x."""
     names = H.part_names(criterion)
     if method == "bsearch":
-        edges = [float("-inf"), *[float(j + 1) for j in splits], float("inf")]
-        binned = Bucketizer(splits=edges, inputCol="_xd", outputCol="_td").transform(parts.withColumn("_xd", F.col("x").cast("double")))
-        return binned.groupBy(F.col("_td").cast("long").alias("t")).agg(*[F.sum(c).alias(c) for c in names])
+        return with_interval(parts, splits).groupBy("t").agg(*[F.sum(c).alias(c) for c in names])
     return _arrow_sums(parts, splits, names)
 
 
+def with_interval(rows: DataFrame, splits: Sequence[int]) -> DataFrame:
+    """Adds ``t``, the number of splits below x: in the JVM for few splits, by numpy for many."""
+    if len(splits) <= BSEARCH_MAX:
+        edges = [float("-inf"), *[float(j + 1) for j in splits], float("inf")]
+        binned = Bucketizer(splits=edges, inputCol="_xd", outputCol="_td").transform(rows.withColumn("_xd", F.col("x").cast("double")))
+        return binned.withColumn("t", F.col("_td").cast("long")).drop("_xd", "_td")
+    import numpy as np
+
+    importable(rows.sparkSession)
+    held = rows.sparkSession.sparkContext.broadcast(np.array(splits, np.int64))
+
+    def run(batches):
+        for batch in batches:
+            t = np.searchsorted(held.value, batch.column("x").to_numpy(zero_copy_only=False), "left")
+            yield batch.append_column("t", pa.array(t, pa.int64()))
+
+    return rows.mapInArrow(run, StructType([*rows.schema.fields, StructField("t", LongType())]))
+
+
 def _arrow_sums(parts: DataFrame, splits: Sequence[int], names: Sequence[str]) -> DataFrame:
     import numpy as np
 

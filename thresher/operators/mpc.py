@@ -12,7 +12,6 @@ from __future__ import annotations
 import math
 from collections.abc import Sequence
 
-from pyspark.ml.feature import Bucketizer
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -77,11 +76,10 @@ class Cluster:
         one machine is sent once and only the intervals at machine borders more often: k + 1 + 2 machines at most.
         """
         names = H.part_names(criterion)
-        parts = self.sort().select("_machine", F.col("x").cast("double").alias("_xd"), *[c.alias(n) for n, c in H.part_columns(criterion, F.col("y")).items()])
-        edges = [float("-inf"), *[float(j + 1) for j in splits], float("inf")]
-        binned = Bucketizer(splits=edges, inputCol="_xd", outputCol="_td").transform(parts)
+        parts = self.sort().select("_machine", "x", *[c.alias(n) for n, c in H.part_columns(criterion, F.col("y")).items()])
+        binned = candidates.with_interval(parts, splits)
         with self.ledger.one_pass(self.domain.m):
-            partial = binned.groupBy("_machine", F.col("_td").cast("long").alias("t")).agg(*[F.sum(c).alias(c) for c in names])
+            partial = binned.groupBy("_machine", "t").agg(*[F.sum(c).alias(c) for c in names])
             rows = partial.groupBy("t").agg(*[F.sum(c).alias(c) for c in names], F.count("*").alias("_senders")).collect()
         sent = sum(r["_senders"] for r in rows)
         self._held(PAIR * self.share + len(splits))
@@ -96,7 +94,12 @@ class Cluster:
         return evaluate
 
     def result(self, rows: list[tuple], criterion: str, scale: int, digits: int) -> DataFrame:
-        return best(candidates.local_curve(self.obs.sparkSession, rows, criterion, scale).where("x > 0"), digits)
+        """The best of the centre's splits; only those that rounding could make the least become a frame."""
+        unit = float(scale * scale) if criterion == "mse" else 1.0
+        loss = [(candidates.side_error(criterion, *a) + candidates.side_error(criterion, *b)) / unit / max(1, self.domain.m) for _, a, b in rows]
+        limit = min((x for x, r in zip(loss, rows, strict=True) if r[0] > 0), default=0.0) + 10.0**-digits
+        near = [r for x, r in zip(loss, rows, strict=True) if r[0] > 0 and x <= limit]
+        return best(candidates.local_curve(self.obs.sparkSession, near, criterion, scale), digits)
 
     def _held(self, words: int) -> None:
         self.ledger.machine_words = max(self.ledger.machine_words, words)
