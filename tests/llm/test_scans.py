@@ -203,27 +203,101 @@ def test_language_model(spark, hard, empty):
     assert maxent.digest(hard).count() == len(HARD) and maxent.digest(empty).count() == 0
 
 
-def test_word_probabilities_add_up():
-    head = [(maxent.END, 50), *((f"w{k}".encode(), 40 - k) for k in range(30))]
-    tails = {f"t{k}zz".encode(): 1 + k % 3 for k in range(40)}
+def small_vocabulary(n_head=90, n_tail=40):
+    """Head and tail words with their counts, END in front, and the endings that hold them all."""
+    head = [(maxent.END, 200), *((f"w{k}{'aeiou'[k % 5]}n".encode(), 150 - k) for k in range(n_head))]
+    tails = {f"t{k}zz".encode(): 1 + k % 3 for k in range(n_tail)}
     endings: dict[bytes, list[int]] = {}
     for w, c in [*head, *tails.items()]:
         e = endings.setdefault(maxent.ending(w), [0, 0])
         e[0] += c
         e[1] += 1
     total = sum(c for _, c in head) + sum(tails.values())
-    vocabulary = maxent.Vocabulary(head, sorted(((e, c, n) for e, (c, n) in endings.items()), key=lambda x: -x[1]), total, 71)
-    model = maxent.Model(vocabulary, np.random.default_rng(0).normal(size=(maxent.ROWS, maxent.CLASSES)).astype(np.float32))
-    words = [w for w, _ in head] + list(tails)
+    ordered = sorted(((e, c, n) for e, (c, n) in endings.items()), key=lambda x: -x[1])
+    return maxent.Vocabulary(head, ordered, total, len(head) + n_tail), [w for w, _ in head], tails
+
+
+def random_model(vocabulary, seed=0):
+    rng = np.random.default_rng(seed)
+    return maxent.Model(vocabulary, rng.normal(size=(maxent.ROWS, maxent.CLASSES)).astype(np.float32), rng.normal(size=(maxent.INNER_ROWS, maxent.SLOTS)).astype(np.float32))
+
+
+def test_word_probabilities_add_up():
+    vocabulary, head, tails = small_vocabulary()
+    assert set(vocabulary.slots[vocabulary.classes >= maxent.OWN].tolist()) > {0, 1, 2, maxent.SLOTS - 1}
+    model = random_model(vocabulary)
+    words = head + list(tails)
     numbers = vocabulary.numbers(words)
-    before = np.full(len(words), 3)
-    p = model.class_scores(numbers, before, before) + vocabulary.inside[numbers] + np.array([0.0] * len(head) + [math.log10(c + 1) for c in tails.values()])
-    assert 0.5 < (10**p).sum() < 1 + 1e-6
+    for a, b in ((3, 5), (0, 0), (50, 7)):
+        p = model.scores(numbers, np.full(len(words), a), np.full(len(words), b)) + np.array([0.0] * len(head) + [math.log10(c + 1) for c in tails.values()])
+        # What is left is the place of unseen words in each class.
+        unseen = 0.0
+        for k in range(maxent.OWN, maxent.CLASSES):
+            last = len(head) + k * maxent.TAIL_SLOTS
+            unseen += 10 ** model.scores(np.array([last]), np.array([a]), np.array([b]))[0]
+        assert abs((10**p).sum() + unseen - 1) < 1e-3
+
+
+def plain_score(model, counts, text):
+    """Token by token, with plain sums: the class's softmax, the slot's softmax in it, and the share of the slot."""
+    v = model.vocabulary
+    words = [*blank_words(text), maxent.END]
+    total, before, before_that = 0.0, v.end, v.end
+    for w in words:
+        n = int(v.numbers([w])[0])
+        h = model.histories
+        k = int(v.classes[n])
+        z = v.bias.astype(float) + np.clip(sum(model.weights[int(r[0])].astype(float) for r in h.rows(np.array([before]), np.array([before_that]))), -60, 60)
+        p = math.exp(z[k]) / sum(map(math.exp, z))
+        if k >= maxent.OWN:
+            rows = h.inner_rows(np.array([before]), np.array([before_that]), np.array([k]))
+            z = v.inner_bias[k].astype(float) + np.clip(sum(model.inner[int(r[0])].astype(float) for r in rows), -60, 60)
+            slot = int(v.slots[n])
+            p *= math.exp(z[slot]) / sum(map(math.exp, z))
+            if slot == maxent.SLOTS - 1:
+                members = [(x, c) for x, c in counts.items() if int(v.classes[v.numbers([x])[0]]) == k and int(v.slots[v.numbers([x])[0]]) == slot]
+                p *= (counts.get(w, 0) + 1) / (sum(c for _, c in members) + len(members) + 1)
+        total += math.log10(p)
+        before, before_that = n, before
+    return total
+
+
+def test_scores_are_those_of_a_plain_version_alone_and_in_company(spark):
+    vocabulary, head, tails = small_vocabulary()
+    counts = dict(zip(head, vocabulary.counts.astype(int).tolist(), strict=True)) | tails
+    model = random_model(vocabulary, 4)
+    rng = random.Random(2)
+    pool = [w.decode() for w in head[1:]] + [w.decode() for w in tails] + ["unseen", "never"]
+    rows = [(i, " ".join(rng.choice(pool) for _ in range(rng.randrange(0, 12)))) for i in range(40)] + [(90, None), (91, ""), (92, rng.choice(pool))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    table = spark.createDataFrame([(bytearray(w), int(c)) for w, c in counts.items()], "word binary, c long")
+    whole = {r.doc_id: r.score for r in maxent.score(maxent.numbered(docs.coalesce(1), vocabulary), model, table).collect()}
+    for i, text in rows:
+        assert math.isclose(whole[i], plain_score(model, counts, text), rel_tol=1e-5, abs_tol=1e-4), i
+    spread = {r.doc_id: r.score for r in maxent.score(maxent.numbered(docs.repartition(11), vocabulary), model, table).collect()}
+    assert all(abs(spread[i] - whole[i]) < 1e-6 for i in whole)
+    for i in (0, 7, 92):
+        alone = maxent.score(maxent.numbered(docs.where(f"doc_id = {i}"), vocabulary), model, table).first().score
+        assert abs(alone - whole[i]) < 1e-6
+
+
+def test_equal_texts_score_alike_and_frequent_words_fill_the_head(spark, monkeypatch):
+    rows = [(i, f"alpha beta {'gamma' if i % 2 else 'delta'}") for i in range(20)]
+    got = maxent.digest(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    for rest in (0, 1):
+        scores = [r.score for r in got if r.doc_id % 2 == rest]
+        assert max(scores) - min(scores) < 1e-6
+    # A step of frequency that is larger than the head: its first words and the end token are kept.
+    monkeypatch.setattr(maxent, "HEAD", 4)
+    flat = spark.createDataFrame([(bytearray(f"w{k}".encode()), 5) for k in range(30)] + [(bytearray(maxent.END), 5)], "word binary, c long")
+    head = maxent._head(flat)
+    assert 4 <= len(head) <= 5 and maxent.END in dict(head)
 
 
 def test_frequent_words_and_endings_have_classes_of_their_own():
     head = [(maxent.END, 90), *((f"w{k}aa".encode(), 80 - k) for k in range(40))]
     endings = [(b"aa", sum(c for _, c in head[1:]), 40), (maxent.END, 90, 1), *((bytes([97 + k // 26, 97 + k % 26]), 5, 5) for k in range(1, 60))]
     v = maxent.Vocabulary(head, endings, sum(c for _, c, _ in endings), 336)
-    assert len(set(v.classes[:24].tolist())) == 24 and (v.inside[:24] == 0).all()
-    assert len(v.class_of_ending) == 39
+    own = maxent.OWN
+    assert len(set(v.classes[:own].tolist())) == own and (v.inside[:own] == 0).all()
+    assert len(v.class_of_ending) == maxent.CLASSES - own - 1

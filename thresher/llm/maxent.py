@@ -1,24 +1,29 @@
 """A hashed maximum-entropy language model with a class-factored softmax.
 
-P(word | history) = P(class | history) P(word | class). The class comes from a softmax over
+P(word | history) = P(class | history) P(word | class, history). The class comes from a softmax over
 hashed features of the history: the last word, the one before it (a skip feature) and both
-together, each a row of one weight table. The word comes from add-one counts inside its class,
-with one slot for words never seen, so the probabilities of all words add up to one.
+together, each a row of one weight table. Inside a class a second softmax, over hashed features of the
+class with the last word and with the one before it, chooses one of the class's most frequent words or
+the slot of all its others; these share their slot by add-one counts, with one place for words never
+seen. The probabilities of all words add up to one.
 
 Classes: the most frequent words are classes of their own, every other word has the class of its
 last two bytes before closing punctuation; rare endings share a class. A word's class needs no
 count, so words outside the ``HEAD`` most frequent have one too.
 
-Everything is learnt from all training rows. Counts are summed per partition and then by word.
-Weights come from distributed gradient updates: every learner (a task of about
-``LEARNER_TOKENS`` tokens) takes AdaGrad steps over its rows in numpy batches and hands on the
-rows it has touched, and rows are averaged by how often each learner met them. Model, head
-words and class sums have a fixed size and are broadcast; the counts of all other words stay
-a table, and scoring joins it with the rarer words of each document.
+Everything is learnt from all training rows. Counts are summed per partition and then by word. Texts
+are turned into numbers once and stored; training and scoring read these. Weights come from
+distributed gradient updates: every learner (a task of about ``LEARNER_TOKENS`` tokens) takes AdaGrad
+steps over its rows in numpy batches and hands on the rows it has touched, and rows are averaged by
+how often each learner met them. Model, head words and class sums have a fixed size and are broadcast;
+the counts of all other words stay a table, which grows with the corpus, and scoring joins it with the
+rarer words of each document.
+
+A history begins anew with every text, so a text's score depends on the model and the text alone.
 
 Defined cases: a null or empty text is the end token alone; without training rows the counts are
 zero and every word is unknown; repeated rows are scored each; null ids are trained on by the
-remainder of the empty string; very long texts go through in batches; further columns are ignored.
+remainder of the empty string; a very long text is one batch of numbers; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -41,9 +46,12 @@ DIVISOR, HELD_OUT = 7, 2
 #: No word holds white space, so this is no word.
 END = b"\n"
 HEAD, OWN, CLASSES = 1 << 18, 24, 64
-ROWS, TAIL_SLOTS = 1 << 15, 1 << 10
+#: Places of a class's second softmax; the last one is for all words without a place of their own.
+SLOTS = 32
+#: Rows of the two weight tables. A row number has 16 bits at most, which sorts fast.
+ROWS, INNER_ROWS, TAIL_SLOTS = 1 << 15, 1 << 16, 1 << 10
 LEARNER_TOKENS = 8_000_000
-BATCH, STEP, RATE = 4096, 1024, 0.1
+BATCH, STEP, RATE = 4096, 1024, 0.2
 ROW_BLOCK = 256
 LIMIT = 60.0
 _FLUSH = 250_000
@@ -97,16 +105,32 @@ class Vocabulary:
             sums[shared] -= self.counts[k]
             kinds[shared] -= 1
             sums[k] = self.counts[k]
-        self.log_size = np.log10(np.maximum(sums + kinds + 1, 1))
         self.bias = np.log((sums + 1) / (sums.sum() + CLASSES)).astype(np.float32)
         self.bias[len(own) : OWN] = -60.0
         classes = np.array([k if k < len(own) else self.tail_class(w) for k, w in enumerate(self.words)], np.int64)
+        # The most frequent words of a class have a slot; the rest of its count and words is the last one's.
+        slots = np.full(len(classes), SLOTS - 1, np.int64)
+        inner = np.full((CLASSES, SLOTS), -np.inf)
+        order = np.flatnonzero(classes >= len(own)) if len(classes) else np.empty(0, np.int64)
+        order = order[np.argsort(classes[order], kind="stable")]
+        place = np.arange(len(order)) - np.searchsorted(classes[order], classes[order])
+        chosen, place = order[place < SLOTS - 1], place[place < SLOTS - 1]
+        slots[chosen] = place
+        inner[classes[chosen], place] = np.log(self.counts[chosen] + 1)
+        np.subtract.at(sums, classes[chosen], self.counts[chosen])
+        np.subtract.at(kinds, classes[chosen], 1)
+        rest = np.maximum(sums + kinds + 1, 1.0)
+        inner[:, SLOTS - 1] = np.log(rest)
+        inner -= np.log(np.exp(inner).sum(1, keepdims=True))
+        self.inner_bias = np.maximum(inner, -60.0).astype(np.float32)
+        log_rest = np.log10(rest)
         tails = np.repeat(np.arange(CLASSES), TAIL_SLOTS)
         self.classes = np.concatenate([classes, tails]).astype(np.int64)
-        inside = np.log10(self.counts + 1) - self.log_size[classes] if len(classes) else np.empty(0)
+        self.slots = np.concatenate([slots, np.full(len(tails), SLOTS - 1)]).astype(np.int64)
+        inside = np.where(slots < SLOTS - 1, 0.0, np.log10(self.counts + 1) - log_rest[classes]) if len(classes) else np.empty(0)
         inside[: len(own)] = 0.0
         #: Of a tail word, what its count adds comes from the join.
-        self.inside = np.concatenate([inside, -self.log_size[tails]])
+        self.inside = np.concatenate([inside, -log_rest[tails]])
         self.norm = math.log10(total + distinct + 1)
         self.base = np.log10(self.counts + 1) - self.norm
         self._index: _Index | None = None
@@ -178,37 +202,67 @@ def _head(counts: DataFrame) -> list[tuple[bytes, int]]:
             break
         lowest = at
     if lowest is None:
-        return []
-    found = counts.where(step >= lowest).select("word", "c").toArrow()
+        # More words of the highest frequency than the head holds: the first of them.
+        chosen = counts.where(step == sizes[0][0]).orderBy(F.desc("c"), "word").limit(HEAD) if sizes else counts
+    else:
+        chosen = counts.where(step >= lowest)
+    # The end token is met in every text, so it never is a rare word.
+    found = chosen.select("word", "c").unionByName(counts.where(F.col("word") == F.lit(END)).select("word", "c")).distinct().toArrow()
     return sorted(zip(found.column("word").to_pylist(), found.column("c").to_pylist(), strict=True), key=lambda x: (-x[1], x[0]))
 
 
 class Histories:
-    """Batches of tokens with the weight rows of their histories."""
+    """Weight rows of the histories of tokens."""
 
     def __init__(self, vocabulary: Vocabulary):
         n = np.arange(len(vocabulary.classes), dtype=np.uint64)
         mix = lambda k: (n + np.uint64(k)) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(20)
         mask = np.uint64(ROWS - 1)
-        self.last, self.skip = (mix(1) & mask).astype(np.int64), (mix(7919) & mask).astype(np.int64)
-        self.pair = mix(104729)
+        self.last, self.skip = (mix(1) & mask).astype(np.uint16), (mix(7919) & mask).astype(np.uint16)
+        self.pair, self.inner_last, self.inner_skip = mix(104729), mix(31337) * np.uint64(0xD6E8FEB86659FD93), mix(65537) * np.uint64(0xA24BAED4963EE407)
+        self.of_class = np.arange(CLASSES, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
         self.vocabulary, self.mask = vocabulary, mask
 
-    def rows(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> np.ndarray:
-        both = (self.pair[before] * np.uint64(31) + self.pair[before_that] * np.uint64(0x2545F4914F6CDD1D) >> np.uint64(9)) & self.mask
-        return np.stack([self.last[before], self.skip[before_that], both.astype(np.int64)])
+    def rows(self, before: np.ndarray, before_that: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Of the class: last word, word before it, both."""
+        both = (self.pair.take(before) * np.uint64(31) + self.pair.take(before_that) * np.uint64(0x2545F4914F6CDD1D) >> np.uint64(9)) & self.mask
+        return self.last.take(before), self.skip.take(before_that), both.astype(np.uint16)
+
+    def inner_rows(self, before: np.ndarray, before_that: np.ndarray, classes: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Of the word in its class: the class with each of the two words."""
+        k, mask = self.of_class.take(classes), np.uint64(INNER_ROWS - 1)
+        return tuple(((h.take(w) + k >> np.uint64(at)) & mask).astype(np.uint16) for h, w, at in ((self.inner_last, before, 17), (self.inner_skip, before_that, 19)))
+
 
+def histories_of(numbers: np.ndarray, starts: np.ndarray, end: int) -> tuple[np.ndarray, np.ndarray]:
+    """The last word and the one before it of every token; texts begin at ``starts``, behind nothing but ends."""
+    before, before_that = np.empty_like(numbers), np.empty_like(numbers)
+    before[1:], before_that[2:] = numbers[:-1], numbers[:-2]
+    before[starts] = before_that[starts] = end
+    second = starts[np.diff(np.append(starts, len(numbers))) > 1] + 1
+    before_that[second] = end
+    return before, before_that
 
-def _shifted(numbers: np.ndarray, end: int) -> tuple[np.ndarray, np.ndarray]:
-    padded = np.concatenate(([end, end], numbers))
-    return padded[1:-1], padded[:-2]
+
+def _softmax(weights: np.ndarray, rows: tuple[np.ndarray, ...], bias: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Exponentials of the scores and their sums; far inside what a 32-bit float holds."""
+    z = weights.take(rows[0], axis=0)
+    for r in rows[1:]:
+        z += weights.take(r, axis=0)
+    np.clip(z, -LIMIT, LIMIT, out=z)
+    z += bias
+    # Biases are -60 at least and scores add LIMIT at most: sums are neither 0 nor infinite while one bias is near 0.
+    np.exp(z, out=z)
+    return z, z.sum(1, keepdims=True)
 
 
 class Model:
-    """Weight rows over the classes' log frequencies."""
+    """Weight rows over the log frequencies of classes, and of words inside their class."""
 
-    def __init__(self, vocabulary: Vocabulary, weights: np.ndarray | None = None):
-        self.vocabulary, self.weights = vocabulary, np.zeros((ROWS, CLASSES), np.float32) if weights is None else weights
+    def __init__(self, vocabulary: Vocabulary, weights: np.ndarray | None = None, inner: np.ndarray | None = None):
+        self.vocabulary = vocabulary
+        self.weights = np.zeros((ROWS, CLASSES), np.float32) if weights is None else weights
+        self.inner = np.zeros((INNER_ROWS, SLOTS), np.float32) if inner is None else inner
         self._histories: Histories | None = None
 
     def __getstate__(self) -> dict:
@@ -220,96 +274,145 @@ class Model:
             self._histories = Histories(self.vocabulary)
         return self._histories
 
-    def log_classes(self, rows: np.ndarray) -> np.ndarray:
-        """Natural log probability of every class for each history."""
-        w = self.weights
-        z = w.take(rows[0], axis=0)
-        z += w.take(rows[1], axis=0)
-        z += w.take(rows[2], axis=0)
-        # Far inside what a 32-bit float's exponential holds.
-        np.clip(z, -LIMIT, LIMIT, out=z)
-        z += self.vocabulary.bias
-        z -= np.log(np.exp(z).sum(1, keepdims=True))
-        return z
-
-    def class_scores(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> np.ndarray:
-        """log10 probability of each token's class."""
+    def scores(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> np.ndarray:
+        """log10 probability of each token given its history; of a tail word without its count's part."""
+        v, h = self.vocabulary, self.histories
         out = np.empty(len(numbers))
         for low in range(0, len(numbers), BATCH):
-            s = slice(low, low + BATCH)
-            z = self.log_classes(self.histories.rows(numbers[s], before[s], before_that[s]))
-            out[s] = z[np.arange(len(z)), self.vocabulary.classes[numbers[s]]]
-        return out / math.log(10)
+            n, b, bb = (x[low : low + BATCH] for x in (numbers, before, before_that))
+            k = v.classes.take(n)
+            z, total = _softmax(self.weights, h.rows(b, bb), v.bias)
+            log = np.log(z[np.arange(len(k)), k].astype(float)) - np.log(total[:, 0].astype(float))
+            shared = np.flatnonzero(k >= OWN)
+            if len(shared):
+                k = k[shared]
+                z, total = _softmax(self.inner, h.inner_rows(b[shared], bb[shared], k), v.inner_bias.take(k, axis=0))
+                log[shared] += np.log(z[np.arange(len(k)), v.slots.take(n[shared])].astype(float)) - np.log(total[:, 0].astype(float))
+            out[low : low + BATCH] = log
+        return out / math.log(10) + v.inside.take(numbers)
 
 
 class Learner:
     """AdaGrad over one task's rows, with one step size for each weight row."""
 
     def __init__(self, model: Model):
-        self.model = Model(model.vocabulary, model.weights.copy())
-        self.squares = np.full(ROWS, 1e-3, np.float32)
-        self.met = np.zeros(ROWS, np.int64)
-        self.flat, self.columns = self.model.weights.reshape(-1), np.arange(CLASSES)
+        self.model = Model(model.vocabulary, model.weights.copy(), model.inner.copy())
+        self.squares = [np.full(n, 1e-2, np.float32) for n in (ROWS, INNER_ROWS)]
+        self.met = [np.zeros(n, np.int64) for n in (ROWS, INNER_ROWS)]
 
     def step(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> None:
-        m = self.model
+        m, v = self.model, self.model.vocabulary
         for low in range(0, len(numbers), STEP):
-            s = slice(low, low + STEP)
-            rows = m.histories.rows(numbers[s], before[s], before_that[s])
-            gradient = np.exp(m.log_classes(rows))
-            gradient[np.arange(len(gradient)), m.vocabulary.classes[numbers[s]]] -= 1
-            squares = np.einsum("ij,ij->i", gradient, gradient) / CLASSES
-            for own in rows:
-                # One-dimensional adds take numpy's fast path; repeated rows add up.
-                np.add.at(self.squares, own, squares)
-                np.add.at(self.met, own, 1)
-                change = gradient * (-RATE / np.sqrt(self.squares[own]))[:, None]
-                np.add.at(self.flat, (own[:, None] * CLASSES + self.columns).ravel(), change.ravel())
+            n, b, bb = (x[low : low + STEP] for x in (numbers, before, before_that))
+            k = v.classes.take(n)
+            self._towards(0, m.weights, m.histories.rows(b, bb), v.bias, k)
+            shared = np.flatnonzero(k >= OWN)
+            if len(shared):
+                k = k[shared]
+                self._towards(1, m.inner, m.histories.inner_rows(b[shared], bb[shared], k), v.inner_bias.take(k, axis=0), v.slots.take(n[shared]))
+
+    def _towards(self, table: int, weights: np.ndarray, rows: tuple[np.ndarray, ...], bias: np.ndarray, truth: np.ndarray) -> None:
+        gradient, total = _softmax(weights, rows, bias)
+        gradient /= total
+        gradient[np.arange(len(truth)), truth] -= 1
+        squares, met = self.squares[table], self.met[table]
+        for own in rows:
+            # Rows that a batch meets more than once take the sum of their gradients in one step.
+            order = own.argsort(kind="stable")
+            sorted_ = own.take(order)
+            first = np.flatnonzero(np.concatenate(([True], sorted_[1:] != sorted_[:-1])))
+            change, at = np.add.reduceat(gradient.take(order, axis=0), first, axis=0), sorted_.take(first)
+            grown = squares.take(at) + np.einsum("ij,ij->i", change, change) / weights.shape[1]
+            squares[at] = grown
+            met[at] += np.diff(np.append(first, len(own)))
+            change *= (-RATE / np.sqrt(grown))[:, None]
+            change += weights.take(at, axis=0)
+            weights[at] = change
 
     def blocks(self) -> Iterator[tuple[int, bytes, bytes]]:
-        """(block, times met, weights times that) of the blocks with rows that were met."""
-        for k in range(ROWS // ROW_BLOCK):
-            met = self.met[k * ROW_BLOCK : (k + 1) * ROW_BLOCK]
-            if met.any():
-                yield k, met.astype("<f8").tobytes(), (self.model.weights[k * ROW_BLOCK : (k + 1) * ROW_BLOCK]).astype("<f2").tobytes()
-
-
-def _token_batches(texts: Iterable[str | None], vocabulary: Vocabulary, size: int = 1 << 16) -> Iterator[np.ndarray]:
-    words: list[bytes] = []
-    for text in texts:
-        words += blank_words(text)
-        words.append(END)
-        if len(words) >= size:
-            yield vocabulary.numbers(words)
-            words = []
-    if words:
-        yield vocabulary.numbers(words)
-
-
-def train(docs: DataFrame, vocabulary: Vocabulary) -> Model:
-    """One round of distributed updates over all rows."""
+        """(block, times met, weights) of the blocks with rows that were met; blocks of both tables count on."""
+        for first, met, weights in ((0, self.met[0], self.model.weights), (ROWS // ROW_BLOCK, self.met[1], self.model.inner)):
+            for k in range(len(met) // ROW_BLOCK):
+                own = slice(k * ROW_BLOCK, (k + 1) * ROW_BLOCK)
+                if met[own].any():
+                    yield first + k, met[own].astype("<f8").tobytes(), weights[own].astype("<f2").tobytes()
+
+
+def numbered(docs: DataFrame, vocabulary: Vocabulary) -> DataFrame:
+    """Every text as numbers, stored: row, doc_id, trained, ids, and its words outside the head with their times.
+
+    Tail words have numbers too, by class and hash; their counts are joined by word.
+    """
     spark = docs.sparkSession
     held = spark.sparkContext.broadcast(vocabulary)
+    kind = docs.schema["doc_id"].dataType
+    schema = pa.schema([("row", pa.int64()), ("doc_id", _arrow(kind)), ("trained", pa.bool_()), ("ids", pa.binary()), ("rare", pa.list_(pa.binary())), ("times", pa.list_(pa.int32()))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        v = held.value
+        heads, end = len(v.words), v.end
+        row = TaskContext.get().partitionId() << 33
+
+        def out() -> Iterator[tuple]:
+            nonlocal row
+            for doc_id, trained, text in rows_of(batches, "doc_id", "trained", "text"):
+                words = blank_words(text)
+                ids = v.numbers(words)
+                rare = Counter([words[i] for i in np.flatnonzero(ids >= heads).tolist()])
+                if end >= heads:
+                    rare[END] += 1
+                yield row, doc_id, trained, np.append(ids, end).astype("<i4").tobytes(), list(rare), list(rare.values())
+                row += 1
+
+        return batched(out(), schema, 512)
+
+    columns = f"row long, doc_id {kind.simpleString()}, trained boolean, ids binary, rare array<binary>, times array<int>"
+    return SharedTable(docs.select("doc_id", in_training(F.col("doc_id")).alias("trained"), "text").mapInArrow(run, columns), "maxent-numbers").read()
+
+
+def _token_batches(lots: Iterable[bytes], end: int, size: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Numbers, both histories and starts of texts, some texts at a time."""
+    held: list[np.ndarray] = []
+    n = 0
+    for ids in lots:
+        held.append(np.frombuffer(ids, "<i4"))
+        n += len(held[-1])
+        if n >= size:
+            yield _joined(held, end)
+            held, n = [], 0
+    if held:
+        yield _joined(held, end)
+
+
+def _joined(held: list[np.ndarray], end: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    numbers = np.concatenate(held).astype(np.int64)
+    starts = np.cumsum([0, *map(len, held[:-1])])
+    return numbers, *histories_of(numbers, starts, end), starts
+
+
+def train(numbers: DataFrame, vocabulary: Vocabulary) -> Model:
+    """One round of distributed updates over all training rows of the numbered texts."""
+    spark = numbers.sparkSession
+    held = spark.sparkContext.broadcast(vocabulary)
     schema = pa.schema([("block", pa.int64()), ("salt", pa.int64()), ("met", pa.binary()), ("weights", pa.binary())])
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        learner = Learner(Model(held.value))
-        some = False
-        for numbers in _token_batches((t for (t,) in rows_of(batches, "text")), held.value):
-            # A text's end token stands before the next text: histories begin at ends.
-            learner.step(numbers, *_shifted(numbers, held.value.end))
-            some = True
+        learner: Learner | None = None
+        for ids, before, before_that, _ in _token_batches((x for (x,) in rows_of(batches, "ids")), held.value.end):
+            learner = learner or Learner(Model(held.value))
+            learner.step(ids, before, before_that)
         salt = TaskContext.get().partitionId() % 64
-        return batched(((k, salt, met, w) for k, met, w in learner.blocks()) if some else iter(()), schema)
+        return batched(((k, salt, met, w) for k, met, w in learner.blocks()) if learner else iter(()), schema)
 
     learners = max(1, round(vocabulary.total / LEARNER_TOKENS))
-    found = docs.select("text").coalesce(learners).mapInArrow(learn, "block long, salt long, met binary, weights binary")
+    found = numbers.where("trained").select("ids").coalesce(learners).mapInArrow(learn, "block long, salt long, met binary, weights binary")
     by_salt = _merged(found.repartition("block", "salt"), "<f2")
     rows = _merged(by_salt.repartition("block"), "<f4").collect()
-    weights = np.zeros((ROWS, CLASSES), np.float32)
+    model = Model(vocabulary)
     for x in rows:
-        weights[x.block * ROW_BLOCK : (x.block + 1) * ROW_BLOCK] = np.frombuffer(x.weights, "<f4").reshape(ROW_BLOCK, CLASSES)
-    return Model(vocabulary, weights)
+        table, at = (model.weights, x.block) if x.block < ROWS // ROW_BLOCK else (model.inner, x.block - ROWS // ROW_BLOCK)
+        table[at * ROW_BLOCK : (at + 1) * ROW_BLOCK] = np.frombuffer(x.weights, "<f4").reshape(ROW_BLOCK, -1)
+    return model
 
 
 def _merged(found: DataFrame, kind: str) -> DataFrame:
@@ -319,65 +422,53 @@ def _merged(found: DataFrame, kind: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         for block, met, weights in rows_of(batches, "block", "met", "weights"):
-            n = np.frombuffer(met, "<f8")
-            total, w = sums.setdefault(block, (np.zeros(ROW_BLOCK), np.zeros((ROW_BLOCK, CLASSES))))
+            n, w = np.frombuffer(met, "<f8"), np.frombuffer(weights, kind).reshape(ROW_BLOCK, -1)
+            if block not in sums:
+                sums[block] = np.zeros(ROW_BLOCK), np.zeros(w.shape)
+            total, weighed = sums[block]
             total += n
-            w += np.frombuffer(weights, kind).reshape(ROW_BLOCK, CLASSES) * n[:, None]
+            weighed += w * n[:, None]
         return batched(((k, 0, n.tobytes(), (w / np.maximum(n, 1)[:, None]).astype("<f4").tobytes()) for k, (n, w) in sums.items()), schema)
 
     return found.mapInArrow(run, "block long, salt long, met binary, weights binary")
 
 
-def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
-    """doc_id, n_tokens, n_known, base_score and score (log10 probabilities of the text)."""
-    spark = docs.sparkSession
+def score(numbers: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
+    """doc_id, trained, n_tokens, n_known, base_score and score (log10 probabilities of the text) of the numbered texts."""
+    spark = numbers.sparkSession
     held = spark.sparkContext.broadcast(model)
-    kind = docs.schema["doc_id"].dataType
-    schema = pa.schema([("row", pa.int64()), ("doc_id", _arrow(kind)), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base", pa.float64()), ("own", pa.float64()), ("rare", pa.list_(pa.binary())), ("times", pa.list_(pa.int32()))])
+    kind = numbers.schema["doc_id"].dataType
+    schema = pa.schema([("row", pa.int64()), ("doc_id", _arrow(kind)), ("trained", pa.bool_()), ("n_tokens", pa.int64()), ("head_known", pa.int64()), ("base", pa.float64()), ("own", pa.float64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = held.value
         v = model.vocabulary
         heads = len(v.words)
-        row = TaskContext.get().partitionId() << 33
+        seen: list[tuple] = []
 
-        def some(ids: list, lots: list[list[bytes]]) -> Iterator[tuple]:
-            nonlocal row
-            words = [w for lot in lots for w in lot]
-            numbers = v.numbers(words)
-            inside = v.inside[numbers] + model.class_scores(numbers, *_shifted(numbers, v.end))
-            known = numbers < heads
-            base = np.where(known, v.base[np.minimum(numbers, max(0, heads - 1))] if heads else 0.0, -v.norm)
-            ends = np.cumsum([len(x) for x in lots])
-            starts = ends - [len(x) for x in lots]
-            sums = [np.add.reduceat(x, starts) for x in (known.astype(np.int64), base, inside)]
-            for k, (doc_id, words) in enumerate(zip(ids, lots, strict=True)):
-                rare = Counter([words[i] for i in np.flatnonzero(~known[starts[k] : ends[k]]).tolist()])
-                yield row, doc_id, len(words), int(sums[0][k]), float(sums[1][k]), float(sums[2][k]), list(rare), list(rare.values())
-                row += 1
+        def lots() -> Iterator[bytes]:
+            for *who, ids in rows_of(batches, "row", "doc_id", "trained", "ids"):
+                seen.append(who)
+                yield ids
 
         def out() -> Iterator[tuple]:
-            ids, lots, size = [], [], 0
-            for doc_id, text in rows_of(batches, "doc_id", "text"):
-                ids.append(doc_id)
-                lots.append([*blank_words(text), END])
-                size += len(lots[-1])
-                if size >= 1 << 16:
-                    yield from some(ids, lots)
-                    ids, lots, size = [], [], 0
-            if ids:
-                yield from some(ids, lots)
-
-        return batched(out(), schema, 512)
-
-    columns = f"row long, doc_id {kind.simpleString()}, n_tokens long, n_known long, base double, own double, rare array<binary>, times array<int>"
-    partial = SharedTable(docs.select("doc_id", "text").mapInArrow(run, columns), "maxent-partial").read()
-    rare = partial.select("row", F.explode(F.arrays_zip("rare", "times")).alias("x")).select("row", F.col("x.rare").alias("word"), F.col("x.times").alias("times"))
+            for ids, before, before_that, starts in _token_batches(lots(), v.end):
+                known = ids < heads
+                base = np.where(known, v.base[np.minimum(ids, max(0, heads - 1))] if heads else 0.0, -v.norm)
+                sums = [np.add.reduceat(x, starts).tolist() for x in (known.astype(np.int64), base, model.scores(ids, before, before_that))]
+                sizes = np.diff(np.append(starts, len(ids))).tolist()
+                yield from zip(*zip(*seen, strict=True), sizes, *sums, strict=True)
+                seen.clear()
+
+        return batched(out(), schema, 8192)
+
+    scored = numbers.select("row", "doc_id", "trained", "ids").mapInArrow(run, f"row long, doc_id {kind.simpleString()}, trained boolean, n_tokens long, head_known long, base double, own double")
+    rare = numbers.select("row", F.explode(F.arrays_zip("rare", "times")).alias("x")).select("row", F.col("x.rare").alias("word"), F.col("x.times").alias("times"))
     # A word outside the head has a bounded share of all tokens: these keys are not hot.
-    met = rare.join(counts.hint("shuffle_hash"), "word").groupBy("row").agg(F.sum("times").alias("more_known"), F.sum(F.col("times") * F.log10(F.col("c") + 1)).alias("more"))
+    met = rare.join(counts, "word").groupBy("row").agg(F.sum("times").alias("more_known"), F.sum(F.col("times") * F.log10(F.col("c") + 1)).alias("more"))
     more = F.coalesce("more", F.lit(0.0))
-    return partial.drop("rare", "times").join(met, "row", "left").select(
-        "doc_id", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), (F.col("base") + more).alias("base_score"), (F.col("own") + more).alias("score")
+    return scored.join(met, "row", "left").select(
+        "doc_id", "trained", "n_tokens", (F.col("head_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), (F.col("base") + more).alias("base_score"), (F.col("own") + more).alias("score")
     )
 
 
@@ -385,14 +476,14 @@ def in_training(doc_id: Column) -> Column:
     return is_trained_on(doc_id, DIVISOR, HELD_OUT)
 
 
-def fit(docs: DataFrame) -> tuple[Model, DataFrame]:
-    """The model of all rows, and the table of their word counts."""
-    counts = SharedTable(count_words(docs), "maxent-counts").read()
+def fit(docs: DataFrame) -> tuple[Model, DataFrame, DataFrame]:
+    """The model of the training rows, the table of their word counts, and all texts as numbers."""
+    counts = SharedTable(count_words(docs.where(in_training(F.col("doc_id")))), "maxent-counts").read()
     v = vocabulary(counts)
-    return train(docs, v), counts
+    numbers = numbered(docs, v)
+    return train(numbers, v), counts, numbers
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    model, counts = fit(docs.where(in_training(F.col("doc_id"))))
-    scored = score(docs, model, counts)
-    return scored.select("doc_id", (~in_training(F.col("doc_id"))).alias("held_out"), "n_tokens", "n_known", F.lit(model.vocabulary.total).cast("long").alias("train_tokens"), "base_score", "score")
+    model, counts, numbers = fit(docs)
+    return score(numbers, model, counts).select("doc_id", (~F.col("trained")).alias("held_out"), "n_tokens", "n_known", F.lit(model.vocabulary.total).cast("long").alias("train_tokens"), "base_score", "score")
