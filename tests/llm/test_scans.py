@@ -96,20 +96,87 @@ def test_toxicity_learns_and_ignores_the_rest(spark, hard, empty):
     assert all(r.held_out == (zlib.crc32(str(i).encode()) % 5 == 0) for i, r in got.items())
     assert np.mean([got[i].predicted == t for i, t in labels if got[i].held_out]) > 0.99
     scored = toxicity.score(hard, marks)
-    assert scored.count() == len(HARD)
-    assert toxicity.score(empty, marks).count() == 0
+    assert scored.count() == len(HARD) and "document_score" in scored.columns
+    assert {r.document_score for r in scored.collect()} == {2.0}
+    kept = toxicity.keep_clean(hard, marks)
+    assert kept.columns == hard.columns and {r.score for r in kept.collect()} <= {2.0}
+    assert toxicity.score(empty, marks).count() == 0 and toxicity.keep_clean(empty, marks).count() == 0
     assert {r.score for r in toxicity.score(hard, marks.where("false")).collect()} == {0.0}
 
 
+def test_toxicity_labels_do_not_depend_on_partitions(spark):
+    rows = [(i, f"word{i % 4} other text {'bad' if i % 4 == 0 else 'good'}") for i in range(60)]
+    marks = spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, toxic int")
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = [sorted((r.doc_id, round(r.score, 9)) for r in toxicity.score(docs.repartition(n), marks.repartition(n)).collect()) for n in (1, 4, 7)]
+    assert got[0] == got[1] == got[2]
+    one = toxicity.training_rows(docs, marks).collect()
+    assert len(one) == 4 and all(0 <= r.toxic <= r.n for r in one) and sum(r.n for r in one) == sum(zlib.crc32(str(i).encode()) % 5 != 0 for i in range(60))
+
+
+def test_toxicity_sample_counts_ids_not_label_rows(spark):
+    docs = spark.createDataFrame([(i, f"text number {i}") for i in range(400)], "doc_id long, text string")
+    marks = spark.createDataFrame([(i, 0) for i in range(400) for _ in range(8)], "doc_id long, toxic int")
+    assert toxicity.training_rows(docs, marks, 100).count() == 100
+
+
+def test_toxicity_scores_equal_dense_cosines(spark):
+    """The whole query against a plain version: all words, dense vectors, the nearest by a full sort."""
+    rng = random.Random(12)
+    vocabulary = [f"{a}{b}o" for a in "bcdfglmnprst" for b in "aeiou"]
+    rows = [(i, " ".join(rng.choice(vocabulary) for _ in range(30)) + (" grubbly grubber" if i % 5 == 0 else "")) for i in range(300)]
+    marks = [(i, int(i % 5 == 0)) for i, _ in rows]
+    docs, labels = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(marks, "doc_id long, toxic int")
+    scorer = toxicity.fit(docs, labels)
+    finder, index = scorer.finder(), scorer.index
+    size = len(scorer.words) + len(scorer.chosen)
+
+    def dense(text):
+        out = np.zeros(size)
+        words = plain_words(text)
+        for k, w in enumerate(scorer.words):
+            if n := words.count(w):
+                out[k] = 1 + math.log(n)
+        for k, t in enumerate(scorer.chosen):
+            hits = [w for w in words if w.decode()[: len(t) - 1] == t[1:].decode()]
+            n = len(set(hits)) if t[:1] == b"2" else len(hits)
+            if n and (t[:1] == b"^" or n > 1):
+                out[len(scorer.words) + k] = 1 + math.log(n)
+        out *= index.weight
+        return out / (np.linalg.norm(out) or 1)
+
+    df = {w: sum(w in plain_words(t) for _, t in rows) for w in scorer.words}
+    assert any(math.isclose(index.weight[k], math.log(301 / (1 + df[w])) + 1) for k, w in enumerate(scorer.words))
+    texts = {i: t for i, t in rows}
+    examples = np.array([dense(texts[i]) for i in index.names])
+    got = {r.doc_id: r.score for r in toxicity.score(docs, labels).collect()}
+    for i, t in rows[:60]:
+        cosines = examples @ dense(t)
+        best = sorted(range(len(cosines)), key=lambda n: (-round(cosines[n], 12), n))[: toxicity.K]
+        votes = cosines[best] ** 2
+        want = ((votes * index.toxic[best]).sum() + index.share * toxicity.SHARE_WEIGHT) / (votes.sum() + toxicity.SHARE_WEIGHT)
+        assert math.isclose(got[i], want, rel_tol=1e-6), i
+        assert [n for _, n in index.nearest(*finder.of(t))] == best
+
+
 def test_block_max_search_is_exact():
     rng = np.random.default_rng(4)
-    examples = [(tuple((int(t), int(rng.integers(1, 4))) for t in np.sort(rng.choice(12, rng.integers(1, 6), replace=False))), 1, int(rng.integers(0, 2)), k) for k in range(500)]
-    index = toxicity.BlockMaxIndex([b""] * 12, 1 + rng.random(12), examples)
-    for query, *_ in examples[:40]:
-        q = dict(index.weights(query))
-        cosines = [sum(w * q.get(t, 0.0) for t, w in index.weights(x[0])) for x in index.examples]
+    examples = []
+    for k in range(500):
+        terms = np.sort(rng.choice(12, rng.integers(1, 6), replace=False)).astype(np.int64)
+        examples.append((terms, rng.integers(1, 4, len(terms)), 1, int(rng.integers(0, 2)), k))
+    index = toxicity.BlockMaxIndex(1 + rng.random(12), examples)
+    assert index.n == 500 and index.blocks == 8
+    own = dict(zip(index.names, range(500), strict=True))
+    matrix = np.zeros((500, 12))
+    for terms, times, _, _, k in examples:
+        matrix[own[k], terms] = index.vector(terms, times)[1]
+    for terms, times, *_ in examples[:40]:
+        q = np.zeros(12)
+        q[terms] = index.vector(terms, times)[1]
+        cosines = matrix @ q
         want = sorted(range(500), key=lambda n: (-round(cosines[n], 12), n))[: toxicity.K]
-        assert [n for _, n in index.nearest(query)] == [n for n in want if cosines[n] > 0]
+        assert [n for _, n in index.nearest(terms, times)] == want
 
 
 def test_chat_roles(spark):
@@ -301,3 +368,13 @@ def test_frequent_words_and_endings_have_classes_of_their_own():
     own = maxent.OWN
     assert len(set(v.classes[:own].tolist())) == own and (v.inside[:own] == 0).all()
     assert len(v.class_of_ending) == maxent.CLASSES - own - 1
+
+
+def test_sums_by_key():
+    rng = np.random.default_rng(6)
+    for n, keys in ((1, 5), (700, 30), (700, 2000), (50, 1)):
+        key, values = rng.integers(0, keys, n).astype(np.uint16), rng.normal(size=(n, 7)).astype(np.float32)
+        sums, found, times = maxent.summed_by(values, key)
+        assert found.tolist() == sorted(set(key.tolist())) and times.sum() == n
+        for k, got, m in zip(found, sums, times, strict=True):
+            assert m == (key == k).sum() and np.allclose(got, values[key == k].sum(0), atol=1e-4)

@@ -1,22 +1,23 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine.
 
-Terms are words, their first four to six characters, and the first five where two words of a text
-share them. From a bounded sample of the labelled training rows (``SAMPLE`` rows, least hash
-first, one for each text) the terms that go with a label beyond chance are chosen; their
-document frequencies are counted over all documents. Examples are the sample's TF-IDF vectors
-over these terms; equal vectors become one example with its rows and toxic rows.
+Vectors are over all words of the labelled sample (``SAMPLE`` texts, least hash of their id first), and over word
+beginnings that go with the label beyond chance: the first four to six characters, and the first five where two
+words of a text share them. Document frequencies are counted over all documents. A term that goes
+with the label weighs ``1 / PLAIN`` times as much as a plain one of the same frequency, so toxic texts are near toxic
+examples, and clean texts near clean ones by their other words. A text is one example, with its rows and toxic rows.
 
 The index keeps for each term its examples and weights, cut into blocks of 64 examples with the
-largest weight of each block. A query sums the block maxima of its terms, which bounds every
-cosine in a block, visits blocks from the best bound on and stops at the first that can't reach
-the k-th best. The k nearest vote with the square of their cosine, against a prior of the rows
-that have none of the terms; nearest examples are the evidence.
+largest weight of each block; examples near one pivot are neighbours, which keeps blocks alike. A query
+sums the block maxima of its terms, which bounds every cosine in a block, scores blocks from the
+best bound on, and stops where none can reach the k-th best. The k nearest vote with the square of their
+cosine, against a small weight of the sample's share of toxic rows; nearest examples are the evidence.
 
-The index is broadcast: at most ``SAMPLE`` examples of at most ``TERMS`` terms.
+The index is broadcast: at most ``SAMPLE`` texts of the sample, whatever the number of documents.
 
-Defined cases: null and empty texts have no terms and get the prior; rows without a
-label or id are not learnt from; without training rows the score is 0; repeated rows get equal
-scores; very long texts are read whole; further columns are kept by ``score``.
+Defined cases: null and empty texts, and texts of unknown words alone, get the sample's share of toxic rows; rows without a
+label or id are not learnt from; an id with several labels is toxic if one of them says so; equal texts with different labels
+are one example with both; without training rows the score is 0; repeated rows get equal
+scores; very long texts are read whole; further columns are kept, one that is named like a result as ``document_<name>``.
 """
 
 from __future__ import annotations
@@ -32,12 +33,15 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from .common import batched, is_trained_on, plain_words, prepare, rows_of
+from .common import SharedTable, batched, is_trained_on, plain_words, prepare, rows_of
 from .decontaminate import _arrow
 
 #: Bound of the labelled rows that the classifier is fitted on.
-SAMPLE = 12_000
+SAMPLE = 4_000
 TERMS, K, BLOCK = 512, 15, 64
+#: Weight of a plain term beside one that goes with the label, of the share of all rows among the votes, and pivots.
+PLAIN, SHARE_WEIGHT, PIVOTS = 0.1, 0.05, 64
+RESULTS = ("score", "predicted", "evidence")
 DIVISOR, HELD_OUT = 5, 0
 PREFIXES = (4, 5, 6)
 _FLUSH = 400_000
@@ -63,15 +67,17 @@ def doc_terms(words: list[bytes]) -> Counter:
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
-    """doc_id, text and toxic of the sample."""
-    usable = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & is_trained_on(F.col("doc_id"), DIVISOR, HELD_OUT))
+    """doc_id (the smallest), text, n and toxic (rows, toxic rows) of the texts of the sampled ids."""
+    usable = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isin(0, 1) & is_trained_on(F.col("doc_id"), DIVISOR, HELD_OUT))
+    by_id = usable.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     h = F.xxhash64("doc_id")
     # Twice the sample is expected below this hash, so the last sort sees few rows of any number.
-    below = int(min(1.0, 2 * sample / max(1, usable.count())) * (1 << 64)) - (1 << 63)
-    near = usable.where(h < below) if below < (1 << 63) - 1 else usable
-    some = near.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic")).orderBy(h, "doc_id").limit(sample)
+    below = int(min(1.0, 2 * sample / max(1, by_id.count())) * (1 << 64)) - (1 << 63)
+    near = by_id.where(h < below) if below < (1 << 63) - 1 else by_id
+    some = near.orderBy(h, "doc_id").limit(sample)
     # Bounded by ``sample`` rows of an id and a label.
-    return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").dropDuplicates(["text"])
+    met = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")
+    return met.groupBy("text").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("n"), F.sum("toxic").alias("toxic"))
 
 
 def association(toxic_with: int, clean_with: int, toxic: int, clean: int) -> float:
@@ -91,8 +97,8 @@ def choose_terms(rows: DataFrame, terms: int = TERMS, least: int = 3) -> list[by
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out() -> Iterator[tuple]:
             with_: tuple[Counter, Counter] = (Counter(), Counter())
-            for text, toxic in rows_of(batches, "text", "toxic"):
-                with_[toxic].update(doc_terms(plain_words(text)).keys())
+            for text, n, toxic in rows_of(batches, "text", "n", "toxic"):
+                with_[2 * toxic > n].update(doc_terms(plain_words(text)).keys())
                 if len(with_[0]) + len(with_[1]) > _FLUSH:
                     yield from _pairs(*with_)
                     with_ = (Counter(), Counter())
@@ -100,11 +106,12 @@ def choose_terms(rows: DataFrame, terms: int = TERMS, least: int = 3) -> list[by
 
         return batched(out(), schema, 8192)
 
-    totals = rows.agg(F.count_if(F.col("toxic") == 1), F.count_if(F.col("toxic") == 0)).first()
+    is_toxic = 2 * F.col("toxic") > F.col("n")
+    totals = rows.agg(F.count_if(is_toxic), F.count_if(~is_toxic)).first()
     toxic, clean = (int(x or 0) for x in totals)
     if not toxic or not clean:
         return []
-    counts = rows.where("toxic in (0, 1)").mapInArrow(run, "term binary, toxic_with long, clean_with long").groupBy("term").agg(F.sum("toxic_with").alias("a"), F.sum("clean_with").alias("b"))
+    counts = rows.mapInArrow(run, "term binary, toxic_with long, clean_with long").groupBy("term").agg(F.sum("toxic_with").alias("a"), F.sum("clean_with").alias("b"))
     counts = counts.where(F.col("a") >= least)
     # A lower bound of the statistic's interest; the rest is decided on the few that are left.
     likely = counts.where(F.col("a") * clean > 2 * F.col("b") * toxic).orderBy(F.desc(F.col("a") / (F.col("a") + F.col("b") + 1) * F.log1p("a")), "term").limit(16 * terms).collect()
@@ -120,161 +127,237 @@ def _pairs(clean: Counter, toxic: Counter) -> Iterator[tuple]:
             yield t, 0, n
 
 
+def sample_words(rows: DataFrame) -> list[bytes]:
+    """The distinct words of the sample, sorted."""
+    schema = pa.schema([("word", pa.binary())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found: set[bytes] = set()
+        for (text,) in rows_of(batches, "text"):
+            found.update(plain_words(text))
+        return batched(((w,) for w in found), schema, 16384)
+
+    # Words of at most ``SAMPLE`` texts.
+    return sorted(rows.select("text").mapInArrow(run, "word binary").distinct().toArrow().column("word").to_pylist())
+
+
 class TermFinder(dict):
-    """Word to the numbers of its chosen terms; words are looked at once."""
-
-    def __init__(self, terms: list[bytes]):
-        self.number = {t: k for k, t in enumerate(terms)}
-        self.twice = {t[1:]: k for t, k in self.number.items() if t[:1] == b"2"}
-
-    def __missing__(self, word: bytes) -> tuple[int, ...] | None:
-        found = tuple(self.number[t] for t in word_terms(word) if t in self.number)
-        prefix = word.decode("utf-8", "surrogatepass")[:5].encode("utf-8", "surrogatepass")
-        if prefix in self.twice:
-            found += (-1 - self.twice[prefix],)
-        if len(self) > 500_000:
+    """Word to the numbers of its terms; words of the sample and unknown ones are looked at once.
+
+    Terms are numbered: words first, then the word beginnings that were chosen.
+    """
+
+    def __init__(self, words: list[bytes], chosen: list[bytes], room: int = 200_000):
+        super().__init__()
+        self.words = {w: k for k, w in enumerate(words)}
+        self.begin = {t[1:]: len(words) + k for k, t in enumerate(chosen) if t[:1] == b"^"}
+        self.twice = {t[1:]: len(words) + k for k, t in enumerate(chosen) if t[:1] == b"2"}
+        self.size, self.room = len(words) + len(chosen), room
+
+    def __missing__(self, word: bytes) -> tuple[int, ...]:
+        text = word.decode("utf-8", "surrogatepass")
+        k = self.words.get(word)
+        found = () if k is None else (k,)
+        for n in PREFIXES:
+            if len(text) >= n and (t := self.begin.get(text[:n].encode("utf-8", "surrogatepass"))) is not None:
+                found += (t,)
+        if len(text) >= 5 and (t := self.twice.get(text[:5].encode("utf-8", "surrogatepass"))) is not None:
+            found += (-1 - t,)
+        if len(self) >= self.room:
             self.clear()
-        self[word] = found or None
-        return found or None
-
-    def of(self, text: str | None) -> tuple[tuple[int, int], ...]:
-        """(term, occurrences) of a text, by term."""
-        words = plain_words(text)
-        if not words:
-            return ()
-        hits = list(filter(None, map(self.__getitem__, words)))
-        if not hits:
-            return ()
-        found: Counter = Counter()
-        for terms in hits:
-            found.update(k for k in terms if k >= 0)
-        if any(terms[-1] < 0 for terms in hits):
-            shared: dict[int, int] = Counter()
-            for w in set(words):
-                if (terms := self[w]) and terms[-1] < 0:
-                    shared[-1 - terms[-1]] += 1
-            found.update({k: n for k, n in shared.items() if n > 1})
-        return tuple(sorted(found.items()))
+        self[word] = found
+        return found
+
+    def of(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
+        """Terms of a text, ascending, and how often each occurs; ``2`` terms count if two different words share them."""
+        found: dict[int, int] = {}
+        shared: dict[int, list[int]] = {}
+        for w, n in Counter(plain_words(text)).items():
+            for k in self[w]:
+                if k >= 0:
+                    found[k] = found.get(k, 0) + n
+                else:
+                    shared.setdefault(-1 - k, []).append(n)
+        found |= {k: len(ns) for k, ns in shared.items() if len(ns) > 1}
+        terms = np.fromiter(found, np.int64, len(found))
+        times = np.fromiter(found.values(), np.int64, len(found))
+        order = terms.argsort()
+        return terms.take(order), times.take(order)
+
+
+def _ranges(low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """All numbers of the ranges [low, high), one range after the other."""
+    size = high - low
+    return np.arange(size.sum()) + np.repeat(low - np.cumsum(size) + size, size)
 
 
 class BlockMaxIndex:
     """Examples by term, in blocks with their largest weight; cosines are exact."""
 
-    def __init__(self, terms: list[bytes], idf: np.ndarray, examples: list[tuple[tuple[tuple[int, int], ...], int, int, int]]):
-        """examples: (terms with counts, rows, toxic rows, an id)."""
-        self.terms, self.idf = terms, idf
-        none = [x for x in examples if not x[0]]
-        self.examples = sorted((x for x in examples if x[0]), key=lambda x: x[0])
-        rows, toxic = sum(x[1] for x in none), sum(x[2] for x in none)
-        all_rows, all_toxic = sum(x[1] for x in examples), sum(x[2] for x in examples)
-        self.base = all_toxic / all_rows if all_rows else 0.0
-        self.prior = (toxic + self.base) / (rows + 1) if all_rows else 0.0
-        self.blocks = -(-len(self.examples) // BLOCK)
-        postings: dict[int, list[tuple[int, float]]] = {}
-        for n, (vector, *_) in enumerate(self.examples):
-            for t, w in self.weights(vector):
-                postings.setdefault(t, []).append((n, w))
-        self.postings = {t: (np.array([n for n, _ in p]), np.array([w for _, w in p])) for t, p in postings.items()}
-        self.maxima = np.zeros((len(terms), self.blocks))
-        for t, (ns, ws) in self.postings.items():
-            np.maximum.at(self.maxima[t], ns // BLOCK, ws)
-        self.bounds = {t: np.searchsorted(ns, np.arange(self.blocks + 1) * BLOCK) for t, (ns, _) in self.postings.items()}
-        self.rows = np.array([x[1] for x in self.examples], float)
-        self.toxic = np.array([x[2] for x in self.examples], float)
-        self.kept: dict[tuple, tuple[float, str]] = {}
-
-    def weights(self, vector: tuple[tuple[int, int], ...]) -> list[tuple[int, float]]:
-        raw = [(t, (1 + math.log(n)) * float(self.idf[t])) for t, n in vector]
-        norm = math.sqrt(sum(w * w for _, w in raw))
-        return [(t, w / norm) for t, w in raw] if norm else []
-
-    def nearest(self, vector: tuple[tuple[int, int], ...], k: int = K) -> list[tuple[float, int]]:
+    def __init__(self, weight: np.ndarray, examples: list[tuple[np.ndarray, np.ndarray, int, int, object]]):
+        """weight: of each term, its idf and what its label association adds; examples: (terms, times, rows, toxic rows, an id)."""
+        self.weight = weight
+        rows, toxic = sum(x[2] for x in examples), sum(x[3] for x in examples)
+        self.share = toxic / rows if rows else 0.0
+        examples = sorted((x for x in examples if len(x[0])), key=lambda x: (x[0].tolist(), str(x[4])))
+        self._build(examples)
+        if len(examples) > BLOCK:
+            # Every 1 / PIVOTS-th example is a pivot; the nearest one says with whom an example lies in a block.
+            pivots = BlockMaxIndex(weight, [])
+            pivots._build(examples[:: -(-len(examples) // PIVOTS)])
+            home = [best[0][1] if (best := pivots.nearest(*x[:2], k=1)) else -1 for x in examples]
+            self._build([examples[i] for i in np.argsort(home, kind="stable").tolist()])
+
+    def _build(self, examples: list[tuple]) -> None:
+        self.n, self.blocks = len(examples), -(-len(examples) // BLOCK)
+        self.names = [x[4] for x in examples]
+        self.rows, self.toxic = np.array([x[2] for x in examples], float), np.array([x[3] for x in examples], float)
+        vectors = [self.vector(x[0], x[1]) for x in examples]
+        terms = np.concatenate([t for t, _ in vectors]) if vectors else np.empty(0, np.int64)
+        weights = np.concatenate([w for _, w in vectors]) if vectors else np.empty(0)
+        who = np.repeat(np.arange(len(vectors)), [len(t) for t, _ in vectors]) if vectors else np.empty(0, np.int64)
+        order = np.lexsort((who, terms))
+        terms, self.who, self.posting = terms[order], who[order].astype(np.int32), weights[order]
+        # A piece is a term's postings in one block.
+        block = self.who // BLOCK
+        new = np.flatnonzero(np.concatenate(([True], (terms[1:] != terms[:-1]) | (block[1:] != block[:-1])))) if len(terms) else np.empty(0, np.int64)
+        self.piece_block, self.piece_at = block[new], np.append(new, len(terms))
+        self.piece_max = np.maximum.reduceat(self.posting, new) if len(new) else np.empty(0)
+        self.term_at = np.searchsorted(terms[new], np.arange(len(self.weight) + 1))
+
+    def vector(self, terms: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Terms and weights of length 1."""
+        raw = (1 + np.log(times)) * self.weight.take(terms)
+        norm = math.sqrt(float(raw @ raw)) if len(raw) else 0.0
+        return (terms, raw / norm) if norm else (terms[:0], raw[:0])
+
+    def nearest(self, terms: np.ndarray, times: np.ndarray, k: int = K) -> list[tuple[float, int]]:
         """(cosine, example) of the k nearest, larger cosines and then smaller numbers first."""
-        query = [(t, w) for t, w in self.weights(vector) if t in self.postings]
-        if not query:
+        terms, query = self.vector(terms, times)
+        low, high = self.term_at.take(terms), self.term_at.take(terms + 1)
+        pieces = _ranges(low, high)
+        if not len(pieces):
             return []
-        bound = sum(w * self.maxima[t] for t, w in query)
-        best: list[tuple[float, int]] = []
-        for b in np.argsort(-bound, kind="stable").tolist():
-            if bound[b] <= 0 or len(best) == k and bound[b] < best[-1][0] - 1e-12:
-                break
-            scores = np.zeros(BLOCK)
-            for t, w in query:
-                lo, hi = self.bounds[t][b], self.bounds[t][b + 1]
-                ns, ws = self.postings[t]
-                scores[ns[lo:hi] - b * BLOCK] += w * ws[lo:hi]
-            hits = np.flatnonzero(scores > 0)
-            best = sorted(best + [(float(scores[i]), b * BLOCK + i) for i in hits.tolist()], key=lambda x: (-round(x[0], 12), x[1]))[:k]
-        return best
-
-    def score(self, vector: tuple[tuple[int, int], ...]) -> tuple[float, str]:
+        of_piece = np.repeat(query, high - low)
+        block = self.piece_block.take(pieces)
+        bound = np.bincount(block, of_piece * self.piece_max.take(pieces), minlength=self.blocks)
+        order = np.argsort(-bound, kind="stable")
+        order = order[bound.take(order) > 0]
+        scores, at, step, worst = np.zeros(self.n), 0, 4, -1.0
+        while at < len(order) and bound[order[at]] >= worst - 1e-12:
+            chosen = np.zeros(self.blocks, bool)
+            chosen[order[at : at + step]] = True
+            mine = np.flatnonzero(chosen.take(block))
+            own = pieces.take(mine)
+            first, last = self.piece_at.take(own), self.piece_at.take(own + 1)
+            postings = _ranges(first, last)
+            scores += np.bincount(self.who.take(postings), self.posting.take(postings) * np.repeat(of_piece.take(mine), last - first), minlength=self.n)
+            at, step = at + step, 2 * step
+            if self.n > k:
+                worst = float(np.partition(scores, self.n - k)[self.n - k])
+        hits = np.flatnonzero(scores >= max(worst - 1e-12, 1e-300))
+        return sorted(((float(scores[i]), i) for i in hits.tolist()), key=lambda x: (-round(x[0], 12), x[1]))[:k]
+
+    def score(self, terms: np.ndarray, times: np.ndarray) -> tuple[float, str]:
         """The share of toxic votes, and the ids of the nearest examples with their cosines."""
-        if not vector:
-            return self.prior, ""
-        if vector in self.kept:
-            return self.kept[vector]
-        best = self.nearest(vector)
+        best = self.nearest(terms, times) if len(terms) else []
+        if not best:
+            return self.share, ""
         votes = np.array([c * c for c, _ in best])
         who = np.array([n for _, n in best], int)
-        # Many rows of one vector add to its weight slowly: they are one kind of example.
-        weight = votes * (1 + np.log(self.rows[who])) if len(best) else votes
-        share = (float((weight * self.toxic[who] / self.rows[who]).sum()) + self.base * 0.5) / (float(weight.sum()) + 0.5) if len(best) else self.prior
-        found = share, ",".join(f"{self.examples[n][3]}:{c:.3f}" for c, n in best[:3])
-        if len(self.kept) < 200_000:
-            self.kept[vector] = found
-        return found
+        share = (float((votes * self.toxic[who] / self.rows[who]).sum()) + self.share * SHARE_WEIGHT) / (float(votes.sum()) + SHARE_WEIGHT)
+        return min(1.0, share), ",".join(f"{self.names[n]}:{c:.3f}" for c, n in best[:3])
+
+
+class Scorer:
+    """What is broadcast: the terms and the index."""
+
+    def __init__(self, words: list[bytes], chosen: list[bytes], index: BlockMaxIndex):
+        self.words, self.chosen, self.index = words, chosen, index
+
+    def finder(self) -> TermFinder:
+        return TermFinder(self.words, self.chosen)
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, terms: int = TERMS) -> BlockMaxIndex:
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, terms: int = TERMS) -> Scorer:
     """The index of the sample, with document frequencies over all of ``docs``."""
     spark = docs.sparkSession
     prepare(spark)
-    rows = training_rows(docs, labels, sample)
-    chosen = choose_terms(rows, terms)
-    held = spark.sparkContext.broadcast(chosen)
-    counted = pa.schema([("term", pa.int64()), ("n", pa.int64())])
+    rows = SharedTable(training_rows(docs, labels, sample), "toxicity-sample").read()
+    with_label = choose_terms(rows, terms)
+    words = sample_words(rows)
+    chosen = [t for t in with_label if t[:1] != b"="]
+    held = spark.sparkContext.broadcast((words, chosen))
+    size = len(words) + len(chosen)
+    counted = pa.schema([("term", pa.int32()), ("n", pa.int64())])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        finder, found = TermFinder(held.value), Counter()
+        finder, found, rows_seen = TermFinder(*held.value), np.zeros(size, np.int64), 0
         for (text,) in rows_of(batches, "text"):
-            found.update(t for t, _ in finder.of(text))
-            found[-1] += 1
-        yield from batched(iter(found.items()), counted)
-
-    # A row for each chosen term: bounded by ``terms``.
-    df = dict(docs.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n")).collect()) if chosen else {}
-    idf = np.array([math.log((1 + df.get(-1, 0)) / (1 + df.get(k, 0))) + 1 for k in range(len(chosen))])
-    vectors = pa.schema([("vector", pa.binary()), ("toxic", pa.int64()), ("doc_id", _arrow(docs.schema["doc_id"].dataType))])
+            found[finder.of(text)[0]] += 1
+            rows_seen += 1
+        met = np.flatnonzero(found)
+        if rows_seen:
+            yield pa.RecordBatch.from_arrays([pa.array(np.append(met, -1), pa.int32()), pa.array(np.append(found[met], rows_seen), pa.int64())], schema=counted)
+
+    # A row for each term of the sample: bounded by its texts.
+    found = docs.select("text").mapInArrow(count, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
+    number, df = found.column("term").to_numpy(), found.column("n").to_numpy()
+    frequency = np.zeros(size)
+    frequency[number[number >= 0]] = df[number >= 0]
+    n_docs = int(df[number < 0].sum())
+    plain = np.full(size, PLAIN)
+    plain[len(words) :] = 1.0
+    place = {w: k for k, w in enumerate(words)}
+    plain[[place[t[1:]] for t in with_label if t[:1] == b"=" and t[1:] in place]] = 1.0
+    weight = (np.log((1 + n_docs) / (1 + frequency)) + 1) * plain
+    vectors = pa.schema([("terms", pa.binary()), ("times", pa.binary()), ("n", pa.int64()), ("toxic", pa.int64()), ("doc_id", _arrow(docs.schema["doc_id"].dataType))])
 
     def vectorise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        finder = TermFinder(held.value)
-        return batched(((np.array(finder.of(text), "<i8").tobytes(), toxic, doc_id) for doc_id, text, toxic in rows_of(batches, "doc_id", "text", "toxic")), vectors)
+        finder = TermFinder(*held.value)
+
+        def out() -> Iterator[tuple]:
+            for text, n, toxic, doc_id in rows_of(batches, "text", "n", "toxic", "doc_id"):
+                terms, times = finder.of(text)
+                yield terms.astype("<i4").tobytes(), times.astype("<i4").tobytes(), n, toxic, doc_id
+
+        return batched(out(), vectors)
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    merged = rows.mapInArrow(vectorise, f"vector binary, toxic long, doc_id {kind}").groupBy("vector").agg(F.count("*"), F.sum("toxic"), F.min("doc_id"))
-    examples = [(tuple(map(tuple, np.frombuffer(v, "<i8").reshape(-1, 2).tolist())), n, toxic, doc_id) for v, n, toxic, doc_id in merged.collect()]
-    return BlockMaxIndex(chosen, idf, examples)
+    # At most ``SAMPLE`` examples.
+    collected = rows.mapInArrow(vectorise, f"terms binary, times binary, n long, toxic long, doc_id {kind}").toArrow().to_pylist()
+    examples = [(np.frombuffer(x["terms"], "<i4").astype(np.int64), np.frombuffer(x["times"], "<i4").astype(np.int64), x["n"], x["toxic"], x["doc_id"]) for x in collected]
+    return Scorer(words, chosen, BlockMaxIndex(weight, examples))
 
 
 def score(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """All columns of the documents, with ``score``, ``predicted`` and ``evidence`` behind them."""
-    spark = docs.sparkSession
-    held = spark.sparkContext.broadcast(fit(docs, labels, sample))
-
-    fields = [f for f in docs.schema.fields if f.name not in ("score", "predicted", "evidence")]
-    plain = StructType([*fields, StructField("score", DoubleType()), StructField("evidence", StringType())])
+    held = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, sample))
+    taken = {f"document_{c}" if c in RESULTS else c: c for c in docs.columns}
+    renamed = docs.select(*[F.col(f"`{old}`").alias(new) for new, old in taken.items()])
+    plain = StructType([*renamed.schema.fields, StructField("score", DoubleType()), StructField("evidence", StringType())])
     schema = to_arrow_schema(plain)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = held.value
-        finder = TermFinder(index.terms)
+        finder, index = held.value.finder(), held.value.index
         for batch in batches:
-            found = [index.score(finder.of(t)) for t in batch.column("text").to_pylist()]
-            columns = [batch.column(f.name).cast(schema.field(f.name).type) for f in fields]
+            found = [index.score(*finder.of(t)) for t in batch.column("text").to_pylist()]
+            columns = [batch.column(k).cast(schema.field(k).type) for k in range(batch.num_columns)]
             yield pa.RecordBatch.from_arrays([*columns, pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.string())], schema=schema)
 
-    scored = docs.select(*[f.name for f in fields]).mapInArrow(run, plain)
-    return scored.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+    return renamed.mapInArrow(run, plain).withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+
+
+def keep_clean(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """The documents whose score is below 0.5, with all their columns whatever their names."""
+    held = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, sample))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        finder, index = held.value.finder(), held.value.index
+        for batch in batches:
+            yield batch.filter(pa.array([index.score(*finder.of(t))[0] < 0.5 for t in batch.column("text").to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 def digest(docs: DataFrame, labels: DataFrame) -> DataFrame:
