@@ -292,6 +292,37 @@ class Model:
         return out / math.log(10) + v.inside.take(numbers)
 
 
+def summed_by(values: np.ndarray, key: np.ndarray, few: int = 3) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sums of the rows of each key, the keys and their numbers of rows.
+
+    Most keys have one row, which is taken as it is; a few rows are added one by one, and the keys with
+    many are a product with a matrix of zeros and ones.
+    """
+    order = key.argsort(kind="stable")
+    ordered = key.take(order)
+    new = np.empty(len(key), bool)
+    new[0] = True
+    np.not_equal(ordered[1:], ordered[:-1], out=new[1:])
+    first = np.flatnonzero(new)
+    size = np.empty_like(first)
+    np.subtract(first[1:], first[:-1], out=size[:-1])
+    size[-1] = len(key) - first[-1]
+    out = values.take(order.take(first), axis=0)
+    some = np.flatnonzero((size > 1) & (size <= few))
+    for k in range(1, few):
+        out[some] += values.take(order.take(first.take(some) + k), axis=0)
+        some = some[size.take(some) > k + 1]
+    many = np.flatnonzero(size > few)
+    if len(many):
+        n = size.take(many)
+        whose = np.repeat(np.arange(len(many)), n)
+        at = np.arange(len(whose)) + np.repeat(first.take(many) - np.cumsum(n) + n, n)
+        member = np.zeros((len(many), len(whose)), values.dtype)
+        member[whose, np.arange(len(whose))] = 1
+        out[many] = member @ values.take(order.take(at), axis=0)
+    return out, ordered.take(first), size
+
+
 class Learner:
     """AdaGrad over one task's rows, with one step size for each weight row."""
 
@@ -318,13 +349,10 @@ class Learner:
         squares, met = self.squares[table], self.met[table]
         for own in rows:
             # Rows that a batch meets more than once take the sum of their gradients in one step.
-            order = own.argsort(kind="stable")
-            sorted_ = own.take(order)
-            first = np.flatnonzero(np.concatenate(([True], sorted_[1:] != sorted_[:-1])))
-            change, at = np.add.reduceat(gradient.take(order, axis=0), first, axis=0), sorted_.take(first)
+            change, at, times = summed_by(gradient, own)
             grown = squares.take(at) + np.einsum("ij,ij->i", change, change) / weights.shape[1]
             squares[at] = grown
-            met[at] += np.diff(np.append(first, len(own)))
+            met[at] += times
             change *= (-RATE / np.sqrt(grown))[:, None]
             change += weights.take(at, axis=0)
             weights[at] = change
