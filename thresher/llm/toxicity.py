@@ -9,7 +9,8 @@ examples, and clean texts near clean ones by their other words. A text is one ex
 The index keeps for each term its examples and weights, cut into blocks of 64 examples with the
 largest weight of each block; examples near one pivot are neighbours, which keeps blocks alike. A query
 sums the block maxima of its terms, which bounds every cosine in a block, scores blocks from the
-best bound on, and stops where none can reach the k-th best. The k nearest vote with the square of their
+best bound on, and stops where none can reach the k-th best. What the commonest terms add is a matrix product for
+some queries at a time, and part of every bound. The k nearest vote with the square of their
 cosine, against a small weight of the sample's share of toxic rows; nearest examples are the evidence.
 
 The index is broadcast: at most ``SAMPLE`` texts of the sample, whatever the number of documents.
@@ -25,6 +26,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +43,8 @@ SAMPLE = 4_000
 TERMS, K, BLOCK = 512, 15, 64
 #: Weight of a plain term beside one that goes with the label, of the share of all rows among the votes, and pivots.
 PLAIN, SHARE_WEIGHT, PIVOTS = 0.1, 0.05, 64
+#: Terms of more than one in so many examples are kept as a matrix.
+COMMON = 20
 RESULTS = ("score", "predicted", "evidence")
 DIVISOR, HELD_OUT = 5, 0
 PREFIXES = (4, 5, 6)
@@ -141,48 +145,61 @@ def sample_words(rows: DataFrame) -> list[bytes]:
     return sorted(rows.select("text").mapInArrow(run, "word binary").distinct().toArrow().column("word").to_pylist())
 
 
-class TermFinder(dict):
-    """Word to the numbers of its terms; words of the sample and unknown ones are looked at once.
+class TermFinder:
+    """Word to its number, -1 for unknown ones; every word is looked at once.
 
-    Terms are numbered: words first, then the word beginnings that were chosen.
+    Terms are numbered: words first, then the word beginnings that were chosen. ``more`` has the words that
+    begin so, with the numbers of these terms (``2`` terms as -1 - number).
     """
 
     def __init__(self, words: list[bytes], chosen: list[bytes], room: int = 200_000):
-        super().__init__()
+        self.seen: dict[bytes, int] = {}
         self.words = {w: k for k, w in enumerate(words)}
         self.begin = {t[1:]: len(words) + k for k, t in enumerate(chosen) if t[:1] == b"^"}
         self.twice = {t[1:]: len(words) + k for k, t in enumerate(chosen) if t[:1] == b"2"}
-        self.size, self.room = len(words) + len(chosen), room
+        self.more: dict[bytes, tuple[int, ...]] = {}
+        self.room = room
 
-    def __missing__(self, word: bytes) -> tuple[int, ...]:
+    def look(self, word: bytes) -> int:
         text = word.decode("utf-8", "surrogatepass")
-        k = self.words.get(word)
-        found = () if k is None else (k,)
+        more = ()
         for n in PREFIXES:
             if len(text) >= n and (t := self.begin.get(text[:n].encode("utf-8", "surrogatepass"))) is not None:
-                found += (t,)
+                more += (t,)
         if len(text) >= 5 and (t := self.twice.get(text[:5].encode("utf-8", "surrogatepass"))) is not None:
-            found += (-1 - t,)
-        if len(self) >= self.room:
-            self.clear()
-        self[word] = found
+            more += (-1 - t,)
+        if more:
+            self.more[word] = more
+        self.seen[word] = found = self.words.get(word, -1)
         return found
 
     def of(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Terms of a text, ascending, and how often each occurs; ``2`` terms count if two different words share them."""
-        found: dict[int, int] = {}
-        shared: dict[int, list[int]] = {}
-        for w, n in Counter(plain_words(text)).items():
-            for k in self[w]:
+        if len(self.seen) >= self.room:
+            self.seen.clear()
+            self.more.clear()
+        words = plain_words(text)
+        numbers = np.fromiter(map(self.seen.get, words, repeat(-2)), np.int64, len(words))
+        for k in np.flatnonzero(numbers == -2).tolist():
+            numbers[k] = self.look(words[k])
+        terms, times = np.unique(numbers, return_counts=True)
+        if len(terms) and terms[0] < 0:
+            terms, times = terms[1:], times[1:]
+        hits = [w for w in words if w in self.more]
+        if not hits:
+            return terms, times
+        found: Counter = Counter()
+        shared: Counter = Counter()
+        for w, n in Counter(hits).items():
+            for k in self.more[w]:
                 if k >= 0:
-                    found[k] = found.get(k, 0) + n
+                    found[k] += n
                 else:
-                    shared.setdefault(-1 - k, []).append(n)
-        found |= {k: len(ns) for k, ns in shared.items() if len(ns) > 1}
-        terms = np.fromiter(found, np.int64, len(found))
-        times = np.fromiter(found.values(), np.int64, len(found))
-        order = terms.argsort()
-        return terms.take(order), times.take(order)
+                    shared[-1 - k] += 1
+        found.update({k: n for k, n in shared.items() if n > 1})
+        # Their numbers lie behind those of the words.
+        own = sorted(found)
+        return np.concatenate((terms, np.array(own, np.int64))), np.concatenate((times, np.array([found[k] for k in own], np.int64)))
 
 
 def _ranges(low: np.ndarray, high: np.ndarray) -> np.ndarray:
@@ -216,6 +233,14 @@ class BlockMaxIndex:
         terms = np.concatenate([t for t, _ in vectors]) if vectors else np.empty(0, np.int64)
         weights = np.concatenate([w for _, w in vectors]) if vectors else np.empty(0)
         who = np.repeat(np.arange(len(vectors)), [len(t) for t, _ in vectors]) if vectors else np.empty(0, np.int64)
+        # Terms of many examples are rows of a matrix, the others lists of postings.
+        often = np.flatnonzero(np.bincount(terms, minlength=len(self.weight)) * COMMON > max(self.n, COMMON * BLOCK))
+        self.common_at = np.full(len(self.weight) + 1, -1)
+        self.common_at[often] = np.arange(len(often))
+        self.common = np.zeros((len(often), self.blocks * BLOCK))
+        at = self.common_at.take(terms)
+        self.common[at[at >= 0], who[at >= 0]] = weights[at >= 0]
+        terms, who, weights = terms[at < 0], who[at < 0], weights[at < 0]
         order = np.lexsort((who, terms))
         terms, self.who, self.posting = terms[order], who[order].astype(np.int32), weights[order]
         # A piece is a term's postings in one block.
@@ -233,34 +258,52 @@ class BlockMaxIndex:
 
     def nearest(self, terms: np.ndarray, times: np.ndarray, k: int = K) -> list[tuple[float, int]]:
         """(cosine, example) of the k nearest, larger cosines and then smaller numbers first."""
-        terms, query = self.vector(terms, times)
+        return self.nearest_of_all([(terms, times)], k)[0]
+
+    def nearest_of_all(self, texts: list[tuple[np.ndarray, np.ndarray]], k: int = K) -> list[list[tuple[float, int]]]:
+        """The same of some texts: the common terms of all of them are one matrix product."""
+        vectors = [self.vector(*x) for x in texts]
+        query = np.zeros((len(vectors), len(self.common)))
+        for row, (terms, weights) in zip(query, vectors, strict=True):
+            at = self.common_at.take(terms)
+            row[at[at >= 0]] = weights[at >= 0]
+        begun = query @ self.common
+        return [self._best(start, *x, k) for start, x in zip(begun, vectors, strict=True)]
+
+    def _best(self, begun: np.ndarray, terms: np.ndarray, query: np.ndarray, k: int) -> list[tuple[float, int]]:
+        """Best blocks first. ``begun`` holds what the common terms add to every example."""
         low, high = self.term_at.take(terms), self.term_at.take(terms + 1)
-        pieces = _ranges(low, high)
-        if not len(pieces):
-            return []
-        of_piece = np.repeat(query, high - low)
+        pieces, of_piece = _ranges(low, high), np.repeat(query, high - low)
         block = self.piece_block.take(pieces)
-        bound = np.bincount(block, of_piece * self.piece_max.take(pieces), minlength=self.blocks)
+        begun = begun.reshape(self.blocks, BLOCK)
+        bound = np.bincount(block, of_piece * self.piece_max.take(pieces), minlength=self.blocks) + begun.max(1, initial=0.0)
         order = np.argsort(-bound, kind="stable")
-        order = order[bound.take(order) > 0]
-        scores, at, step, worst = np.zeros(self.n), 0, 4, -1.0
-        while at < len(order) and bound[order[at]] >= worst - 1e-12:
-            chosen = np.zeros(self.blocks, bool)
-            chosen[order[at : at + step]] = True
-            mine = np.flatnonzero(chosen.take(block))
+        scores, names = np.empty(0), np.empty(0, np.int64)
+        at, step, worst = 0, 16, 0.0
+        while at < len(order) and bound[order[at]] > 0 and bound[order[at]] >= worst - 1e-12:
+            chosen = order[at : at + step]
+            chosen = chosen[bound.take(chosen) >= worst - 1e-12]
+            place = np.full(self.blocks, -1)
+            place[chosen] = np.arange(len(chosen))
+            where = place.take(block)
+            mine = np.flatnonzero(where >= 0)
             own = pieces.take(mine)
             first, last = self.piece_at.take(own), self.piece_at.take(own + 1)
             postings = _ranges(first, last)
-            scores += np.bincount(self.who.take(postings), self.posting.take(postings) * np.repeat(of_piece.take(mine), last - first), minlength=self.n)
-            at, step = at + step, 2 * step
-            if self.n > k:
-                worst = float(np.partition(scores, self.n - k)[self.n - k])
-        hits = np.flatnonzero(scores >= max(worst - 1e-12, 1e-300))
-        return sorted(((float(scores[i]), i) for i in hits.tolist()), key=lambda x: (-round(x[0], 12), x[1]))[:k]
-
-    def score(self, terms: np.ndarray, times: np.ndarray) -> tuple[float, str]:
+            to = np.repeat(where.take(mine) * BLOCK, last - first) + self.who.take(postings) % BLOCK
+            more = np.bincount(to, self.posting.take(postings) * np.repeat(of_piece.take(mine), last - first), minlength=len(chosen) * BLOCK)
+            scores = np.concatenate((scores, begun[chosen].ravel() + more))
+            names = np.concatenate((names, (chosen[:, None] * BLOCK + np.arange(BLOCK)).ravel()))
+            if len(scores) > k:
+                worst = max(0.0, float(np.partition(scores, len(scores) - k)[len(scores) - k]))
+                kept = scores >= worst - 1e-12
+                scores, names = scores[kept], names[kept]
+            at, step = at + len(chosen), 2 * step
+        hits = np.flatnonzero(scores > 1e-15)
+        return sorted(zip(scores[hits].tolist(), names[hits].tolist(), strict=True), key=lambda x: (-round(x[0], 12), x[1]))[:k]
+
+    def votes(self, best: list[tuple[float, int]]) -> tuple[float, str]:
         """The share of toxic votes, and the ids of the nearest examples with their cosines."""
-        best = self.nearest(terms, times) if len(terms) else []
         if not best:
             return self.share, ""
         votes = np.array([c * c for c, _ in best])
@@ -268,6 +311,11 @@ class BlockMaxIndex:
         share = (float((votes * self.toxic[who] / self.rows[who]).sum()) + self.share * SHARE_WEIGHT) / (float(votes.sum()) + SHARE_WEIGHT)
         return min(1.0, share), ",".join(f"{self.names[n]}:{c:.3f}" for c, n in best[:3])
 
+    def scores(self, texts: list[tuple[np.ndarray, np.ndarray]], lot: int = 64) -> Iterator[tuple[float, str]]:
+        """Score and evidence of each text."""
+        for low in range(0, len(texts), lot):
+            yield from map(self.votes, self.nearest_of_all(texts[low : low + lot]))
+
 
 class Scorer:
     """What is broadcast: the terms and the index."""
@@ -341,7 +389,7 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         finder, index = held.value.finder(), held.value.index
         for batch in batches:
-            found = [index.score(*finder.of(t)) for t in batch.column("text").to_pylist()]
+            found = list(index.scores([finder.of(t) for t in batch.column("text").to_pylist()]))
             columns = [batch.column(k).cast(schema.field(k).type) for k in range(batch.num_columns)]
             yield pa.RecordBatch.from_arrays([*columns, pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.string())], schema=schema)
 
@@ -355,7 +403,8 @@ def keep_clean(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Data
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         finder, index = held.value.finder(), held.value.index
         for batch in batches:
-            yield batch.filter(pa.array([index.score(*finder.of(t))[0] < 0.5 for t in batch.column("text").to_pylist()], pa.bool_()))
+            scored = index.scores([finder.of(t) for t in batch.column("text").to_pylist()])
+            yield batch.filter(pa.array([x < 0.5 for x, _ in scored], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
 
