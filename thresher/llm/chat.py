@@ -10,20 +10,22 @@ Viterbi gives the most likely roles of the whole transcript.
 
 Rendering strips the marker and writes every turn as the role's opening, the text and the closing.
 
-Transcripts are sorted within partitions and streamed, so memory holds one transcript, and of
-one with more than ``CHUNK`` blocks only a chunk: the scores at its end carry on in the next.
+Transcripts are sorted within partitions and streamed. A block's role is decided as soon as the best paths to all
+states of a later block agree on it, which leaves the path that a search over the whole transcript finds; memory
+holds the blocks that are not decided yet. Blocks without an id are dealt out by their text.
 
 Defined cases: null and empty texts are blocks of no lines and get a role like any other; turns that
-repeat keep the order of turn, then text; a null id is a transcript of its own; null turns come
-first; an empty table gives no rows; unknown or null roles are not learnt from; without labelled
-blocks the model knows markers and alternation only; further columns are ignored.
+repeat keep the order of turn, then text; every row with a null id is a transcript of its own; null turns come
+first; a very long text is one block, a very long transcript is decided in parts as above; an empty table gives no
+rows; unknown or null roles are not learnt from; without labelled blocks the model knows markers and
+alternation only; further columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import math
 import re
-from collections import Counter
+from collections import Counter, deque
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -36,7 +38,8 @@ from .decontaminate import _arrow
 
 ROLES = ("system", "user", "assistant")
 DIVISOR, HELD_OUT = 5, 0
-CHUNK = 1 << 16
+#: Blocks after which paths are looked at for what they agree on.
+SETTLE = 1 << 10
 #: Speaker names by role, as they begin a block.
 SPEAKERS = {
     "system": ["system", "system prompt", "instructions"],
@@ -119,24 +122,58 @@ class RoleModel:
             score += 0.5 * self.see.get(v, self.unseen.get(v.split("=")[0], np.zeros(len(ROLES))))
         return score
 
-    def viterbi(self, emissions: Iterable[np.ndarray], start: np.ndarray | None = None) -> tuple[list[int], np.ndarray]:
-        """The most likely states, and the best log score of each state at the end."""
-        back, score = [], start
+    def viterbi(self, emissions: Iterable[np.ndarray]) -> list[int]:
+        """The most likely states."""
+        path = Path(self)
         for e in emissions:
-            if score is None:
-                score, pointers = self.start + e, np.arange(len(ROLES))
-            else:
-                step = score[:, None] + self.next
-                pointers, score = step.argmax(0), step.max(0) + e
-            back.append(pointers)
-        if not back:
-            return [], score
-        at = int(score.argmax())
-        path = [at]
-        for pointers in reversed(back[1:]):
-            at = int(pointers[at])
-            path.append(at)
-        return path[::-1], score - score.max()
+            path.add(e)
+        return path.rest()
+
+
+class Path:
+    """Viterbi in one walk: back pointers of the steps that are not decided yet."""
+
+    def __init__(self, model: RoleModel):
+        self.model, self.score = model, None
+        self.back: list[np.ndarray] = []
+
+    def add(self, emission: np.ndarray) -> None:
+        if self.score is None:
+            self.score = self.model.start + emission
+            self.back.append(np.arange(len(ROLES)))
+            return
+        step = self.score[:, None] + self.model.next
+        self.back.append(step.argmax(0))
+        best = step.max(0) + emission
+        # Only differences matter; a long transcript's sums would lose them.
+        self.score = best - best.max()
+
+    def decided(self) -> list[int]:
+        """States of the first steps that all paths have in common; these steps are let go."""
+        states, agreed = np.arange(len(ROLES)), None
+        for k in range(len(self.back) - 1, 0, -1):
+            states = self.back[k][states]
+            if (states == states[0]).all():
+                agreed = k - 1
+                break
+        if agreed is None:
+            return []
+        path = self._trace(agreed, int(states[0]))
+        # The step after the last decided one points back to it from every state that is still in question.
+        self.back = self.back[agreed + 1 :]
+        return path
+
+    def rest(self) -> list[int]:
+        if not self.back:
+            return []
+        return self._trace(len(self.back) - 1, int(self.score.argmax()))
+
+    def _trace(self, last: int, state: int) -> list[int]:
+        path = [state]
+        for k in range(last, 0, -1):
+            state = int(self.back[k][state])
+            path.append(state)
+        return path[::-1]
 
 
 def render(role: str, text: str | None) -> str:
@@ -155,52 +192,62 @@ def learn(turns: DataFrame) -> RoleModel:
         found: Counter = Counter()
         last: tuple = (object(), "")
         for conv_id, role, text in rows_of(batches, "conv_id", "role", "text"):
-            found["next", last[1], role] += 1 if last[0] == conv_id else 0
-            found["start", "", role] += last[0] != conv_id
+            goes_on = conv_id is not None and last[0] == conv_id
+            found["next", last[1], role] += goes_on
+            found["start", "", role] += not goes_on
             for v in features(text):
                 found["see", role, v] += 1
             last = conv_id, role
         return batched(((*key, n) for key, n in found.items() if n), schema)
 
-    ordered = known.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "text")
+    ordered = _in_order(known)
     # Kinds, roles and feature values are few, whatever the number of rows.
     sums = ordered.mapInArrow(count, "kind string, role string, value string, n long").groupBy("kind", "role", "value").agg(F.sum("n").alias("n")).collect()
     return RoleModel({(x.kind, x.role, x.value): x.n for x in sums})
 
 
+def _in_order(turns: DataFrame) -> DataFrame:
+    """Transcripts whole and in order; rows without an id are dealt out each on its own."""
+    lot = F.when(F.col("conv_id").isNull(), F.xxhash64("turn", "text")).otherwise(F.xxhash64("conv_id"))
+    return turns.withColumn("_lot", lot).repartition("_lot").sortWithinPartitions("_lot", "conv_id", "turn", "text").drop("_lot")
+
+
 def roles(turns: DataFrame, model: RoleModel) -> DataFrame:
     """conv_id, turn, role found, rendered turn, for blocks in order of turn; ``role`` is not read."""
     spark = turns.sparkSession
     prepare(spark)
     held = spark.sparkContext.broadcast(model)
     ids, turn = turns.schema["conv_id"].dataType, turns.schema["turn"].dataType
-    schema = pa.schema([("conv_id", _arrow(ids)), ("turn", _arrow(turn)), ("role_found", pa.string()), ("rendered", pa.string()), ("row", pa.int64())])
+    schema = pa.schema([("conv_id", _arrow(ids)), ("turn", _arrow(turn)), ("role_found", pa.string()), ("rendered", pa.string())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hmm = held.value
 
         def out() -> Iterator[tuple]:
-            lot: list[tuple] = []
-            start = None
-            for row in rows_of(batches, "conv_id", "turn", "text", "row"):
-                changed = lot and (row[0] != lot[-1][0] or row[0] is None)
-                if changed or len(lot) >= CHUNK:
-                    path, end = hmm.viterbi((hmm.emission(x[2]) for x in lot), start)
-                    yield from _turns(lot, path)
-                    lot, start = [], None if changed else end
-                lot.append(row)
-            if lot:
-                yield from _turns(lot, hmm.viterbi((hmm.emission(x[2]) for x in lot), start)[0])
+            waiting: deque[tuple] = deque()
+            path, last = Path(hmm), None
+            for row in rows_of(batches, "conv_id", "turn", "text"):
+                if last is not None and (row[0] is None or row[0] != last[0]):
+                    yield from _turns(waiting, path.rest())
+                    path = Path(hmm)
+                path.add(hmm.emission(row[2]))
+                waiting.append(row)
+                last = row
+                if len(path.back) >= SETTLE and len(path.back) % SETTLE == 0:
+                    yield from _turns(waiting, path.decided())
+            yield from _turns(waiting, path.rest())
 
         return batched(out(), schema)
 
-    ordered = turns.select("conv_id", "turn", "text", *(["row"] if "row" in turns.columns else [F.lit(0).cast("long").alias("row")])).repartition("conv_id").sortWithinPartitions("conv_id", "turn", "text")
-    return ordered.mapInArrow(run, f"conv_id {ids.simpleString()}, turn {turn.simpleString()}, role_found string, rendered string, row long")
+    ordered = _in_order(turns.select("conv_id", "turn", "text"))
+    return ordered.mapInArrow(run, f"conv_id {ids.simpleString()}, turn {turn.simpleString()}, role_found string, rendered string")
 
 
-def _turns(lot: list[tuple], path: list[int]) -> Iterator[tuple]:
-    for (conv_id, turn, text, row), state in zip(lot, path, strict=True):
-        yield conv_id, turn, ROLES[state], render(ROLES[state], text), row
+def _turns(waiting: deque[tuple], path: list[int]) -> Iterator[tuple]:
+    """The first blocks that wait, with their roles."""
+    for state in path:
+        conv_id, turn, text = waiting.popleft()
+        yield conv_id, turn, ROLES[state], render(ROLES[state], text)
 
 
 def parse_transcripts(docs: DataFrame, model: RoleModel) -> DataFrame:
@@ -214,7 +261,7 @@ def parse_transcripts(docs: DataFrame, model: RoleModel) -> DataFrame:
         def out() -> Iterator[tuple]:
             for conv_id, text in rows_of(batches, "conv_id", "text"):
                 blocks = split_transcript(text)
-                path, _ = held.value.viterbi(held.value.emission(b) for b in blocks)
+                path = held.value.viterbi(held.value.emission(b) for b in blocks)
                 for k, (b, state) in enumerate(zip(blocks, path, strict=True)):
                     yield conv_id, k, ROLES[state], render(ROLES[state], b)
 
