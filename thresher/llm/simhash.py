@@ -22,7 +22,8 @@ smallest of its component in the task: as many links as rows, the same component
 of links come from alternating star rounds over tables in the shared folder.
 
 Defined cases: null and empty texts have the zero fingerprint and are linked like any other;
-equal texts have equal fingerprints and one component; repeated rows stay repeated; an empty
+equal texts have equal fingerprints and one component; repeated rows stay repeated; a null id is never the
+smallest of a component while another is there, and rows without one are linked and returned; an empty
 table gives no rows; further columns are ignored.
 """
 
@@ -43,10 +44,12 @@ from .decontaminate import _arrow
 
 SHINGLE, RADIUS, SEED = 4, 4, 42
 #: Rows of a bucket that one task compares with each other.
-BUCKET = 4096
+BUCKET = 1024
 #: Mean rows of a bucket from which on more stripes are used.
 MEAN_BUCKET = 512
 KEYS = 6
+#: Edges of a node from which on it is a hub, and hubs that are broadcast at most (16 to 40 bytes each).
+HUB, HUBS = 1024, 1_000_000
 #: Deviations beyond the mean distance at the threshold up to which shingle sets are compared.
 DEVIATIONS = 4
 _GOLDEN = 0x9E3779B97F4A7C15
@@ -337,11 +340,11 @@ def components(links: DataFrame) -> DataFrame:
         edges = now.read()
         # Every node's larger neighbours move to its smallest neighbour, or to itself.
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where(F.col("v") > F.col("u")).join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = _with_least(both.where(F.col("v") > F.col("u")), least).select(F.col("v").alias("u"), F.col("m").alias("v"))
         # Every node and its smaller neighbours move to the smallest of these.
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select(F.explode(F.array("u", "v")).alias("u"), F.col("m").alias("v")).where("u != v").distinct()
+        least = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        small = _with_least(large, least).select(F.explode(F.array("u", "v")).alias("u"), F.col("m").alias("v")).where("u != v").distinct()
         after = SharedTable(small, "links")
         state = after.read().agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         now.drop()
@@ -351,6 +354,21 @@ def components(links: DataFrame) -> DataFrame:
         seen = tuple(state)
 
 
+def _with_least(edges: DataFrame, least: DataFrame) -> DataFrame:
+    """Edges with the smallest neighbour ``m`` of their node ``u``.
+
+    The nodes with over ``HUB`` edges, of which there is one for each ``HUB`` edges at most, are broadcast while they are
+    no more than ``HUBS``: the edges of a node that all copies hang on stay where they are.
+    """
+    hubs = least.where(F.col("n") > HUB).select("u", "m")
+    found = hubs.limit(HUBS + 1).count()
+    if not 0 < found <= HUBS:
+        return edges.join(least.select("u", "m"), "u")
+    marked = edges.join(F.broadcast(hubs.withColumnRenamed("m", "_hub")), "u", "left")
+    rest = marked.where("_hub is null").drop("_hub").join(least.where(F.col("n") <= HUB).select("u", "m"), "u")
+    return marked.where("_hub is not null").withColumnRenamed("_hub", "m").select(*rest.columns).unionByName(rest)
+
+
 def clusters(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
     """doc_id, fp and component_id: the smallest doc_id reachable by links of at most ``radius`` bits."""
     prints = SharedTable(fingerprints(docs, shingle).select("doc_id", "fp"), "fingerprints").read()
@@ -390,6 +408,7 @@ def similar_clusters(docs: DataFrame, shingle: int = 5, similarity: float = 0.8,
     nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("least_id"))
     keyed = prints.dropDuplicates(["fp"]).select("fp", "keys")
     every = F.transform("keys", lambda k: F.struct(F.lit(0).alias("table"), k.alias("key")))
+    # One text for each hash of a text.
     texts = docs.select(F.xxhash64("text").alias("mark"), "text").groupBy("mark").agg(F.first("text").alias("text"))
     roots = components(link(keyed, every, words, radius_for(similarity, words), BUCKET, texts, shingle, similarity))
     return _labelled(prints.select("doc_id", "mark", "fp"), nodes, roots)
