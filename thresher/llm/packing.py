@@ -62,12 +62,17 @@ def with_global_starts(stored: DataFrame) -> DataFrame:
 
 def pieces(stored: DataFrame, length: int = LENGTH) -> DataFrame:
     """Boundary records: each id of a document lies in exactly one piece. Keeps the piece's ids."""
-    end = F.col("first") + F.col("n")
-    cut = with_global_starts(stored).withColumn("sequence_id", F.explode(F.sequence(F.floor(F.col("first") / length), F.floor((end - 1) / length))))
-    low: Column = F.greatest(F.col("first"), F.col("sequence_id") * length)
-    high = F.least(end, (F.col("sequence_id") + 1) * length)
-    cut = cut.select("doc_id", "ids", F.col("n").alias("doc_tokens"), "sequence_id", (low - F.col("first")).alias("start"), (high - low).alias("length"), (low - F.col("sequence_id") * length).alias("offset"))
-    return cut.withColumn("ids", F.substring("ids", (F.col("start") * 4 + 1).cast("int"), (F.col("length") * 4).cast("int")))
+    at, n = F.col("first"), F.col("n")
+
+    def piece(k: Column) -> Column:
+        """The part of a document in sequence k: ids are cut before they are dealt out, so none is copied twice."""
+        low, high = F.greatest(at, k * length), F.least(at + n, (k + 1) * length)
+        ids = F.substring("ids", ((low - at) * 4 + 1).cast("int"), ((high - low) * 4).cast("int"))
+        return F.struct(k.alias("sequence_id"), (low - at).alias("start"), (high - low).alias("length"), (low - k * length).alias("offset"), ids.alias("ids"))
+
+    own = F.transform(F.sequence(F.floor(at / length), F.floor((at + n - 1) / length)), piece)
+    cut = with_global_starts(stored).select("doc_id", n.alias("doc_tokens"), F.explode(own).alias("p"))
+    return cut.select("doc_id", "p.ids", "doc_tokens", "p.sequence_id", "p.start", "p.length", "p.offset")
 
 
 def pack(docs: DataFrame, length: int = LENGTH, tokenizer: str = TOKENIZER, end_id: int = END_ID) -> DataFrame:
