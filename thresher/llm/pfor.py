@@ -7,11 +7,15 @@ of its differences needs, the number of exceptions, the packed low bits and the
 one vector operation over all blocks of a width; the last block is filled up with its minimum.
 Any block can be decoded alone from the index.
 
-``write`` sorts documents by range of doc_id and stores segments in the shared folder as rows
-of a Parquet table, whose commit protocol leaves whole files only when tasks are retried.
+A file's bytes hold two segments: the documents' lengths and their ids, the first behind its own size.
 
-Defined cases: a null or empty text is the end id alone; equal doc_ids stand in order of
-their texts; null doc_ids come first; an empty table gives an empty file set.
+``write`` sorts documents by range of doc_id and the first characters of the text, so that rows of one id need not
+lie in one task, and stores files in the shared folder as rows of a Parquet table, whose commit protocol
+leaves whole files only when tasks are retried. Documents and their bounds are read from these bytes.
+
+Defined cases: a null or empty text is the end id alone; equal doc_ids, repeated rows too, stand in order of
+their texts; null doc_ids come first; a very long text may fill a file alone; an empty table gives an
+empty file set; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -116,11 +120,22 @@ def decompress(blob: bytes, first: int = 0, last: int | None = None) -> np.ndarr
     return out.astype(np.uint32).reshape(-1)[: min(n, last * BLOCK) - first * BLOCK]
 
 
+def pack_file(lengths: np.ndarray, ids: np.ndarray) -> bytes:
+    """Lengths and ids of some documents."""
+    head = compress(lengths.astype(np.uint32))
+    return b"".join((len(head).to_bytes(4, "little"), head, compress(ids)))
+
+
+def unpack_file(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
+    size = int.from_bytes(blob[:4], "little")
+    return decompress(blob[4 : 4 + size]), decompress(blob[4 + size :])
+
+
 def write(docs: DataFrame, tokenizer: str = TOKENIZER, end_id: int = END_ID, segment_ids: int = SEGMENT_IDS) -> SharedTable:
-    """Stores the segments: (part, segment, at, doc_ids, lengths, n, ids), in ascending doc_id order."""
+    """Stores the segments: (part, segment, at, doc_ids, n, ids), in ascending doc_id order."""
     prepare(docs.sparkSession)
     kind = docs.schema["doc_id"].dataType
-    schema = pa.schema([("part", pa.int64()), ("segment", pa.int64()), ("at", pa.int64()), ("doc_ids", pa.list_(_arrow(kind))), ("lengths", pa.list_(pa.int64())), ("n", pa.int64()), ("ids", pa.binary())])
+    schema = pa.schema([("part", pa.int64()), ("segment", pa.int64()), ("at", pa.int64()), ("doc_ids", pa.list_(_arrow(kind))), ("n", pa.int64()), ("ids", pa.binary())])
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -132,7 +147,7 @@ def write(docs: DataFrame, tokenizer: str = TOKENIZER, end_id: int = END_ID, seg
 
             def close() -> tuple:
                 ids = np.frombuffer(b"".join(held), "<u4")
-                return part, number, at, names, [len(x) // 4 for x in held], len(ids), compress(ids)
+                return part, number, at, names, len(ids), pack_file(np.array([len(x) // 4 for x in held]), ids)
 
             for doc_id, text in rows_of(batches, "doc_id", "text"):
                 held.append(encode(text) + end)
@@ -146,8 +161,8 @@ def write(docs: DataFrame, tokenizer: str = TOKENIZER, end_id: int = END_ID, seg
 
         return batched(segments(), schema)
 
-    ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id")).sortWithinPartitions("doc_id", "text")
-    columns = f"part long, segment long, at long, doc_ids array<{kind.simpleString()}>, lengths array<long>, n long, ids binary"
+    ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id"), F.substring("text", 1, 64)).sortWithinPartitions("doc_id", "text")
+    columns = f"part long, segment long, at long, doc_ids array<{kind.simpleString()}>, n long, ids binary"
     return SharedTable(ordered.mapInArrow(run, columns), "packed-ids", codec="none")
 
 
@@ -169,15 +184,16 @@ def _located(stored: DataFrame) -> DataFrame:
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     # One row for each range of documents.
     starts = totals.select("part", F.coalesce(F.sum("total").over(before), F.lit(0)).alias("start_of_part"))
-    return stored.join(F.broadcast(starts), "part").select((F.col("start_of_part") + F.col("at")).alias("start"), "doc_ids", "lengths", "ids")
+    return stored.join(F.broadcast(starts), "part").select((F.col("start_of_part") + F.col("at")).alias("start"), "doc_ids", "ids")
 
 
 def _decoder(schema: pa.Schema, of):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def rows() -> Iterator[tuple]:
-            for start, names, lengths, blob in rows_of(batches, "start", "doc_ids", "lengths", "ids"):
-                raw, at = decompress(blob).astype("<u4").tobytes(), 0
-                for name, n in zip(names, lengths, strict=True):
+            for start, names, blob in rows_of(batches, "start", "doc_ids", "ids"):
+                lengths, ids = unpack_file(blob)
+                raw, at = ids.astype("<u4").tobytes(), 0
+                for name, n in zip(names, lengths.tolist(), strict=True):
                     yield name, start + at, n, of(raw[4 * at : 4 * (at + n)])
                     at += n
 
