@@ -35,11 +35,11 @@ RANGES, DRAWS = 64, 64
 RANGE_ROWS = 2_000_000
 
 
-def keyed(docs: DataFrame) -> DataFrame:
-    """doc_id, size, text_crc32, and the key (k, t)."""
+def keyed(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, size, text_crc32, the key (k, t), and the columns to keep."""
     text = F.coalesce("text", F.lit(""))
     size = (F.octet_length(text) + ROW_BYTES).cast("long")
-    return docs.select("doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("k"), F.xxhash64("doc_id", text, F.lit(1)).alias("t"))
+    return docs.select("doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("k"), F.xxhash64("doc_id", text, F.lit(1)).alias("t"), *keep)
 
 
 def splitters(rows: DataFrame, ranges: int, total: int) -> list[tuple[int, int]]:
@@ -107,11 +107,12 @@ def quotas(load: list[int], light: int) -> list[int]:
     return [max(0, low - x) for x in load]
 
 
-def assign(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
-    """doc_id, size, text_crc32, law, shard, slot and grown_shard (null: the law is not ``key``)."""
+def assign(docs: DataFrame, shards: int = SHARDS, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, size, text_crc32, law, shard, slot and grown_shard (null: the law is not ``key``), and the columns to keep."""
     spark = docs.sparkSession
     prepare(spark)
-    rows = keyed(docs)
+    # The texts are read once; what follows reads five numbers a row.
+    rows = SharedTable(keyed(docs, keep), "sharding-keys").read()
     n, total = rows.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     limit = total // (shards * PARTS)
     heavy, light = rows.where(F.col("size") > limit), rows.where(F.col("size") <= limit)
@@ -124,14 +125,14 @@ def assign(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
     nth = F.when(F.col("k").isin(torn), F.row_number().over(Window.partitionBy("k").orderBy("t"))).otherwise(0) if torn else F.lit(0)
     placed_heavy = heavy.withColumn("nth", nth).join(F.broadcast(named), ["k", "nth"])
     slot = F.row_number().over(Window.partitionBy("shard").orderBy("k", "t")) - 1
-    placed_heavy = placed_heavy.select("doc_id", "size", "text_crc32", "shard", slot.cast("long").alias("slot"))
+    placed_heavy = placed_heavy.select("doc_id", "size", "text_crc32", *keep, "shard", slot.cast("long").alias("slot"))
 
     light_total = total - sum(size * count for _, size, count in groups)
     ranges = max(RANGES, -(-n // RANGE_ROWS))
     cuts = splitters(light, ranges, light_total)
     own = Window.partitionBy("range").orderBy("k", "t").rowsBetween(Window.unboundedPreceding, -1)
     local = light.withColumn("range", range_of(cuts)).select(
-        "doc_id", "size", "text_crc32", "range", F.coalesce(F.sum("size").over(own), F.lit(0)).alias("bytes_in"), F.coalesce(F.count("*").over(own), F.lit(0)).alias("rows_in")
+        "doc_id", "size", "text_crc32", *keep, "range", F.coalesce(F.sum("size").over(own), F.lit(0)).alias("bytes_in"), F.coalesce(F.count("*").over(own), F.lit(0)).alias("rows_in")
     )
     local = SharedTable(local, "sharding").read()
     before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
@@ -142,13 +143,13 @@ def assign(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
     for x in quotas(load, light_total):
         ends.append(at := at + x)
     middle = F.col("bytes_at") + F.col("bytes_in") + F.floor(F.col("size") / 2)
-    placed = local.join(F.broadcast(starts), "range").select("doc_id", "size", "text_crc32", _part_of(ends, middle).alias("shard"), (F.col("rows_at") + F.col("rows_in")).alias("row"))
+    placed = local.join(F.broadcast(starts), "range").select("doc_id", "size", "text_crc32", *keep, _part_of(ends, middle).alias("shard"), (F.col("rows_at") + F.col("rows_in")).alias("row"))
     # One row for each shard.
     first = placed.groupBy("shard").agg(F.min("row").alias("first_row"))
     before_light = F.get(F.array(*[F.lit(c) for c in _counts(whole, spread, groups, shards)]), F.col("shard"))
-    placed = placed.join(F.broadcast(first), "shard").select("doc_id", "size", "text_crc32", "shard", (F.col("row") - F.col("first_row") + before_light).cast("long").alias("slot"))
+    placed = placed.join(F.broadcast(first), "shard").select("doc_id", "size", "text_crc32", *keep, "shard", (F.col("row") - F.col("first_row") + before_light).cast("long").alias("slot"))
     every = placed.unionByName(placed_heavy)
-    return every.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+    return every.select("doc_id", "size", "text_crc32", *keep, F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
 def _part_of(ends: list[int], offset: Column) -> Column:
@@ -171,8 +172,17 @@ def _counts(whole: dict[int, int], spread: list[tuple[int, list[int]]], groups:
     return found
 
 
-def deal(docs: DataFrame, path: str, shards: int = SHARDS) -> None:
-    """Writes the documents, all columns, into one folder for each shard, in slot order."""
-    placed = assign(docs.dropDuplicates(["doc_id"]), shards).select(F.col("doc_id").alias("_id"), "shard", "slot")
-    out = docs.join(placed, docs["doc_id"].eqNullSafe(placed["_id"])).drop("_id")
-    out.repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+def deal(docs: DataFrame, path: str, shards: int = SHARDS, block_rows: int = 100_000) -> None:
+    """Writes the documents, all columns, into one folder for each shard, as files of consecutive slots.
+
+    A task writes ``block_rows`` slots of a shard, so a shard's size does not bound a task; a file's rows are in
+    order and its place is the column ``slot_block``. Columns go through as a struct, whatever their names.
+    """
+    own = docs.select(F.monotonically_increasing_id().alias("_row"), "doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("own"))
+    stored = SharedTable(own, "sharding-rows")
+    rows = stored.read()
+    placed = assign(rows.select("doc_id", "text", "_row"), shards, ("_row",)).select("_row", "shard", "slot")
+    out = rows.select("_row", "own").join(placed, "_row").withColumn("slot_block", F.floor(F.col("slot") / block_rows))
+    blocks = out.select("own", "slot", "shard", "slot_block").repartition("shard", "slot_block").sortWithinPartitions("shard", "slot_block", "slot")
+    blocks.write.partitionBy("shard", "slot_block").parquet(path)
+    stored.drop()
