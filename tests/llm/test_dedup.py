@@ -40,6 +40,7 @@ def plain_components(prints, radius):
 
 
 def test_hard_texts(hard, empty):
+    assert simhash.digest(simhash.clusters(hard)).count() == len(HARD)
     got = simhash.digest(simhash.clusters(hard.where("doc_id is not null"))).collect()
     assert len(got) == len(HARD) - 1
     prints = {i: plain_fingerprint(t) for i, t in HARD if i is not None}
@@ -150,3 +151,17 @@ def test_large_groups_of_near_texts_in_chunks(spark):
     names = {r.doc_id: bytes(r.fp) for r in prints.select("doc_id", "fp").collect()}
     at = {k: roots.get(name, name) for k, name in names.items()}
     assert len({at[k] for k in range(30)}) == 1 and at[99] != at[0]
+
+
+def test_hubs_give_the_same_components(spark, monkeypatch):
+    rng = random.Random(7)
+    pairs = [(0, k) for k in range(1, 60)] + [(100, k) for k in range(90, 100)] + [(k, k + 1) for k in range(200, 230)] + [(59, 205)]
+    rng.shuffle(pairs)
+    name = lambda k: bytearray(k.to_bytes(4, "big"))
+    links = spark.createDataFrame([(name(a), name(b)) for a, b in pairs], "a binary, b binary")
+    plain = {bytes(r.node): bytes(r.root) for r in simhash.components(links).collect()}
+    monkeypatch.setattr(simhash, "HUB", 3)
+    assert {bytes(r.node): bytes(r.root) for r in simhash.components(links).collect()} == plain
+    monkeypatch.setattr(simhash, "HUBS", 1)
+    assert {bytes(r.node): bytes(r.root) for r in simhash.components(links).collect()} == plain
+    assert int.from_bytes(plain[bytes(name(230))], "big") == 0

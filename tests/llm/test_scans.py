@@ -47,6 +47,27 @@ def test_decontamination(spark, hard, empty, block_words):
     assert decontaminate.scan(hard, benchmark.where("false")).where("contaminated").count() == 0
 
 
+@pytest.mark.parametrize("block_words", [500_000, 8])
+def test_item_ids_of_any_text(spark, block_words):
+    items = [("a,b", "one two three"), ("", "four five six"), ("c", "seven eight")]
+    docs = [(1, "one two three x four five six"), (2, "seven eight"), (3, None)]
+    got = decontaminate.scan(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id string, text string"), block_words=block_words).collect()
+    assert sorted((tuple(r) for r in got), key=str) == plain_scan(docs, items)
+
+
+def test_blocks_cut_what_one_block_cuts(spark):
+    """Windows that overlap, and windows that only meet once something between them has gone."""
+    rng = random.Random(3)
+    items = [(k, " ".join(rng.choice("abcd") for _ in range(rng.randrange(3, 7)))) for k in range(6)]
+    docs = [(k, " ".join(rng.choice("abcd") for _ in range(40)), k) for k in range(30)] + [(99, None, 1), (98, "", 2), (97, "z Z", 3)]
+    table, bench = spark.createDataFrame(docs, "doc_id long, text string, row int"), spark.createDataFrame(items, "item_id long, text string")
+    one = {r.doc_id: (r.text, r.row) for r in decontaminate.clean(table, bench, "spans", width=4).collect()}
+    more = decontaminate.clean(table, bench, "spans", width=4, block_words=4)
+    assert more.columns == table.columns and {r.doc_id: (r.text, r.row) for r in more.collect()} == one
+    left = decontaminate.scan(more, bench, width=4).where("contaminated").count()
+    assert left == 0 and sum(t != dict((a, b) for a, b, _ in docs)[i] for i, (t, _) in one.items()) > 5
+
+
 def test_spans_and_documents_go(spark, hard):
     benchmark = spark.createDataFrame([(1, "two three four five six seven eight nine ten eleven")], "item_id long, text string")
     kept = decontaminate.clean(hard, benchmark, "documents")
@@ -202,7 +223,57 @@ def test_viterbi_is_the_best_path():
         e = rng.normal(size=(5, 3))
         score = lambda p: model.start[p[0]] + e[0][p[0]] + sum(model.next[a, b] + e[k + 1][b] for k, (a, b) in enumerate(zip(p, p[1:])))  # noqa: E731, B023, B905
         every = [(a, b, c, d, f) for a in range(3) for b in range(3) for c in range(3) for d in range(3) for f in range(3)]
-        assert tuple(model.viterbi(e)[0]) == max(every, key=score)
+        assert tuple(model.viterbi(e)) == max(every, key=score)
+
+
+def test_long_transcripts_are_decided_as_if_whole(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    model = chat.RoleModel({("start", "", "user"): 3, ("next", "user", "assistant"): 5, ("next", "assistant", "user"): 4})
+    for n in (1, 2, 50, 400):
+        for scale in (0.05, 1.0):
+            emissions = rng.normal(size=(n, 3)) * scale
+            score, back = model.start + emissions[0], []
+            for e in emissions[1:]:
+                step = score[:, None] + model.next
+                back.append(step.argmax(0))
+                score = step.max(0) + e
+            want = [int(score.argmax())]
+            for pointers in reversed(back):
+                want.append(int(pointers[want[-1]]))
+            path, got = chat.Path(model), []
+            for e in emissions:
+                path.add(e)
+                if rng.random() < 0.2:
+                    got += path.decided()
+            assert got + path.rest() == want[::-1]
+    monkeypatch.setattr(chat, "SETTLE", 4)
+    turns = [(c, t, f"line {t}{'?' if t % 2 else '.'}", "assistant", 3) for c in (1, 2, None) for t in range(50)] + [(1, 50, "word " * 40_000, "x", 1)]
+    table = spark.createDataFrame(turns, "conv_id long, turn long, text string, row string, role_found int")
+    small = sorted(map(str, chat.roles(table, model).collect()))
+    monkeypatch.setattr(chat, "SETTLE", 1 << 10)
+    assert small == sorted(map(str, chat.roles(table, model).collect())) and len(small) == len(turns)
+
+
+def test_roles_equal_a_plain_version(spark):
+    """The whole query: counts, emissions and paths, transcript by transcript; null ids stand alone."""
+    rng = random.Random(9)
+    rows = [(c, t, rng.choice(chat.ROLES), rng.choice(["Why?", "Because of this.", "User: hi", "be kind\n- a\n- b", ""])) for c in [*range(30), None] for t in range(4)]
+    table = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    counts = Counter()
+    trained = [r for r in rows if zlib.crc32((str(r[0]) if r[0] is not None else "").encode()) % 5 != 0]
+    for c in range(30):
+        own = [r for r in trained if r[0] == c]
+        counts.update([("start", "", own[0][2])] if own else [])
+        counts.update(("next", a[2], b[2]) for a, b in zip(own, own[1:], strict=False))
+    counts.update(("start", "", r[2]) for r in trained if r[0] is None)
+    counts.update(("see", r[2], v) for r in trained for v in chat.features(r[3]))
+    model = chat.RoleModel(dict(counts))
+    want = Counter()
+    for c in range(30):
+        own = [r for r in rows if r[0] == c]
+        want.update((r[0], r[1], chat.ROLES[k]) for r, k in zip(own, model.viterbi([model.emission(r[3]) for r in own]), strict=True))
+    want.update((None, r[1], chat.ROLES[model.viterbi([model.emission(r[3])])[0]]) for r in rows if r[0] is None)
+    assert Counter((r.conv_id, r.turn, r.role_found) for r in chat.digest(table).collect()) == want
 
 
 def test_sharding(spark, hard, empty):
@@ -221,6 +292,37 @@ def test_sharding(spark, hard, empty):
     assert shard.assign(empty).count() == 0
 
 
+def test_dealt_files_hold_every_row_in_order(spark, tmp_path):
+    rows = [(None if i % 7 == 0 else i % 500, "hot" if i % 3 == 0 else f"text {i}", f"s{i}", -i) for i in range(2000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, shard string, slot int")
+    path = str(tmp_path / "shards")
+    shard.deal(docs.repartition(5), path, 8, block_rows=50)
+    found = spark.read.parquet(path).select("shard", "slot", "slot_block", "own.*")
+    got = found.toDF("to", "at", "block", *docs.columns).collect()
+    assert Counter((r.doc_id, r.text, r.shard, r.slot) for r in got) == Counter(rows)
+    slots = {}
+    for r in got:
+        slots.setdefault(r.to, []).append(r.at)
+        assert r.block == r.at // 50
+    assert set(slots) == set(range(8)) and all(sorted(s) == list(range(len(s))) for s in slots.values())
+
+
+def test_shards_equal_a_plain_version(spark):
+    """Groups of equal texts stay together unless they are beyond what a shard has left; sizes are near equal."""
+    rng = random.Random(1)
+    rows = [(i, rng.choice(["a" * 300, "b" * 50, f"{i}" * rng.randrange(1, 40)])) for i in range(5000)]
+    got = {r.doc_id: r for r in shard.assign(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    load, homes = Counter(), {}
+    for i, t in rows:
+        assert (got[i]["size"], got[i].text_crc32, got[i].law, got[i].grown_shard) == (len(t) + 16, zlib.crc32(t.encode()), "bytes", None)
+        load[got[i].shard] += len(t) + 16
+        homes.setdefault(t, set()).add(got[i].shard)
+    share = sum(load.values()) / 40
+    assert len(load) == 40 and all(abs(x - share) < share / 50 + 320 for x in load.values())
+    split = [t for t, h in homes.items() if len(h) > 1]
+    assert len(split) <= 40 and all(len(h) <= 2 + sum(len(t) + 16 for _, x in rows if x == t) / share for t, h in homes.items())
+
+
 def test_exact_top_k(spark):
     rng = np.random.default_rng(8)
     x = rng.normal(size=(400, 8)).round(1)
