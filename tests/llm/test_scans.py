@@ -337,21 +337,37 @@ def test_exact_top_k(spark):
     assert len(got) == 40 and mtree.top_k(df.where("false"), df["vec_id"] % 50 == 0).count() == 0
 
 
-def test_tree_search_is_exact_in_small_pages(monkeypatch):
+def test_tree_search_is_exact_and_its_bounds_spare_products(monkeypatch):
     """Many levels: bounds and parent distances must not lose a tie."""
     monkeypatch.setattr(mtree, "PAGE", 8)
     monkeypatch.setattr(mtree, "FANOUT", 4)
     rng = np.random.default_rng(2)
     x = np.floor(rng.normal(size=(600, 3)) * 6)
     ids = rng.permutation(600)
-    tree, center = mtree.build(x, ids)
-    computed = 0
-    for k in range(60):
-        best, n = mtree.search(tree, center, x[k], int(ids[k]), 5)
-        want = sorted((-int(x[k] @ v), int(i)) for v, i in zip(x, ids, strict=True) if i != ids[k])[:5]
-        assert [(-s, i) for s, i in best] == want
-        computed += n
-    assert computed < 60 * 600 / 2
+    root, center = mtree.build(x, ids)
+    depth = lambda n: 1 if n.children is None else 1 + max(map(depth, n.children))
+    assert depth(root) > 3
+    want = [sorted((-int(x[k] @ v), int(i)) for v, i in zip(x, ids, strict=True) if i != ids[k])[:5] for k in range(60)]
+    best, computed = mtree.search(root, center, x[:60], ids[:60], 5)
+    assert best.found == want and computed < 60 * 600 / 2
+    floors = np.array([-w[-1][0] for w in want], float)
+    again, fewer = mtree.search(root, center, x[:60], ids[:60], 5, floors)
+    assert again.found == want and fewer < computed
+    for k in (0, 17):
+        assert mtree.search(root, center, x[k : k + 1], ids[k : k + 1], 5)[0].found == [want[k]]
+
+
+def test_products_beyond_floats_are_whole_numbers(spark):
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.integers(-(2**22), 2**22, (120, 6)).astype(float), np.full((2, 6), 2.0**22 - 1)])
+    x[60:90] = x[0] + rng.integers(0, 2, (30, 6)) / 256
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    whole = [[int(np.floor(256 * c)) for c in v] for v in x]
+    for rows in (30, 1000):
+        got = mtree.top_k(df, df["vec_id"] % 50 == 0, shard_rows=rows, block_rows=2).collect()
+        for me in (0, 50, 100):
+            want = sorted((-sum(a * b for a, b in zip(whole[me], v, strict=True)), i) for i, v in enumerate(whole) if i != me)[:5]
+            assert [(-r.score, r.vec_id) for r in sorted((r for r in got if r.query_id == me), key=lambda r: r.rank)] == want
 
 
 def test_language_model(spark, hard, empty):
