@@ -93,6 +93,52 @@ def test_licenses(hard, empty):
     assert len(licenses.rules()) > 300
 
 
+def plain_detections(norm, rules):
+    """Every rule over the whole text, then suppression by comparing all pairs."""
+    import re
+
+    found = set()
+    for r in rules:
+        if f" {r.keyword} " not in norm:
+            continue
+        for m in re.finditer(r.pattern, norm):
+            first = norm[: m.start()].count(" ")
+            found.add((first, first + m[0].count(" ") - 1, r.priority, -r.confidence, r.label))
+    kept = []
+    for a in found:
+        inside = any(b[2] < a[2] and b[0] <= a[0] and a[1] <= b[1] for b in found)
+        lesser = any(b[:2] == a[:2] and b[2:] < a[2:] for b in found)
+        if not inside and not lesser:
+            kept.append((a[4], a[0], a[1]))
+    return sorted(kept)
+
+
+def test_every_rule_is_found_and_suppression_equals_all_pairs(spark):
+    rules = licenses.rules()
+    handwritten = [line.split("|", 1) for line in licenses.PASSAGES.strip().splitlines()]
+    assert len(handwritten) > 150 and len({p for _, p in handwritten}) == len(handwritten) and len(rules) > 700
+    rng = random.Random(4)
+    pool = [" ".join(p.split()) for _, p in handwritten if all(w.isalnum() for w in p.split())]
+    names = [n for _, some, short, _ in licenses.FAMILIES for n in some + short]
+    texts = []
+    for k in range(120):
+        parts = [rng.choice([rng.choice(pool), f"licensed under the {rng.choice(names)} version 2 0", f"spdx license identifier {rng.choice(names)}", rng.choice(names), "some other words"]) for _ in range(rng.randrange(1, 5))]
+        texts.append(" " + " ".join(parts) + " ")
+    texts += [f" {p} " for p in pool]
+    docs = spark.createDataFrame(list(enumerate(texts)), "row long, norm string")
+    got = {}
+    for r in licenses.detections(docs).collect():
+        got.setdefault(r.row, []).append((r.label, r["first"], r["last"]))
+    for k, norm in enumerate(texts):
+        assert sorted(got.get(k, [])) == plain_detections(norm, rules), norm
+    for k, p in enumerate(pool):
+        assert got[120 + k], p
+    whole = {r.doc_id: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for k, norm in enumerate(texts):
+        base = {label for phrase, label in licenses.BASE.items() if f" {phrase} " in norm}
+        assert whole[k].labels == ",".join(sorted(base | {x[0] for x in plain_detections(norm, rules)}))
+
+
 def test_priority_suppresses_what_lies_inside(spark):
     rules = [licenses.Rule("b", " a b c(?= )", "long", 1, 0.9), licenses.Rule("b", " b(?= )", "short", 2, 0.8), licenses.Rule("b", " c d(?= )", "over", 2, 0.7), licenses.Rule("b", " a b c(?= )", "twin", 3, 0.7)]
     docs = spark.createDataFrame([(1, " a b c d b ")], "row long, norm string")
