@@ -28,7 +28,7 @@ BASE = {"gnu general public license": "gpl", "apache license": "apache", "cc by"
 _NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 #: Normalised texts hold no control characters.
 _MARK = "\x01"
-#: Pairs of a text and a keyword that one task runs rules on.
+#: Texts that one task runs rules on.
 TEXTS = 2000
 
 
@@ -349,10 +349,21 @@ def _spans(norm: Column, pattern: Column) -> Column:
     return F.zip_with(starts, found, lambda first, hit: F.struct(first.alias("first"), (first + words(hit) - 1).alias("last")))
 
 
+def anchor(keyword: str) -> str:
+    """The word without which a keyword can't stand in a text: ``license``, or its longest."""
+    words = keyword.split(" ")
+    return "license" if "license" in words else max(words, key=len)
+
+
+def anchors_in(signature: list[Rule]) -> Column:
+    """The anchors that a text holds: one look at each word, whatever the number of rules."""
+    every = sorted({anchor(r.keyword) for r in signature})
+    return F.array_intersect(F.split("norm", " "), F.array(*map(F.lit, every)))
+
+
 def gate(signature: list[Rule]) -> Column:
-    """Whether a text has a word without which no keyword can stand in it: ``license``, or the keyword's longest."""
-    anchors = {"license" if "license" in words else max(words, key=len) for words in (r.keyword.split(" ") for r in signature)}
-    return F.rlike("norm", F.lit(" (?:" + "|".join(sorted(anchors)) + ") "))
+    """Whether a text has an anchor at all."""
+    return F.size(anchors_in(signature)) > 0
 
 
 def detections(docs: DataFrame, signature: list[Rule] | None = None) -> DataFrame:
@@ -362,13 +373,14 @@ def detections(docs: DataFrame, signature: list[Rule] | None = None) -> DataFram
     """
     signature = rules() if signature is None else signature
     spark = docs.sparkSession
-    keywords = sorted({r.keyword for r in signature})
-    held = F.array(*[F.struct(F.lit(f" {k} ").alias("keyword"), F.lit(n).alias("n")) for n, k in enumerate(keywords)])
-    passed = docs.where(gate(signature)).withColumn("k", F.explode(F.filter(held, lambda k: F.contains("norm", k["keyword"])))).select("row", "norm", F.col("k.n").alias("n"))
-    number = {k: n for n, k in enumerate(keywords)}
+    number = {k: n for n, k in enumerate(sorted({r.keyword for r in signature}))}
+    # Rules and keywords are fixed lists. A text meets the keywords of its anchors only.
+    keys = spark.createDataFrame([(anchor(k), f" {k} ", n) for k, n in number.items()], "anchor string, keyword string, n int")
+    met = docs.select("row", "norm", F.explode(anchors_in(signature)).alias("anchor")).join(F.broadcast(keys), "anchor")
+    passed = met.where(F.contains("norm", F.col("keyword"))).select("row", "norm", "n")
     listed = spark.createDataFrame([(number[r.keyword], r.pattern, r.label, r.priority, r.confidence) for r in signature], "n int, pattern string, label string, priority int, confidence double")
     # Few texts pass, but each costs much: they are dealt out evenly, whatever files they came from.
-    passed = passed.repartition(max(spark.sparkContext.defaultParallelism, -(-passed.count() // TEXTS)), "row", "n")
+    passed = passed.repartition(max(spark.sparkContext.defaultParallelism, -(-docs.count() // TEXTS)), "row", "n")
     # The rules are a fixed list.
     run = passed.join(F.broadcast(listed), "n").withColumn("span", F.explode(_spans(F.col("norm"), F.col("pattern"))))
     found = run.select("row", "label", "priority", "confidence", F.col("span.first").alias("first"), F.col("span.last").alias("last")).distinct()
