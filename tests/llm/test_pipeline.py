@@ -32,38 +32,56 @@ def test_pipeline_drops_what_it_should(spark):
 @pytest.mark.skipif(not os.path.isdir(SF), reason="needs the test tables")
 def test_every_query_returns_every_row(spark):
     n = spark.read.parquet(f"{SF}/documents.parquet").count()
+    turns = spark.read.parquet(f"{SF}/conversations.parquet").count()
+    vectors = spark.read.parquet(f"{SF}/embeddings.parquet")
     found = entries.queries()
     assert [x.split("_")[0] for x in found] == [f"op{k}" for k in range(1, 11)]
-    for name in ("op2_license_rules", "op3_toxicity_nearest_examples"):
-        assert found[name](spark, SF).count() == n
+    for name, query in found.items():
+        got = query(spark, SF)
+        if name.startswith("op4_"):
+            assert got.count() == 5 * vectors.where("vec_id % 50 = 0").count()
+        elif name.startswith("op7_"):
+            assert got.select("doc_id").distinct().count() == n
+        else:
+            assert got.count() == (turns if name.startswith("op8_") else n), name
 
 
 @pytest.mark.skipif(not os.path.isdir(SF), reason="needs the test tables")
 def test_pipeline_equals_a_plain_version(spark):
-    """Dense cosines, all pairs of fingerprints, sets of windows, and the plain tokenizer."""
+    """All cosines, all pairs of shingle sets, sets of windows, and the plain tokenizer."""
     import numpy as np
 
-    from thresher.llm import packing, simhash, tokens, toxicity
+    from thresher.llm import packing, tokens, toxicity
+    from thresher.llm.common import blank_words
 
     from .test_scans import plain_scan
 
     rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").collect()]
     docs, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
-    index = toxicity.fit(docs, labels)
-    finder = toxicity.TermFinder(index.terms)
-
-    def dense(vector):
-        q = dict(index.weights(vector))
-        cosines = [(sum(w * q.get(t, 0.0) for t, w in index.weights(x[0])), n) for n, x in enumerate(index.examples)]
-        return sorted((c for c in cosines if c[0] > 0), key=lambda x: (-round(x[0], 12), x[1]))[: toxicity.K]
-
-    index.nearest = dense
-    rows = [(i, t) for i, t in rows if index.score(finder.of(t))[0] < 0.5]
-    prints = {}
+    scorer = toxicity.fit(docs, labels)
+    finder, index = scorer.finder(), scorer.index
+    texts = dict(rows)
+    size = len(index.weight)
+
+    def dense(text):
+        out = np.zeros(size)
+        terms, weights = index.vector(*finder.of(text))
+        out[terms] = weights
+        return out
+
+    examples = np.array([dense(texts[i]) for i in index.names])
+
+    def is_clean(text):
+        cosines = examples @ dense(text) if len(examples) else np.zeros(0)
+        best = [n for n in sorted(range(len(cosines)), key=lambda n: (-round(cosines[n], 12), n))[: toxicity.K] if cosines[n] > 1e-15]
+        return index.votes([(float(cosines[n]), n) for n in best])[0] < 0.5
+
+    rows = [(i, t) for i, t in rows if is_clean(t)]
+    sets = {}
     for i, t in rows:
-        h = simhash.shingle_hashes(t, 5)
-        prints[i] = (int.from_bytes(simhash.fingerprint(h, 4), "big"), set(np.unique(h)[: simhash.KEYS].tolist()))
-    radius, ids = simhash.radius_for(0.8, 4), sorted(prints)
+        w = blank_words(t)
+        sets[i] = {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else None
+    ids = sorted(sets)
     root = {i: i for i in ids}
 
     def find(x):
@@ -73,7 +91,8 @@ def test_pipeline_equals_a_plain_version(spark):
 
     for k, a in enumerate(ids):
         for b in ids[:k]:
-            if prints[a][1] & prints[b][1] and (prints[a][0] ^ prints[b][0]).bit_count() <= radius:
+            x, y = sets[a], sets[b]
+            if x and y and len(x & y) >= 0.8 * len(x | y):
                 x, y = sorted((find(a), find(b)))
                 root[y] = x
     rows = [(i, t) for i, t in rows if find(i) == i]
@@ -85,3 +104,30 @@ def test_pipeline_equals_a_plain_version(spark):
     got = corpus_pipeline.run(spark, SF).collect()
     assert {r.doc_id: r.doc_tokens for r in got} == want
     assert sum(r.length for r in got) == sum(want.values())
+
+
+def test_stages_on_hard_and_empty_tables(spark, hard, empty, tmp_path):
+    """Nulls, empty and very long texts, repeated rows and clashing names go through every stage."""
+    spark.createDataFrame([(4, 0), (5, 1), (6, 0), (None, 1), (7, None)], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    spark.createDataFrame([(1, "the cat sat"), (None, "x"), (2, None)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    for docs in (hard, hard.where("false"), empty):
+        now = docs
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            now = stage(spark, now, str(tmp_path))
+            assert now.columns == docs.columns, name
+        assert corpus_pipeline.STAGES[-1][1](spark, now, str(tmp_path)).count() >= now.count()
+    kept = now = hard
+    for _, stage in corpus_pipeline.STAGES[1:-1]:
+        kept = stage(spark, kept, str(tmp_path))
+    ids = [r.doc_id for r in kept.collect()]
+    # Texts without words and rows without an id stay; of equal texts one row does; the item stands in the long text.
+    assert sorted(i for i in ids if i is not None) == [1, 2, 3, 4, 7, 8, 9, 10] and ids.count(None) == 1
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="needs the test tables")
+def test_run_leaves_its_result_only(spark):
+    from thresher.llm.common import SharedTable, drop_tables
+
+    drop_tables()
+    found = corpus_pipeline.run(spark, SF)
+    assert len(SharedTable.made) == 1 and found.count() > 0

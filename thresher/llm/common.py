@@ -60,13 +60,20 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 class SharedTable:
-    """A Parquet table in the shared folder. ``drop`` removes it once nothing reads it any more."""
+    """A Parquet table in the shared folder. ``drop`` removes it once nothing reads it any more.
+
+    Results are lazy and read the tables that were made for them, so a table stays until ``drop_tables`` is called by
+    whoever has stored a result.
+    """
+
+    made: list[SharedTable] = []
 
     def __init__(self, df: DataFrame, name: str, codec: str = "zstd", partition_by: Iterable[str] = ()):
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/{name}-{uuid.uuid4().hex}"
         self.schema = df.schema
         df.write.option("compression", codec).partitionBy(*partition_by).parquet(self.path)
+        SharedTable.made.append(self)
 
     def read(self) -> DataFrame:
         return self.spark.read.schema(self.schema).parquet(self.path)
@@ -74,6 +81,17 @@ class SharedTable:
     def drop(self) -> None:
         path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+        if self in SharedTable.made:
+            SharedTable.made.remove(self)
+
+
+def drop_tables(keep: Iterable[SharedTable] = ()) -> int:
+    """Removes every table of this process but those to keep; gives their number."""
+    kept = set(keep)
+    gone = [t for t in SharedTable.made if t not in kept]
+    for t in gone:
+        t.drop()
+    return len(gone)
 
 
 def is_trained_on(doc_id: Column, divisor: int, held_out: int) -> Column:
