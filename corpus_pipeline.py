@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from thresher.llm import decontaminate, packing, simhash, toxicity
-from thresher.llm.common import SharedTable, table
+from thresher.llm.common import SharedTable, drop_tables, table
 
 #: A stage on word shingles: five words, similarity 0.8 or more.
 SHINGLE, SIMILARITY = 5, 0.8
@@ -51,8 +51,14 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``, each stored before the next reads it."""
+    """All stages over ``documents``, each stored before the next reads it.
+
+    What a stage has stored for itself, and the stage before it, is removed once its result is stored.
+    """
+    others = list(SharedTable.made)
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = SharedTable(stage(spark, docs, sf_dir), f"pipeline-{name}").read()
+        stored = SharedTable(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        drop_tables([*others, stored])
+        docs = stored.read()
     return docs
