@@ -32,6 +32,7 @@ import math
 import zlib
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -54,6 +55,8 @@ LEARNER_TOKENS = 8_000_000
 BATCH, STEP, RATE = 4096, 1024, 0.2
 ROW_BLOCK = 256
 LIMIT = 60.0
+#: Tail words that a worker remembers.
+INDEX_ROOM = 400_000
 _FLUSH = 250_000
 _PUNCTUATION = b".,;:!?|"
 
@@ -133,7 +136,7 @@ class Vocabulary:
         self.inside = np.concatenate([inside, -log_rest[tails]])
         self.norm = math.log10(total + distinct + 1)
         self.base = np.log10(self.counts + 1) - self.norm
-        self._index: _Index | None = None
+        self._index: dict[bytes, int] | None = None
 
     def __getstate__(self) -> dict:
         return self.__dict__ | {"_index": None}
@@ -142,30 +145,26 @@ class Vocabulary:
         return self.class_of_ending.get(ending(word), CLASSES - 1)
 
     @property
-    def index(self) -> _Index:
+    def index(self) -> dict[bytes, int]:
         if self._index is None:
-            self._index = _Index(self)
+            self._index = {w: k for k, w in enumerate(self.words)}
         return self._index
 
     def numbers(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))
+        """Head words by frequency; the others by their class and a hash."""
+        index = self.index
+        found = np.fromiter(map(index.get, words, repeat(-1)), np.int64, len(words))
+        heads = len(self.words)
+        for k in np.flatnonzero(found < 0).tolist():
+            word = words[k]
+            found[k] = at = heads + self.tail_class(word) * TAIL_SLOTS + zlib.crc32(word) % TAIL_SLOTS
+            if len(index) < heads + INDEX_ROOM:
+                index[word] = at
+        return found
 
     @property
     def end(self) -> int:
-        return self.index[END]
-
-
-class _Index(dict):
-    def __init__(self, vocabulary: Vocabulary):
-        super().__init__((w, k) for k, w in enumerate(vocabulary.words))
-        self.of, self.offset, self.room = vocabulary.tail_class, len(vocabulary.words), 400_000
-
-    def __missing__(self, word: bytes) -> int:
-        found = self.offset + self.of(word) * TAIL_SLOTS + zlib.crc32(word) % TAIL_SLOTS
-        if self.room:
-            self.room -= 1
-            self[word] = found
-        return found
+        return int(self.numbers([END])[0])
 
 
 def vocabulary(counts: DataFrame) -> Vocabulary:
