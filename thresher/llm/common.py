@@ -100,9 +100,16 @@ def is_trained_on(doc_id: Column, divisor: int, held_out: int) -> Column:
 
 
 def rows_of(batches: Iterable[pa.RecordBatch], *names: str) -> Iterator[tuple]:
-    """Python tuples of the named columns, batch by batch."""
+    """Python tuples of the named columns, some rows at a time: a batch may hold ten thousand texts."""
+    for some in parts(batches):
+        yield from zip(*(some.column(n).to_pylist() for n in names), strict=True)
+
+
+def parts(batches: Iterable[pa.RecordBatch], size: int = 256) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of at most ``size`` rows."""
     for batch in batches:
-        yield from zip(*(batch.column(n).to_pylist() for n in names), strict=True)
+        for low in range(0, batch.num_rows, size):
+            yield batch.slice(low, size)
 
 
 def batched(rows: Iterable[tuple], schema: pa.Schema, size: int = 2048, max_bytes: int = 8 << 20) -> Iterator[pa.RecordBatch]:

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from .common import SharedTable, batched, is_trained_on, plain_words, prepare, rows_of
+from .common import SharedTable, batched, is_trained_on, parts, plain_words, prepare, rows_of
 from .decontaminate import _arrow
 
 #: Bound of the labelled rows that the classifier is fitted on.
@@ -152,7 +152,7 @@ class TermFinder:
     begin so, with the numbers of these terms (``2`` terms as -1 - number).
     """
 
-    def __init__(self, words: list[bytes], chosen: list[bytes], room: int = 200_000):
+    def __init__(self, words: list[bytes], chosen: list[bytes], room: int = 100_000):
         self.seen: dict[bytes, int] = {}
         self.words = {w: k for k, w in enumerate(words)}
         self.begin = {t[1:]: len(words) + k for k, t in enumerate(chosen) if t[:1] == b"^"}
@@ -388,7 +388,7 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         finder, index = held.value.finder(), held.value.index
-        for batch in batches:
+        for batch in parts(batches):
             found = list(index.scores([finder.of(t) for t in batch.column("text").to_pylist()]))
             columns = [batch.column(k).cast(schema.field(k).type) for k in range(batch.num_columns)]
             yield pa.RecordBatch.from_arrays([*columns, pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.string())], schema=schema)
@@ -402,7 +402,7 @@ def keep_clean(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Data
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         finder, index = held.value.finder(), held.value.index
-        for batch in batches:
+        for batch in parts(batches):
             scored = index.scores([finder.of(t) for t in batch.column("text").to_pylist()])
             yield batch.filter(pa.array([x < 0.5 for x, _ in scored], pa.bool_()))
 
