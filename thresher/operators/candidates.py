@@ -189,16 +189,17 @@ def _merged(obs: DataFrame, splits: DataFrame, criterion: str, scale: int) -> Da
 
 
 def _naive(obs: DataFrame, splits: Sequence[int], criterion: str, scale: int) -> DataFrame:
-    """Every row meets every split: the quadratic baseline."""
-    names = H.part_names(criterion)
+    """Every row meets every split at or above it: the quadratic baseline. The right side is what all rows have beyond the left."""
+    names, cols = H.part_names(criterion), L.sum_columns(criterion)
+    parts = parts_of(obs, criterion)
+    whole = H.whole_sums(criterion, parts.agg(*[F.coalesce(F.sum(c), F.lit(0)) for c in names]).first())
     # The list is the caller's; the method is for few splits.
-    met = parts_of(obs, criterion).crossJoin(F.broadcast(_frame(obs, splits).select(F.col("x").alias("j"))))
-    is_left = F.col("x") <= F.col("j")
-    side = lambda keep, p: [F.coalesce(F.sum(F.when(keep, F.col(c))), F.lit(0)).alias(f"{p}{c}") for c in names]
-    both = met.groupBy("j").agg(*side(is_left, "l_"), *side(~is_left, "r_"))
-    cols = L.sum_columns(criterion)
-    summed = both.select(F.col("j").alias("x"), *H.joined(criterion, "l_"), *H.joined(criterion, "r_"))
-    return with_losses(summed, [F.col(f"l_{c}") for c in cols], [F.col(f"r_{c}") for c in cols], criterion, scale, ["x"])
+    listed = F.broadcast(_frame(obs, splits).withColumnRenamed("x", "j"))
+    met = parts.join(listed, F.col("x") <= F.col("j")).groupBy("j").agg(*[F.sum(c).alias(c) for c in names])
+    left = _frame(obs, splits).withColumnRenamed("x", "j").join(met, "j", "left").select("j", *[F.coalesce(c, F.lit(0)).alias(c) for c in names])
+    summed = left.select(F.col("j").alias("x"), *H.joined(criterion))
+    right = [H.whole(v, "decimal(38,0)" if c in ("s", "q") else "long") - F.col(c) for v, c in zip(whole, cols, strict=True)]
+    return with_losses(summed, [F.col(c) for c in cols], right, criterion, scale, ["x"])
 
 
 def two_pass(obs: DataFrame, splits: Sequence[int], scale: int = 1) -> DataFrame:
