@@ -14,7 +14,7 @@ import struct
 from collections.abc import Callable
 
 #: Entries that a worker keeps, about 150 bytes each.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 800_000
 #: Longer pieces are encoded, but not kept.
 CACHE_CHARS = 48
 
