@@ -9,6 +9,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from thresher.llm import chat, decontaminate, licenses, maxent, mtree, shard, toxicity
@@ -542,3 +543,51 @@ def test_sums_by_key():
         assert found.tolist() == sorted(set(key.tolist())) and times.sum() == n
         for k, got, m in zip(found, sums, times, strict=True):
             assert m == (key == k).sum() and np.allclose(got, values[key == k].sum(0), atol=1e-4)
+
+
+def test_words_split_and_counted_at_once_are_those_of_each_text(spark):
+    odd = [None, "", "  \n\t ", " Lead\x0band\x0ctail\x1c \x85x\xa0y ", "ÀÉ İI ß 日本語　😀", "a\x00b\r\nC", "x" * 3000, "one"]
+    words, sizes = maxent.split(pa.array(odd, pa.string()))
+    want = [blank_words(t) for t in odd]
+    assert words.to_pylist() == [w for ws in want for w in ws] and sizes.tolist() == list(map(len, want))
+    batch = pa.RecordBatch.from_arrays([pa.array(odd), pa.array(range(len(odd)))], ["text", "n"])
+    for size in (1, 10, 100, 1 << 20):
+        cut = list(maxent.lots([batch, batch.slice(0, 0), batch], size))
+        assert [n for some in cut for n in some.column("n").to_pylist()] == [*range(len(odd))] * 2 and all(some.num_rows for some in cut)
+    docs = spark.createDataFrame([(t,) for t in odd], "text string")
+    got = {bytes(r.word): r.c for r in maxent.count_words(docs.repartition(3)).collect()}
+    assert got == Counter(w for ws in want for w in [*ws, maxent.END])
+
+
+def test_texts_are_numbered_with_their_ends_and_rare_words(spark):
+    vocabulary, head, tails = small_vocabulary()
+    rare = [w.decode() for w in tails]
+    texts = [None, f"{rare[0]} {rare[1]} {rare[0]}", "", f"w3on new {rare[2]} w4un New", "w1en"]
+    for v, ends in ((vocabulary, 0), (maxent.Vocabulary([], [], 0, 0), 1)):
+        got = {r.doc_id: r for r in maxent.numbered(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1), v).collect()}
+        assert len({r.row for r in got.values()}) == len(texts)
+        for i, t in enumerate(texts):
+            words = [*blank_words(t), maxent.END]
+            assert np.frombuffer(got[i].ids, "<i4").tolist() == [int(v.numbers([w])[0]) for w in words]
+            assert dict(zip(map(bytes, got[i].rare), got[i].times, strict=True)) == Counter(w for w in words if w not in v.words)
+        assert (maxent.END in map(bytes, got[0].rare)) == bool(ends)
+
+
+def test_products_of_powers_score_like_sums_and_large_weights_take_the_sums():
+    vocabulary, head, tails = small_vocabulary()
+    numbers = vocabulary.numbers(head + list(tails))
+    before, before_that = np.roll(numbers, 1), np.roll(numbers, 2)
+    model = random_model(vocabulary, 8)
+    assert all(x is not None for x in model.powers)
+    plain = random_model(vocabulary, 8)
+    plain._powers = [None, None]
+    assert np.allclose(model.scores(numbers, before, before_that), plain.scores(numbers, before, before_that), atol=1e-5)
+    large = random_model(vocabulary, 8)
+    large.weights *= 30
+    large.inner *= 30
+    assert large.powers == [None, None] and np.isfinite(large.scores(numbers, before, before_that)).all()
+    # A learner's step is that of one gradient for all features of a token, whichever rows it meets how often.
+    learner, n = maxent.Learner(maxent.Model(vocabulary)), len(numbers)
+    learner.step(numbers, before, before_that)
+    rows = learner.model.histories.rows(before, before_that)
+    assert learner.met[0].sum() == 3 * n and learner.met[0].tolist() == np.bincount(np.concatenate(rows), minlength=maxent.ROWS).tolist()

@@ -30,17 +30,17 @@ from __future__ import annotations
 
 import math
 import zlib
-from collections import Counter
 from collections.abc import Iterable, Iterator
-from itertools import repeat
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SharedTable, batched, blank_words, is_trained_on, prepare, rows_of
+from .common import SharedTable, batched, is_trained_on, prepare, rows_of
 from .decontaminate import _arrow
 
 DIVISOR, HELD_OUT = 7, 2
@@ -54,33 +54,62 @@ ROWS, INNER_ROWS, TAIL_SLOTS = 1 << 15, 1 << 16, 1 << 10
 LEARNER_TOKENS = 8_000_000
 BATCH, STEP, RATE = 4096, 1024, 0.2
 ROW_BLOCK = 256
+#: Keys with many rows that are summed by one product.
+MANY = 24
 LIMIT = 60.0
-#: Tail words that a worker remembers.
-INDEX_ROOM = 400_000
-_FLUSH = 250_000
+#: Bytes of text that are split at once, and bytes of words that are counted at once.
+TEXT_BYTES, COUNT_BYTES = 8 << 20, 16 << 20
 _PUNCTUATION = b".,;:!?|"
 
 
+def lots(batches: Iterable[pa.RecordBatch], size: int = TEXT_BYTES) -> Iterator[pa.RecordBatch]:
+    """The batches in slices that end at the row with which ``size`` bytes of text are full."""
+    for batch in batches:
+        full = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False).astype(np.int64)) // size
+        cuts = [0, *(np.flatnonzero(np.diff(full, prepend=0)) + 1).tolist(), batch.num_rows]
+        for low, high in pairwise(cuts):
+            if low < high:
+                yield batch.slice(low, high - low)
+
+
+def split(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """The words of all texts, one text after another, and each text's number of words; they are those of ``blank_words``."""
+    lists = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(texts, "")))
+    words, sizes = lists.flatten(), pc.list_value_length(lists).to_numpy().astype(np.int64)
+    # White space at either end of a text leaves an empty word there.
+    nothing = pc.binary_length(words).to_numpy() == 0
+    if nothing.any():
+        sizes -= np.bincount(np.repeat(np.arange(len(sizes)), sizes)[nothing], minlength=len(sizes))
+        words = words.filter(pa.array(~nothing))
+    return words.cast(pa.binary()), sizes
+
+
 def count_words(docs: DataFrame) -> DataFrame:
     """(word, c) over all rows; every text adds one end token."""
     prepare(docs.sparkSession)
     schema = pa.schema([("word", pa.binary()), ("c", pa.int64())])
 
+    def counted(held: list[pa.Array]) -> Iterator[pa.RecordBatch]:
+        words, c = pa.chunked_array(held).value_counts().flatten()
+        found = pa.RecordBatch.from_arrays([words, c], schema=schema)
+        for low in range(0, found.num_rows, 16384):
+            yield found.slice(low, 16384)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def out() -> Iterator[tuple]:
-            found: Counter = Counter()
-            ends = 0
-            for (text,) in rows_of(batches, "text"):
-                found.update(blank_words(text))
-                ends += 1
-                if len(found) > _FLUSH:
-                    yield from found.items()
-                    found.clear()
-            if ends:
-                found[END] += ends
-            yield from found.items()
-
-        return batched(out(), schema, 16384)
+        held: list[pa.Array] = []
+        weight = ends = 0
+        for some in lots(batches):
+            words, _ = split(some.column("text"))
+            ends += some.num_rows
+            held.append(words)
+            weight += words.nbytes
+            if weight > COUNT_BYTES:
+                yield from counted(held)
+                held, weight = [], 0
+        if held:
+            yield from counted(held)
+        if ends:
+            yield pa.RecordBatch.from_arrays([pa.array([END], pa.binary()), pa.array([ends])], schema=schema)
 
     return docs.select("text").mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
@@ -110,7 +139,7 @@ class Vocabulary:
             sums[k] = self.counts[k]
         self.bias = np.log((sums + 1) / (sums.sum() + CLASSES)).astype(np.float32)
         self.bias[len(own) : OWN] = -60.0
-        classes = np.array([k if k < len(own) else self.tail_class(w) for k, w in enumerate(self.words)], np.int64)
+        classes = np.array([k if k < len(own) else self.class_of_ending.get(ending(w), CLASSES - 1) for k, w in enumerate(self.words)], np.int64)
         # The most frequent words of a class have a slot; the rest of its count and words is the last one's.
         slots = np.full(len(classes), SLOTS - 1, np.int64)
         inner = np.full((CLASSES, SLOTS), -np.inf)
@@ -136,35 +165,24 @@ class Vocabulary:
         self.inside = np.concatenate([inside, -log_rest[tails]])
         self.norm = math.log10(total + distinct + 1)
         self.base = np.log10(self.counts + 1) - self.norm
-        self._index: dict[bytes, int] | None = None
+        self.end = self.words.index(END) if END in self.words else int(self._tails([END])[0])
 
-    def __getstate__(self) -> dict:
-        return self.__dict__ | {"_index": None}
-
-    def tail_class(self, word: bytes) -> int:
-        return self.class_of_ending.get(ending(word), CLASSES - 1)
-
-    @property
-    def index(self) -> dict[bytes, int]:
-        if self._index is None:
-            self._index = {w: k for k, w in enumerate(self.words)}
-        return self._index
+    def _tails(self, words: list[bytes]) -> np.ndarray:
+        own, shared = self.class_of_ending.get, CLASSES - 1
+        classes = np.fromiter((own(ending(w), shared) for w in words), np.int64, len(words))
+        return len(self.words) + classes * TAIL_SLOTS + np.fromiter(map(zlib.crc32, words), np.int64, len(words)) % TAIL_SLOTS
 
     def numbers(self, words: list[bytes]) -> np.ndarray:
         """Head words by frequency; the others by their class and a hash."""
-        index = self.index
-        found = np.fromiter(map(index.get, words, repeat(-1)), np.int64, len(words))
-        heads = len(self.words)
-        for k in np.flatnonzero(found < 0).tolist():
-            word = words[k]
-            found[k] = at = heads + self.tail_class(word) * TAIL_SLOTS + zlib.crc32(word) % TAIL_SLOTS
-            if len(index) < heads + INDEX_ROOM:
-                index[word] = at
-        return found
+        return self.numbers_of(pa.array(words, pa.binary()), pa.array(self.words, pa.binary()))[0]
 
-    @property
-    def end(self) -> int:
-        return int(self.numbers([END])[0])
+    def numbers_of(self, words: pa.Array, head: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.DictionaryArray]:
+        """The numbers of all words, the places of words outside the head, and these words. ``head`` is ``words`` of this, as an array."""
+        found = pc.fill_null(pc.index_in(words, value_set=head), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+        at = np.flatnonzero(found < 0)
+        tails = words.take(pa.array(at)).dictionary_encode()
+        found[at] = self._tails(tails.dictionary.to_pylist()).take(tails.indices.to_numpy())
+        return found, at, tails
 
 
 def vocabulary(counts: DataFrame) -> Vocabulary:
@@ -244,15 +262,22 @@ def histories_of(numbers: np.ndarray, starts: np.ndarray, end: int) -> tuple[np.
 
 
 def _softmax(weights: np.ndarray, rows: tuple[np.ndarray, ...], bias: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Exponentials of the scores and their sums; far inside what a 32-bit float holds."""
+    """Exponentials of the scores and their sums; far inside what a 32-bit float holds. ``bias`` has a row for each token."""
     z = weights.take(rows[0], axis=0)
     for r in rows[1:]:
         z += weights.take(r, axis=0)
-    np.clip(z, -LIMIT, LIMIT, out=z)
+    if z.max(initial=0) > LIMIT or z.min(initial=0) < -LIMIT:
+        np.clip(z, -LIMIT, LIMIT, out=z)
     z += bias
     # Biases are -60 at least and scores add LIMIT at most: sums are neither 0 nor infinite while one bias is near 0.
     np.exp(z, out=z)
-    return z, z.sum(1, keepdims=True)
+    # A product with ones adds a row's few places several times as fast as a sum along them.
+    return z, (z @ np.ones(z.shape[1], z.dtype))[:, None]
+
+
+def _for_each(bias: np.ndarray, n: int) -> np.ndarray:
+    """One bias for n tokens, written out: adding it is one pass instead of one for each token."""
+    return np.tile(bias, (n, 1))
 
 
 class Model:
@@ -263,9 +288,10 @@ class Model:
         self.weights = np.zeros((ROWS, CLASSES), np.float32) if weights is None else weights
         self.inner = np.zeros((INNER_ROWS, SLOTS), np.float32) if inner is None else inner
         self._histories: Histories | None = None
+        self._powers: list[np.ndarray | None] | None = None
 
     def __getstate__(self) -> dict:
-        return self.__dict__ | {"_histories": None}
+        return self.__dict__ | {"_histories": None, "_powers": None}
 
     @property
     def histories(self) -> Histories:
@@ -273,32 +299,54 @@ class Model:
             self._histories = Histories(self.vocabulary)
         return self._histories
 
+    @property
+    def powers(self) -> list[np.ndarray | None]:
+        """Exponentials of both tables, of a table whose sums may pass ``LIMIT`` none. Scoring makes them once; it changes no weights."""
+        if self._powers is None:
+            self._powers = [np.exp(w) if np.abs(w).max() * n <= LIMIT else None for w, n in ((self.weights, 3), (self.inner, 2))]
+        return self._powers
+
     def scores(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> np.ndarray:
         """log10 probability of each token given its history; of a tail word without its count's part."""
         v, h = self.vocabulary, self.histories
         out = np.empty(len(numbers))
+        bias, inner_powers = _for_each(v.bias, min(BATCH, len(numbers))), np.exp(v.inner_bias)
+        bias_powers = np.exp(bias)
         for low in range(0, len(numbers), BATCH):
             n, b, bb = (x[low : low + BATCH] for x in (numbers, before, before_that))
             k = v.classes.take(n)
-            z, total = _softmax(self.weights, h.rows(b, bb), v.bias)
-            log = np.log(z[np.arange(len(k)), k].astype(float)) - np.log(total[:, 0].astype(float))
+            log = _log_shares(self.weights, self.powers[0], h.rows(b, bb), bias[: len(k)], bias_powers[: len(k)], k)
             shared = np.flatnonzero(k >= OWN)
             if len(shared):
                 k = k[shared]
-                z, total = _softmax(self.inner, h.inner_rows(b[shared], bb[shared], k), v.inner_bias.take(k, axis=0))
-                log[shared] += np.log(z[np.arange(len(k)), v.slots.take(n[shared])].astype(float)) - np.log(total[:, 0].astype(float))
+                log[shared] += _log_shares(self.inner, self.powers[1], h.inner_rows(b[shared], bb[shared], k), v.inner_bias.take(k, axis=0), inner_powers.take(k, axis=0), v.slots.take(n[shared]))
             out[low : low + BATCH] = log
         return out / math.log(10) + v.inside.take(numbers)
 
 
+def _log_shares(weights: np.ndarray, powers: np.ndarray | None, rows: tuple[np.ndarray, ...], bias: np.ndarray, bias_powers: np.ndarray, truth: np.ndarray) -> np.ndarray:
+    """Logarithm of the softmax at each token's ``truth``. Where sums stay within ``LIMIT``, a product of the rows' exponentials spares one for each place."""
+    each = np.arange(len(truth))
+    if powers is None:
+        z, total = _softmax(weights, rows, bias)
+        return np.log(z[each, truth].astype(float)) - np.log(total[:, 0].astype(float))
+    z = powers.take(rows[0], axis=0)
+    for r in rows[1:]:
+        z *= powers.take(r, axis=0)
+    total = np.einsum("ij,ij->i", z, bias_powers)
+    return np.log(z[each, truth].astype(float)) + bias[each, truth] - np.log(total.astype(float))
+
+
 def summed_by(values: np.ndarray, key: np.ndarray, few: int = 3) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sums of the rows of each key, the keys and their numbers of rows.
+    """Sums of the rows of each key, the keys and their numbers of rows. Several keys for each row follow one another, all rows' first ones first.
 
     Most keys have one row, which is taken as it is; a few rows are added one by one, and the keys with
     many are a product with a matrix of zeros and ones.
     """
     order = key.argsort(kind="stable")
     ordered = key.take(order)
+    if len(key) > len(values):
+        order %= len(values)
     new = np.empty(len(key), bool)
     new[0] = True
     np.not_equal(ordered[1:], ordered[:-1], out=new[1:])
@@ -312,16 +360,22 @@ def summed_by(values: np.ndarray, key: np.ndarray, few: int = 3) -> tuple[np.nda
         out[some] += values.take(order.take(first.take(some) + k), axis=0)
         some = some[size.take(some) > k + 1]
     many = np.flatnonzero(size > few)
-    if len(many):
-        n = size.take(many)
-        whose = np.repeat(np.arange(len(many)), n)
-        at = np.arange(len(whose)) + np.repeat(first.take(many) - np.cumsum(n) + n, n)
-        member = np.zeros((len(many), len(whose)), values.dtype)
+    for low in range(0, len(many), MANY):
+        own = many[low : low + MANY]
+        n = size.take(own)
+        whose = np.repeat(np.arange(len(own)), n)
+        at = np.arange(len(whose)) + np.repeat(first.take(own) - np.cumsum(n) + n, n)
+        member = np.zeros((len(own), len(whose)), values.dtype)
         member[whose, np.arange(len(whose))] = 1
-        out[many] = member @ values.take(order.take(at), axis=0)
+        out[own] = member @ values.take(order.take(at), axis=0)
     return out, ordered.take(first), size
 
 
+def _whole_rows(values: np.ndarray) -> np.ndarray:
+    """Each row as one item: rows are then copied as a whole."""
+    return values.view(f"V{values.shape[1] * values.itemsize}")[:, 0]
+
+
 class Learner:
     """AdaGrad over one task's rows, with one step size for each weight row."""
 
@@ -332,10 +386,11 @@ class Learner:
 
     def step(self, numbers: np.ndarray, before: np.ndarray, before_that: np.ndarray) -> None:
         m, v = self.model, self.model.vocabulary
+        bias = _for_each(v.bias, min(STEP, len(numbers)))
         for low in range(0, len(numbers), STEP):
             n, b, bb = (x[low : low + STEP] for x in (numbers, before, before_that))
             k = v.classes.take(n)
-            self._towards(0, m.weights, m.histories.rows(b, bb), v.bias, k)
+            self._towards(0, m.weights, m.histories.rows(b, bb), bias[: len(k)], k)
             shared = np.flatnonzero(k >= OWN)
             if len(shared):
                 k = k[shared]
@@ -343,18 +398,18 @@ class Learner:
 
     def _towards(self, table: int, weights: np.ndarray, rows: tuple[np.ndarray, ...], bias: np.ndarray, truth: np.ndarray) -> None:
         gradient, total = _softmax(weights, rows, bias)
-        gradient /= total
-        gradient[np.arange(len(truth)), truth] -= 1
+        gradient *= 1 / total
+        gradient.ravel()[np.arange(len(truth)) * gradient.shape[1] + truth] -= 1
         squares, met = self.squares[table], self.met[table]
-        for own in rows:
-            # Rows that a batch meets more than once take the sum of their gradients in one step.
-            change, at, times = summed_by(gradient, own)
-            grown = squares.take(at) + np.einsum("ij,ij->i", change, change) / weights.shape[1]
-            squares[at] = grown
-            met[at] += times
-            change *= (-RATE / np.sqrt(grown))[:, None]
-            change += weights.take(at, axis=0)
-            weights[at] = change
+        # Rows that a batch meets more than once take the sum of their gradients in one step.
+        change, at, times = summed_by(gradient, np.concatenate(rows))
+        at = at.astype(np.intp)
+        grown = squares.take(at) + np.einsum("ij,ij->i", change, change) / weights.shape[1]
+        squares[at] = grown
+        met[at] += times
+        change *= (-RATE / np.sqrt(grown))[:, None]
+        change += weights.take(at, axis=0)
+        _whole_rows(weights)[at] = _whole_rows(change)
 
     def blocks(self) -> Iterator[tuple[int, bytes, bytes]]:
         """(block, times met, weights) of the blocks with rows that were met; blocks of both tables count on."""
@@ -365,6 +420,29 @@ class Learner:
                     yield first + k, met[own].astype("<f8").tobytes(), weights[own].astype("<f2").tobytes()
 
 
+def _with_ends(numbers: np.ndarray, sizes: np.ndarray, end: int) -> pa.Array:
+    """The numbers of each text and the end's, as bytes."""
+    ends = np.cumsum(sizes + 1) - 1
+    out = np.empty(len(numbers) + len(sizes), "<i4")
+    inside = np.ones(len(out), bool)
+    inside[ends] = False
+    out[inside], out[ends] = numbers, end
+    starts = np.concatenate([[0], ends + 1])
+    return pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer((starts * 4).astype(np.int32)), pa.py_buffer(out)])
+
+
+def _times(texts: np.ndarray, words: pa.DictionaryArray, n: int, ends: bool) -> tuple[pa.Array, pa.Array]:
+    """Of n texts, each one's distinct words and their times; ``texts`` has the text of each word. ``ends`` adds the end to all."""
+    every = pa.concat_arrays([words.dictionary, pa.array([END], pa.binary())])
+    pairs = texts * len(every) + words.indices.to_numpy()
+    if ends:
+        pairs = np.append(pairs, np.arange(n) * len(every) + len(every) - 1)
+    found, times = np.unique(pairs, return_counts=True)
+    starts = pa.array(np.searchsorted(found // len(every), np.arange(n + 1)), pa.int32())
+    own = every.take(pa.array(found % len(every)))
+    return pa.ListArray.from_arrays(starts, own), pa.ListArray.from_arrays(starts, pa.array(times, pa.int32()))
+
+
 def numbered(docs: DataFrame, vocabulary: Vocabulary) -> DataFrame:
     """Every text as numbers, stored: row, doc_id, trained, ids, and its words outside the head with their times.
 
@@ -377,21 +455,16 @@ def numbered(docs: DataFrame, vocabulary: Vocabulary) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = held.value
-        heads, end = len(v.words), v.end
+        head = pa.array(v.words, pa.binary())
         row = TaskContext.get().partitionId() << 33
-
-        def out() -> Iterator[tuple]:
-            nonlocal row
-            for doc_id, trained, text in rows_of(batches, "doc_id", "trained", "text"):
-                words = blank_words(text)
-                ids = v.numbers(words)
-                rare = Counter([words[i] for i in np.flatnonzero(ids >= heads).tolist()])
-                if end >= heads:
-                    rare[END] += 1
-                yield row, doc_id, trained, np.append(ids, end).astype("<i4").tobytes(), list(rare), list(rare.values())
-                row += 1
-
-        return batched(out(), schema, 512)
+        for some in lots(batches):
+            words, sizes = split(some.column("text"))
+            numbers, at, tails = v.numbers_of(words, head)
+            ids = _with_ends(numbers, sizes, v.end)
+            rare, times = _times(np.repeat(np.arange(len(sizes)), sizes).take(at), tails, len(sizes), v.end >= len(head))
+            rows = pa.array(np.arange(row, row + len(sizes)))
+            yield pa.RecordBatch.from_arrays([rows, some.column("doc_id"), some.column("trained"), ids, rare, times], schema=schema)
+            row += len(sizes)
 
     columns = f"row long, doc_id {kind.simpleString()}, trained boolean, ids binary, rare array<binary>, times array<int>"
     return SharedTable(docs.select("doc_id", in_training(F.col("doc_id")).alias("trained"), "text").mapInArrow(run, columns), "maxent-numbers").read()
