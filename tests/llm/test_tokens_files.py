@@ -24,6 +24,19 @@ def test_ids_equal_the_library(name, text):
     assert np.frombuffer(t.encode(text), "<u4").tolist() == t.full.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_letters_and_signs_are_encoded_apart_without_the_whole_library(name, monkeypatch):
+    t = tokens.WordTokenizer(name)
+    whole: list[str] = []
+    plain = t._whole
+    monkeypatch.setattr(t, "_whole", lambda x: whole.append(x) or plain(x))
+    text = " ".join(f"{w}{s}" for w in ("heat", "Été", "x", "日本") for s in ("***", ".%%%", "#", "_", "$$$,", '")', "...", "<|", "-"))
+    odd = " ".join(f"{w}{s}" for w in ("a", "don", "É") for s in ("'s", "*'s", "'.", "'", ".b", "1,", "-'", ",²", "»."))
+    for x in (text, odd, f"{text}\n{odd} {text}"):
+        assert np.frombuffer(t.encode(x), "<u4").tolist() == t.full.encode(x, add_special_tokens=False).ids
+    assert not [x for x in whole if x.strip().startswith(("heat", "Été"))]
+
+
 MARKED = ["hi <|endoftext|> you", "<|endoftext|>", "a<|startoftext|>b  c", "x <|ENDOFTEXT|> y", "<|endoftext|><|endoftext|>\n\nq", "almost <|endoftext|"]
 
 

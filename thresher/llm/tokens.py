@@ -10,8 +10,10 @@ holds one of the vocabulary's added tokens, which the library takes out before i
 from __future__ import annotations
 
 import os
+import string
 import struct
 from collections.abc import Callable
+from operator import attrgetter
 
 #: Entries that a worker keeps, about 150 bytes each.
 CACHE_WORDS = 800_000
@@ -22,6 +24,8 @@ CACHE_CHARS = 48
 _RUNS = ("  ", "\n\n", " \n", "\n ", "\x00")
 #: Python takes these for white space, the vocabularies do not.
 _NOT_BLANK = ("\x1c", "\x1d", "\x1e", "\x1f")
+#: ASCII signs but the apostrophe, which may belong to letters after it.
+_SIGNS = string.punctuation.replace("'", "")
 _loaded: dict[str, WordTokenizer] = {}
 
 
@@ -69,7 +73,9 @@ class WordTokenizer:
             path = public_tokenizers.path(path)
         self.full = Tokenizer.from_file(path)
         self.model = self.full.model
+        self.tokenize = self.model.tokenize
         self.letters = _byte_letters()
+        self.blank = self.letters[32]
         added = self.full.get_added_tokens_decoder().values()
         #: The library looks for added tokens before it draws words, for some of them in the normalized text.
         self.added = [t.content for t in added]
@@ -106,25 +112,37 @@ class WordTokenizer:
         return any(self.full.normalizer.normalize_str(x) in plain for x in self.added)
 
     def _whole(self, text: str) -> bytes:
-        ids = self.full.encode(text, add_special_tokens=False).ids
+        # The fast call gives the same ids and leaves out their places in the text.
+        ids = self.full.encode_batch_fast([text], add_special_tokens=False)[0].ids
         return struct.pack(f"<{len(ids)}I", *ids)
 
     def _ids(self, word: str) -> bytes:
         if not word:
             return b""
         stem = word[1:] if word[0] == " " and self.spaced else word
+        # Most new words are plain letters: they are asked for first.
+        if stem.isalpha():
+            if len(stem) <= CACHE_CHARS:
+                raw = word if self.spaced else word.lower()
+                if stem.isascii():
+                    return _packed(self.tokenize(self.blank + stem if raw[0] == " " else raw))
+                if max(stem) < "\u0100":
+                    return _packed(self.tokenize(raw.encode().decode("latin-1").translate(self.letters)))
+            return self._whole(word)
         if self.spaced and word != "\n" and (stem[:1].isspace() or stem[-1:].isspace()):
             raise _OddBorder
-        if stem[-1:] in (",", ".") and stem[:-1].isalpha():
-            return self.known[word[:-1]] + self.known[stem[-1]]
-        if stem.isalpha() and len(stem) <= CACHE_CHARS:
-            raw = word if self.spaced else word.lower()
-            if stem.isascii():
-                return _packed(self.model.tokenize(raw.replace(" ", self.letters[32])))
-            if max(stem) < "\u0100":
-                return _packed(self.model.tokenize(raw.encode().decode("latin-1").translate(self.letters)))
+        # Letters, then signs: both vocabularies draw a border there and none between the signs.
+        letters = stem.rstrip(_SIGNS)
+        if letters.isalpha() and len(letters) < len(stem):
+            signs = len(letters) - len(stem)
+            return self.known[word[:signs]] + self.known[word[signs:]]
         return self._whole(word)
 
 
+_id = attrgetter("id")
+_pack = [struct.Struct(f"<{n}I").pack for n in range(4 * CACHE_CHARS + 2)]
+
+
 def _packed(tokens: list) -> bytes:
-    return struct.pack(f"<{len(tokens)}I", *[t.id for t in tokens])
+    """Ids of a word that is kept: it has no more tokens than bytes."""
+    return _pack[len(tokens)](*map(_id, tokens))
