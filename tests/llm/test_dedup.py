@@ -165,3 +165,35 @@ def test_hubs_give_the_same_components(spark, monkeypatch):
     monkeypatch.setattr(simhash, "HUBS", 1)
     assert {bytes(r.node): bytes(r.root) for r in simhash.components(links).collect()} == plain
     assert int.from_bytes(plain[bytes(name(230))], "big") == 0
+
+
+def test_few_links_take_few_jobs_and_give_what_star_rounds_give(spark, monkeypatch):
+    """Each star round is some ten stages that the driver plans and follows; links that fit one task need none."""
+    rng = random.Random(8)
+    pairs = [(0, k) for k in range(1, 60)] + [(k, k + 1) for k in range(200, 260)] + [(259, 3), (300, 301), (301, 300), (302, 302)]
+    pairs += [(rng.randrange(400, 600), rng.randrange(400, 600)) for _ in range(90)] + pairs[:20]
+    name = lambda k: bytearray(k.to_bytes(4, "big"))
+    links = spark.createDataFrame([(name(a), name(b)) for a, b in pairs], "a binary, b binary")
+    root = {k: k for pair in pairs for k in pair}
+    for _ in root:
+        for a, b in pairs:
+            root[a] = root[b] = min(root[a], root[b])
+    want = {k: r for k, r in root.items() if k != r}
+
+    def found(jobs_of):
+        spark.sparkContext.setJobGroup(jobs_of, jobs_of)
+        got = simhash.components(links)
+        jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup(jobs_of))
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+        rows = [(int.from_bytes(r.node, "big"), int.from_bytes(r.root, "big")) for r in got.collect()]
+        assert len(rows) == len(set(rows))
+        return dict(rows), jobs
+
+    got, jobs = found("few")
+    assert got == want and jobs <= 6
+    monkeypatch.setattr(simhash, "FEW", len(pairs) // 2)
+    rounds, more = found("rounds")
+    assert rounds == want and more > 3 * jobs
+    monkeypatch.setattr(simhash, "HUB", 3)
+    assert found("hubs")[0] == want
+    assert simhash.components(links.where("a is null")).count() == 0

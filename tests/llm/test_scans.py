@@ -247,6 +247,22 @@ def test_block_max_search_is_exact():
         assert [n for _, n in index.nearest(terms, times)] == want
 
 
+def test_index_is_laid_out_once(monkeypatch):
+    """The driver holds one index of all examples, not the unordered one before it as well."""
+    rng = np.random.default_rng(6)
+    examples = []
+    for k in range(3 * toxicity.BLOCK):
+        terms = np.unique(rng.integers(0, 300, rng.integers(1, 9)))
+        examples.append((terms, np.ones(len(terms), np.int64), 1, k % 2, k))
+    built, build = [], toxicity.BlockMaxIndex._build
+    monkeypatch.setattr(toxicity.BlockMaxIndex, "_build", lambda self, own: (built.append([x[4] for x in own]), build(self, own))[1])
+    index = toxicity.BlockMaxIndex(1 + rng.random(300), examples)
+    assert [len(x) for x in built].count(len(examples)) == 1 and index.names == built[-1]
+    pivots = next(x for x in built if x and len(x) < len(examples))
+    order = sorted(range(len(examples)), key=lambda k: (examples[k][0].tolist(), str(k)))
+    assert pivots == order[:: -(-len(examples) // toxicity.PIVOTS)]
+
+
 def test_chat_roles(spark):
     marked = "System: be kind\n\nUser: what is it?\nAssistant: it is a thing.\nmore of it\n\nHuman: ok\n### Assistant\nfine"
     model = chat.RoleModel({})

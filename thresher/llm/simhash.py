@@ -18,8 +18,9 @@ Which fingerprints are compared:
 
 A bucket over ``BUCKET`` rows is cut into chunks and every pair of chunks is a task of its own,
 so that no bucket lands in one task. A task emits for each fingerprint at most one link, to the
-smallest of its component in the task: as many links as rows, the same components. Components
-of links come from alternating star rounds over tables in the shared folder.
+smallest of its component in the task: as many links as rows, the same components. Up to ``FEW``
+links are joined up in one task; components of more come from alternating star rounds over tables in
+the shared folder, each of which is some ten stages for the driver to plan and to follow.
 
 Defined cases: null and empty texts have the zero fingerprint and are linked like any other;
 equal texts have equal fingerprints and one component; repeated rows stay repeated; a null id is never the
@@ -50,6 +51,8 @@ MEAN_BUCKET = 512
 KEYS = 6
 #: Edges of a node from which on it is a hub, and hubs that are broadcast at most (16 to 40 bytes each).
 HUB, HUBS = 1024, 1_000_000
+#: Links that one task joins up (some 550 bytes each in a worker); beyond that, star rounds.
+FEW = 200_000
 #: Deviations beyond the mean distance at the threshold up to which shingle sets are compared.
 DEVIATIONS = 4
 _GOLDEN = 0x9E3779B97F4A7C15
@@ -277,11 +280,11 @@ def link(nodes: DataFrame, keys: Column, words: int, radius: int, bucket: int =
     With ``texts`` (mark, text), only where the sets of shingles of ``size`` words reach the similarity.
     """
     rows = nodes.select("fp", F.explode(keys).alias("k")).select("fp", "k.table", "k.key")
-    full = rows.groupBy("table", "key").count()
-    hot = full.where(F.col("count") > bucket).select("table", "key", F.ceil(F.col("count") / (bucket // 2)).cast("int").alias("chunks"))
-    met = full.where(F.col("count") > 1).select("table", "key")
-    rows = rows.join(met, ["table", "key"], "left_semi").join(hot, ["table", "key"], "left").withColumn("chunk", F.pmod(F.xxhash64("fp", F.lit(7)), F.coalesce("chunks", F.lit(1))).cast("int"))
-    others = F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)
+    # Buckets of several rows, with the number of their chunks.
+    chunks = F.when(F.col("count") > bucket, F.ceil(F.col("count") / (bucket // 2))).otherwise(1).cast("int")
+    met = rows.groupBy("table", "key").count().where("count > 1").select("table", "key", chunks.alias("chunks"))
+    rows = rows.join(met, ["table", "key"]).withColumn("chunk", F.pmod(F.xxhash64("fp", F.lit(7)), "chunks").cast("int"))
+    others = F.sequence(F.lit(0), F.col("chunks") - 1)
     rows = rows.withColumn("other", F.explode(others)).select("fp", "table", "key", "chunk", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"))
     rows = rows.withColumn("text", F.lit(None).cast("string")) if texts is None else rows.withColumn("mark", F.conv(F.hex(F.substring("fp", 8 * words + 1, 8)), 16, -10).cast("long")).join(texts, "mark").drop("mark")
     schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
@@ -333,8 +336,35 @@ def _columns(held: list[tuple]) -> tuple:
 
 
 def components(links: DataFrame) -> DataFrame:
-    """(node, root): the smallest node that each linked node reaches. Alternating star rounds."""
-    now = SharedTable(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct(), "links")
+    """(node, root): the smallest node that each linked node reaches, for all but the roots themselves."""
+    found = SharedTable(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v"), "links")
+    if found.read().count() <= FEW:
+        roots = SharedTable(_joined_up(found.read()), "roots")
+        found.drop()
+        return roots.read()
+    return _star_rounds(found)
+
+
+def _joined_up(edges: DataFrame) -> DataFrame:
+    """The components of at most ``FEW`` edges (u, v), in one task."""
+    kind = edges.schema["u"].dataType
+    schema = pa.schema([("node", _arrow(kind)), ("root", _arrow(kind))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pairs = list(rows_of(batches, "u", "v"))
+        nodes = sorted({x for pair in pairs for x in pair})
+        place = {x: k for k, x in enumerate(nodes)}
+        i, j = (np.fromiter((place[pair[side]] for pair in pairs), np.int64, len(pairs)) for side in (0, 1))
+        label = smallest_linked(len(nodes), iter([(i, j)]))
+        return batched(((nodes[k], nodes[label[k]]) for k in np.flatnonzero(label != np.arange(len(nodes))).tolist()), schema, 8192)
+
+    return edges.coalesce(1).mapInArrow(run, f"node {kind.simpleString()}, root {kind.simpleString()}")
+
+
+def _star_rounds(found: SharedTable) -> DataFrame:
+    """The components of any number of edges by alternating star rounds; drops the table of the edges."""
+    now = SharedTable(found.read().distinct(), "links")
+    found.drop()
     seen = None
     while True:
         edges = now.read()

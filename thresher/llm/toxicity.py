@@ -216,14 +216,16 @@ class BlockMaxIndex:
         self.weight = weight
         rows, toxic = sum(x[2] for x in examples), sum(x[3] for x in examples)
         self.share = toxic / rows if rows else 0.0
-        examples = sorted((x for x in examples if len(x[0])), key=lambda x: (x[0].tolist(), str(x[4])))
-        self._build(examples)
+        # Bytes with the highest one first sort like the term numbers themselves.
+        examples = sorted((x for x in examples if len(x[0])), key=lambda x: (x[0].astype(">u4").tobytes(), str(x[4])))
         if len(examples) > BLOCK:
             # Every 1 / PIVOTS-th example is a pivot; the nearest one says with whom an example lies in a block.
             pivots = BlockMaxIndex(weight, [])
             pivots._build(examples[:: -(-len(examples) // PIVOTS)])
             home = [best[0][1] if (best := pivots.nearest(*x[:2], k=1)) else -1 for x in examples]
-            self._build([examples[i] for i in np.argsort(home, kind="stable").tolist()])
+            examples = [examples[i] for i in np.argsort(home, kind="stable").tolist()]
+            del pivots
+        self._build(examples)
 
     def _build(self, examples: list[tuple]) -> None:
         self.n, self.blocks = len(examples), -(-len(examples) // BLOCK)
